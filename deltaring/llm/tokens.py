@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import json
+import re
+import unicodedata
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -13,8 +17,9 @@ from pyspark.sql import types as T
 from .common import removed, scratch, shared_dir, written
 
 WORD_BPE = "word_bpe_49k.json"
-#: Words kept by one Python worker; the cache is emptied beyond that, which costs time and changes no id.
-CACHE_WORDS = 600_000
+#: Words in each of the two generations of a worker's cache. When the young one is full it becomes the old one; a word met
+#: again comes back from there, so frequent words stay. The size costs time or memory and changes no id.
+CACHE_WORDS = 400_000
 
 
 def tokenizer_path(name: str = WORD_BPE) -> str:
@@ -23,6 +28,34 @@ def tokenizer_path(name: str = WORD_BPE) -> str:
     return public_tokenizers.path(name)
 
 
+# Fixed value: the pattern by which the word tokenizer's file parts words; other files go without the short way.
+WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: Letters, then ASCII marks other than the apostrophe that contractions start with.
+PLAIN = re.compile(r"([^\W\d_]+)([!-&(-/:-@\[-`{-~]*)")
+
+
+def piece_encoder(path: str):
+    """ids of one run of letters or marks (UTF-8, lower case), by the same merges in a faster library; None if the file is of another kind."""
+    with open(path, encoding="utf-8") as f:
+        file = json.load(f)
+    model, before = file["model"], json.dumps([file.get("normalizer"), file.get("pre_tokenizer")])
+    if model.get("type") != "BPE" or model.get("end_of_word_suffix") != "</w>" or json.dumps(WORD_PATTERN) not in before or not all(f'"{x}"' in before for x in ("NFC", "Lowercase", "ByteLevel")):
+        return None
+    import tiktoken
+
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    hidden = [b for b in range(256) if b not in shown]
+    byte = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
+    ranks = {}
+    for token, i in model["vocab"].items():
+        ended = token.endswith("</w>")
+        core = token[:-4] if ended else token
+        if all(c in byte for c in core) and not (token.startswith("<|") and token.endswith("|>")):
+            ranks[bytes(byte[c] for c in core) + (b"\xff" if ended else b"")] = i  # no UTF-8 text has this byte
+    bpe = tiktoken.Encoding("words", pat_str=".+", mergeable_ranks=ranks, special_tokens={})._core_bpe
+    return lambda piece: bpe.encode_single_piece(piece + b"\xff")
+
+
 class WordIds:
     """Ids of whole texts as little-endian unsigned 32-bit bytes.
 
@@ -35,27 +68,53 @@ class WordIds:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.known: dict[bytes, bytes] = {}
+        self.piece = piece_encoder(path)
+        self.young: dict[bytes, bytes] = {}
+        self.old: dict[bytes, bytes] = {}
+
+    def _learn(self, words: set[bytes]) -> None:
+        """Have all these words in the young generation."""
+        if len(self.young) > CACHE_WORDS:
+            self.old, self.young = self.young, {}
+        young, old = self.young, self.old
+        new, piece = [], self.piece
+        for w in words.difference(young.keys()):
+            ids = old.get(w)
+            if ids is None:
+                ids = self._plain(w) if piece else None
+                if ids is None:
+                    new.append(w)
+                    continue
+            young[w] = ids
+        for at in range(0, len(new), 20_000):
+            some = new[at : at + 20_000]
+            for w, e in zip(some, self.tokenizer.encode_batch_fast([x.decode("utf-8") for x in some], add_special_tokens=False)):
+                young[w] = array("I", e.ids).tobytes()
+
+    def _plain(self, word: bytes) -> bytes | None:
+        """Ids of a word of letters, maybe with marks after them, whose form is sure to be kept; None for any other."""
+        if word.isalpha():
+            return array("I", self.piece(word)).tobytes()
+        text = word.decode("utf-8")
+        m = PLAIN.fullmatch(text)
+        if m is None or not m[1].isalpha() or "\u03a3" in text or not unicodedata.is_normalized("NFC", text):
+            return None
+        letters = m[1].lower()
+        if not letters.isalpha():
+            return None
+        ids = self.piece(letters.encode())
+        return array("I", ids + self.piece(m[2].encode()) if m[2] else ids).tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        import numpy as np
-
         parts = [t.encode("utf-8", "replace").lower().split() if t else [] for t in texts]
-        known, out, low = self.known, [], 0
+        out, low = [], 0
         while low < len(parts):
-            if len(known) > CACHE_WORDS:
-                known.clear()
-            high, new = low, set()
-            while high < len(parts) and len(new) <= CACHE_WORDS // 4:
-                new.update(w for w in parts[high] if w not in known)
+            high, words = low, set()
+            while high < len(parts) and len(words) <= CACHE_WORDS // 2:
+                words.update(parts[high])
                 high += 1
-            if new:
-                words = list(new)
-                for at in range(0, len(words), 20_000):
-                    some = words[at : at + 20_000]
-                    for w, e in zip(some, self.tokenizer.encode_batch([x.decode("utf-8") for x in some], add_special_tokens=False)):
-                        known[w] = np.array(e.ids, "<u4").tobytes()
-            get = known.__getitem__
+            self._learn(words)
+            get = self.young.__getitem__
             out.extend(b"".join(map(get, p)) for p in parts[low:high])
             low = high
         return out
