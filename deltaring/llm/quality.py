@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE, WORD, written
+from .common import SPACE, WORD
 from .ngrams import NgramModel, log_ratios, slots_of, words
 
 #: A document whose mean log ratio is below this is rejected.
@@ -46,6 +46,12 @@ def counted(docs: DataFrame) -> DataFrame:
     )
 
 
+def ratio_array(ratios: DataFrame) -> Column:
+    """The fitted ratios (slot, ratio), a number per slot of the model, as one constant array; six decimals."""
+    known = [r["ratio"] for r in ratios.orderBy("slot").collect()]
+    return F.split(F.lit(",".join(f"{x:.6g}" for x in known)), ",").cast("array<double>")
+
+
 def judged_documents(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, model: NgramModel = NgramModel()) -> DataFrame:
     """Base counts, base_failed, mean log ratio and verdict of every document.
 
@@ -55,11 +61,9 @@ def judged_documents(docs: DataFrame, labels: DataFrame, threshold: float = THRE
     judged each; with no labels both models are the prior and all documents that pass the base rules
     and whose ratio is not below the threshold stay.
     """
-    ratios = written(log_ratios(docs, labels, model), "quality-ratios")  # a row per slot, of which the model has a fixed number
-    base = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
-    rows = counted(docs).withColumn("row", F.monotonically_increasing_id())
-    grams = rows.select("row", *base, F.explode_outer(slots_of(F.col("words"), model.slots)).alias("gram"))
-    scored = grams.join(F.broadcast(ratios), F.col("gram") == F.col("slot"), "left")
-    scored = scored.groupBy("row").agg(*[F.first(c).alias(c) for c in base], F.coalesce(F.avg("ratio"), F.lit(0.0)).alias("mean_log_ratio"))
+    ratios = ratio_array(log_ratios(docs, labels, model))
+    rows = counted(docs).withColumn("weight", F.transform(F.array(slots_of(F.col("words"), model.slots)), lambda g: F.struct(F.aggregate(g, F.lit(0.0), lambda t, x: t + F.get(ratios, x)).alias("sum"), F.size(g).alias("n")))[0])
     failed = (F.col("n_words") < 50) | (F.col("n_repeat_words") * 100 > F.col("n_words") * 50)
-    return scored.select(*base, failed.alias("base_failed"), (~failed & (F.col("mean_log_ratio") >= F.lit(threshold))).alias("kept"), "mean_log_ratio")
+    mean = F.col("weight.sum") / F.greatest(F.col("weight.n"), F.lit(1))
+    judged = rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), mean.alias("mean_log_ratio"))
+    return judged.select(*judged.columns[:-1], (~F.col("base_failed") & (F.col("mean_log_ratio") >= F.lit(threshold))).alias("kept"), "mean_log_ratio")
