@@ -24,12 +24,17 @@ class Matching:
     With 32 and 13, a pair of sets of likeness 0.75 is missed with a chance of about 1 in 100,000; links are
     confirmed on the sets, so none is false. percent: least likeness, in hundredths.
     hub_rounds: rounds that test documents against one document per list before all other pairs are.
+    long_list: lists with more documents than this are compared in blocks, not as pairs of rows.
+    block_rows, block_bytes: what one side of such a block may hold.
     """
 
     coordinates: int = 32
     matches: int = 13
     percent: int = 75
     hub_rounds: int = 2
+    long_list: int = 64
+    block_rows: int = 1024
+    block_bytes: int = 8 << 20
 
 
 def _constants(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -78,19 +83,20 @@ def sketches(docs: DataFrame, coordinates: int) -> DataFrame:
 
 
 def shared_postings(reps: DataFrame, m: Matching) -> DataFrame:
-    """id, n, key: the postings that can lead to a pair with enough matches.
+    """id, n, key, length (of the key's list), central: the postings that can lead to a pair with enough matches.
 
     A document is posted under each coordinate and value. Two documents that agree in `matches`
     coordinates share one of the coordinates - matches + 1 rarest of either, so the others are
     skipped, the longest lists first; a value that no other document has can't be shared at all.
+    central sums the lengths of all lists a document is in: greatest for what most of a group was copied from.
     """
     spread = reps.select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), F.posexplode("signature").alias("c", "v"))
     keyed = spread.select("id", "n", (F.shiftleft(F.col("c").cast("long"), 32) + F.col("v").cast("long").bitwiseAND(F.lit(0xFFFFFFFF))).alias("key"))
     shared = keyed.withColumn("length", F.count("*").over(Window.partitionBy("key"))).where("length > 1")
     own = Window.partitionBy("id")
     prefix = m.coordinates - m.matches + 1
-    ranked = shared.withColumn("place", F.row_number().over(own.orderBy("length", "key"))).withColumn("many", F.count("*").over(own))
-    return ranked.where(F.col("place") <= prefix - (m.coordinates - F.col("many"))).select("id", "n", "key")
+    ranked = shared.withColumn("place", F.row_number().over(own.orderBy("length", "key"))).withColumn("many", F.count("*").over(own)).withColumn("central", F.sum("length").over(own))
+    return ranked.where(F.col("place") <= prefix - (m.coordinates - F.col("many"))).select("id", "n", "key", "length", "central")
 
 
 def alike(n: Column, m: Column, percent: int) -> Column:
@@ -102,19 +108,8 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets are alike enough."""
     left = pairs.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("of_a")), "a")
     both = left.join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("of_b")), "b")
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for p in batches:
-            keep = np.zeros(len(p), bool)
-            for i, (x, y) in enumerate(zip(p["of_a"], p["of_b"])):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                small, large = (x, y) if len(x) <= len(y) else (y, x)
-                at = np.minimum(np.searchsorted(large, small), len(large) - 1)
-                common = int((large[at] == small).sum())
-                keep[i] = 100 * common >= percent * (len(x) + len(y) - common)
-            yield p.loc[keep, ["a", "b"]]
-
-    return both.select("a", "b", "of_a", "of_b").mapInPandas(run, "a long, b long")
+    counted = both.select("a", "b", (F.size("of_a") + F.size("of_b")).alias("n"), F.size(F.array_intersect("of_a", "of_b")).alias("common"))
+    return counted.where(F.col("common") * 100 >= (F.col("n") - F.col("common")) * percent).select("a", "b")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -147,22 +142,27 @@ def merged(labels: DataFrame, edges: DataFrame) -> DataFrame:
 
 
 def hub_pairs(postings: DataFrame, labels: DataFrame, m: Matching, turn: int, most: int = 2) -> DataFrame:
-    """a, b: each document with hubs of its lists, one per list by a seeded hash, that are not yet in its component.
+    """a, b: each document with hubs of its lists that are not yet in its component, those of most lists first.
 
-    The hubs met in most lists are tested first; which lists agree on a hub differs by turn.
+    A list's hub is its most central document in the first turn, later one by a seeded hash.
     """
     lists = postings.join(labels, "id")
-    hubs = lists.groupBy("key").agg(F.min(F.struct(hash60(F.lit(turn), F.col("id"), F.shiftright("key", 34)).alias("h"), "id", "n", "comp")).alias("hub"))
+    rank = -F.col("central") if turn == 0 else hash60(F.lit(turn), F.col("id"), F.shiftright("key", 34))
+    hubs = lists.groupBy("key").agg(F.min(F.struct(rank.alias("h"), "id", "n", "comp")).alias("hub"))
     met = lists.join(hubs, "key").where((F.col("comp") != F.col("hub.comp")) & alike(F.col("n"), F.col("hub.n"), m.percent))
     counts = met.groupBy(F.col("id").alias("a"), F.col("hub.id").alias("b")).agg(F.count("*").alias("lists"))
     return counts.withColumn("place", F.row_number().over(Window.partitionBy("a").orderBy(F.desc("lists"), "b"))).where(F.col("place") <= most).select("a", "b")
 
 
-def open_pairs(postings: DataFrame, labels: DataFrame, reps: DataFrame, m: Matching) -> DataFrame:
-    """a, b: all pairs of different components that share a posting and agree in enough coordinates."""
+def open_lists(postings: DataFrame, labels: DataFrame) -> DataFrame:
+    """Postings of the lists that still hold documents of different components."""
     lists = postings.join(labels, "id")
-    mixed_lists = lists.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("key")
-    lists = lists.join(mixed_lists, "key", "left_semi")
+    mixed_keys = lists.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("key")
+    return lists.join(mixed_keys, "key", "left_semi")
+
+
+def pairs_of_short_lists(lists: DataFrame, reps: DataFrame, m: Matching) -> DataFrame:
+    """a, b: all pairs of different components in a list, that agree in enough coordinates."""
     left, right = (lists.select("key", F.col("id").alias(i), F.col("n").alias(f"n_{i}"), F.col("comp").alias(f"comp_{i}")) for i in "ab")
     pairs = left.join(right, "key").where((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")) & alike(F.col("n_a"), F.col("n_b"), m.percent)).select("a", "b").distinct()
     for i in "ab":
@@ -171,14 +171,72 @@ def open_pairs(postings: DataFrame, labels: DataFrame, reps: DataFrame, m: Match
     return pairs.where(agreed >= m.matches).select("a", "b")
 
 
+def common_counts(a: list[np.ndarray], b: list[np.ndarray], width: int = 2048) -> np.ndarray:
+    """Sizes of the intersections of all sets of a with all of b, from 0/1 matrices of the elements found twice."""
+    values = np.concatenate([*a, *b])
+    row = np.repeat(np.arange(len(a) + len(b)), [len(x) for x in [*a, *b]])
+    _, column, times = np.unique(values, return_inverse=True, return_counts=True)
+    place = np.cumsum(times > 1) - 1
+    keep = times[column] > 1
+    row, column = row[keep], place[column[keep]]
+    order = np.argsort(column, kind="stable")
+    row, column = row[order], column[order]
+    out = np.zeros((len(a), len(b)), np.float32)
+    for low in range(0, int(place[-1]) + 1 if len(place) else 0, width):
+        i, j = np.searchsorted(column, [low, low + width])
+        x = np.zeros((len(a) + len(b), width), np.float32)
+        x[row[i:j], column[i:j] - low] = 1.0
+        out += x[: len(a)] @ x[len(a) :].T
+    return out
+
+
+def links_of_long_lists(lists: DataFrame, sets: DataFrame, m: Matching) -> DataFrame:
+    """a, b: links between different components in long lists, enough to join all that are linked there.
+
+    A list is cut into parts of bounded size, every two parts are compared whole as blocks on the full sets, and
+    a block gives a spanning forest of its links. Rows do not grow as the pairs do: each document is sent
+    once per part of its list.
+    """
+    with_sets = lists.select("key", "id", "comp").join(sets, "id")
+    sizes = with_sets.groupBy("key").agg(F.count("*").alias("rows"), F.sum(F.size("shingles") * F.lit(8)).alias("bytes"))
+    sizes = sizes.select("key", F.greatest(F.ceil(F.col("rows") / m.block_rows), F.ceil(F.col("bytes") / m.block_bytes)).cast("int").alias("parts"))
+    parted = with_sets.join(sizes, "key").withColumn("part", (hash60(F.lit(9), F.col("id")) % F.col("parts")).cast("int"))
+    other = parted.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    blocks = other.select("key", F.least("part", "other").alias("x"), F.greatest("part", "other").alias("y"), "part", "id", "comp", "shingles")
+
+    def links(key: tuple, p: pd.DataFrame) -> pd.DataFrame:
+        _, x, y = key
+        a, b = p[p["part"] == x], p[p["part"] == y]
+        if not len(a) or not len(b) or p["comp"].nunique() < 2:
+            return pd.DataFrame({"a": [], "b": []}).astype("int64")
+        of = lambda q: [np.asarray(s, np.int64) for s in q["shingles"]]
+        sa, sb = of(a), of(b)
+        common = common_counts(sa, sb)
+        na, nb = (np.array([len(s) for s in q], np.float32) for q in (sa, sb))
+        _, comp = np.unique(np.concatenate([a["comp"], b["comp"]]), return_inverse=True)
+        ca, cb = comp[: len(a)], comp[len(a) :]
+        ids_a, ids_b = a["id"].to_numpy(), b["id"].to_numpy()
+        root, out = np.arange(comp.max() + 1), []
+        for i in range(len(a)):  # row by row, so that memory follows the block and not its links
+            linked = np.flatnonzero((100 * common[i] >= m.percent * (na[i] + nb - common[i])) & (root[cb] != root[ca[i]]))
+            if len(linked):
+                others, first = np.unique(root[cb[linked]], return_index=True)
+                for r, j in zip(others, linked[first]):
+                    out.append((ids_a[i], ids_b[j]))
+                    root[root == r] = root[ca[i]]
+        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
+
+    return blocks.groupBy("key", "x", "y").applyInPandas(lambda key, p: links(key, p), "a long, b long")
+
+
 def near_duplicates(docs: DataFrame, m: Matching = Matching()) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every document.
 
     Documents whose sets of distinct runs of five words have a likeness of 75 in 100 or more are linked;
     component_id is the least doc_id that links reach, kept marks that document. Equal sets are
     folded to one first, so copies never meet in pairs. Large groups of near copies come together
-    through hubs, and only pairs of documents still apart are then compared all, so no link between different
-    components is left out. A null or blank text has the empty set and is linked with nothing, so is a
+    through hubs; documents still apart are then compared all, in blocks where lists are long, so no link
+    between different components is left out. A null or blank text has the empty set and is linked with nothing, so is a
     null doc_id (component_id null, kept); rows with one doc_id are one document. No rows give no rows.
     """
     sketched = written(sketches(docs, m.coordinates), "sketches")
@@ -190,14 +248,19 @@ def near_duplicates(docs: DataFrame, m: Matching = Matching()) -> DataFrame:
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            yield pd.DataFrame({"id": b["doc_id"], "shingles": [shingle_set(t).tobytes() for t in b["text"]]})
+            for at in range(0, len(b), 1000):
+                part = b.iloc[at : at + 1000]
+                yield pd.DataFrame({"id": part["doc_id"], "shingles": [shingle_set(t).view(np.int64) for t in part["text"]]})
 
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
-    sets = written(texts.mapInPandas(run, "id long, shingles binary"), "sets")
+    sets = written(texts.mapInPandas(run, "id long, shingles array<long>"), "sets")
     labels = written(ids.select("id", F.col("id").alias("comp")), "labels")
-    for turn in range(m.hub_rounds + 1):
-        pairs = hub_pairs(postings, labels, m, turn) if turn < m.hub_rounds else open_pairs(postings, labels, groups, m)
-        labels = merged(labels, written(confirmed(pairs, sets, m.percent), "links"))
+    for turn in range(m.hub_rounds):
+        labels = merged(labels, written(confirmed(hub_pairs(postings, labels, m, turn), sets, m.percent), "links"))
+    lists = written(open_lists(postings, labels), "open-lists")
+    short = confirmed(pairs_of_short_lists(lists.where(F.col("length") <= m.long_list), groups, m), sets, m.percent)
+    long = links_of_long_lists(lists.where(F.col("length") > m.long_list), sets, m)
+    labels = merged(labels, written(short.unionByName(long), "links"))
     # Only groups of copies and linked documents can have another component than themselves. A group may be
     # of any size, so its row is dealt to each of some parts of its documents.
     parts = 16
