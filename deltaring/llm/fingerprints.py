@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import unicodedata
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -100,7 +100,7 @@ def digests(df: DataFrame, texts: list[str], keep: list[str]) -> DataFrame:
     return df.select(*keep, *texts).mapInPandas(run, schema)
 
 
-def collided(docs: DataFrame, prints: DataFrame) -> DataFrame:
+def collided(docs: DataFrame, prints: DataFrame, make: Callable[[bytes], str] = digest) -> DataFrame:
     """digest: those that stand for different canonical bytes among documents (text), by comparing bytes.
 
     prints has every digest, a row per document. Only texts whose digest occurs twice are compared; a
@@ -114,7 +114,7 @@ def collided(docs: DataFrame, prints: DataFrame) -> DataFrame:
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         bits = np.unpackbits(sent.value)
         for b in batches:
-            rows = [(d, f) for f in map(canonical, b["text"]) if bits[_slot(d := digest(f))]]
+            rows = [(d, f) for f in map(canonical, b["text"]) if bits[_slot(d := make(f))]]
             yield pd.DataFrame(rows, columns=["digest", "form"])
 
     forms = docs.select("text").mapInPandas(run, "digest string, form binary")

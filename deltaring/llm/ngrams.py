@@ -12,12 +12,13 @@ from .common import SPACE, hash60
 
 @dataclass(frozen=True)
 class NgramModel:
-    """slots: hash slots of words and word pairs. smoothing: added to each slot's count in both models.
+    """slots: hash slots of words and word pairs. smoothing: added to each slot's count in the trusted model, and in
+    the same proportion in the raw one, so that n-grams too rare to tell weigh nothing.
     most_trusted: the trusted model is fitted on at most so many labelled documents, those first by a hash of
     their id; the raw model always counts every document."""
 
     slots: int = 1 << 16
-    smoothing: float = 1.0
+    smoothing: float = 16.0
     most_trusted: int = 20_000
 
 
@@ -44,11 +45,11 @@ def trusted_ids(labels: DataFrame, model: NgramModel) -> DataFrame:
 
 
 def log_ratios(docs: DataFrame, labels: DataFrame, model: NgramModel) -> DataFrame:
-    """slot, ratio: for each slot the log of its share in the trusted model over that in the raw one."""
+    """slot, ratio: for each slot the log of its share in the trusted model over that in the raw one; 0 without labels."""
     marked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(trusted_ids(labels, model)), F.col("doc_id") == F.col("trusted_id"), "left")
     each = marked.select(F.col("trusted_id").isNotNull().cast("long").alias("good"), F.explode(slots_of(words(F.col("text")), model.slots)).alias("slot"))
     counts = each.groupBy("slot").agg(F.count("*").alias("raw"), F.sum("good").alias("good"))
-    a, n = model.smoothing, model.slots
-    every = docs.sparkSession.range(n).select(F.col("id").cast("int").alias("slot")).join(counts, "slot", "left").na.fill(0)
-    sums = every.agg((F.log(F.sum("raw") + a * n) - F.log(F.sum("good") + a * n)).alias("shift"))
-    return every.select("slot", (F.log(F.col("good") + a) - F.log(F.col("raw") + a) + sums.scalar()).alias("ratio"))
+    every = docs.sparkSession.range(model.slots).select(F.col("id").cast("int").alias("slot")).join(counts, "slot", "left").na.fill(0)
+    share = every.agg((F.sum("good") / F.greatest(F.sum("raw"), F.lit(1))).alias("share")).scalar()
+    a = F.lit(model.smoothing)
+    return every.select("slot", (F.log(F.col("good") + a) - F.log(F.col("raw") * share + a)).alias("ratio"))

@@ -9,7 +9,7 @@ from .common import SPACE, WORD
 from .ngrams import NgramModel, log_ratios, slots_of, words
 
 #: A document whose mean log ratio is below this is rejected.
-THRESHOLD = -0.15
+THRESHOLD = -0.06
 
 
 def repeated_words(w: Column) -> Column:
@@ -58,8 +58,7 @@ def judged_documents(docs: DataFrame, labels: DataFrame, threshold: float = THRE
     kept is false where the base rules fail (under 50 words, or over half of the words in repeated
     windows), else true where the sum of the log ratios of all its words and word pairs, divided by their
     number, is at least the threshold. A null or blank text has no words and fails; repeated rows are
-    judged each; with no labels both models are the prior and all documents that pass the base rules
-    and whose ratio is not below the threshold stay.
+    judged each; without labels all ratios are 0 and every document that passes the base rules stays.
     """
     ratios = ratio_array(log_ratios(docs, labels, model))
     rows = counted(docs).withColumn("weight", F.transform(F.array(slots_of(F.col("words"), model.slots)), lambda g: F.struct(F.aggregate(g, F.lit(0.0), lambda t, x: t + F.get(ratios, x)).alias("sum"), F.size(g).alias("n")))[0])

@@ -46,8 +46,8 @@ def fitted_ratios(docs: DataFrame, labels: DataFrame, model: NgramModel) -> np.n
     counts = marked.select("text", F.col("trusted_id").isNotNull().alias("good")).mapInPandas(count, "slot int, raw long, good long").groupBy("slot").agg(F.sum("raw").alias("raw"), F.sum("good").alias("good")).toPandas()  # at most `slots` rows
     raw, good = np.zeros(slots), np.zeros(slots)
     raw[counts["slot"]], good[counts["slot"]] = counts["raw"], counts["good"]
-    a = model.smoothing
-    return np.log((good + a) / (good.sum() + a * slots)) - np.log((raw + a) / (raw.sum() + a * slots))
+    share = good.sum() / max(raw.sum(), 1.0)
+    return np.log(good + model.smoothing) - np.log(raw * share + model.smoothing)
 
 
 def gumbel(seed: int, *cols: Column) -> Column:
