@@ -10,7 +10,7 @@ def bin_width(x: Column | str, low: float, width: float, most: int | None = None
     """Number of the bin of equal width from low on; at most `most`. Null stays null."""
     x = F.col(x) if isinstance(x, str) else x
     b = F.floor((x - F.lit(low)) / F.lit(width)).cast("long")
-    return b if most is None else F.least(b, F.lit(most).cast("long"))
+    return b if most is None else F.when(b > most, F.lit(most).cast("long")).otherwise(b)
 
 
 def bin_edges(x: Column | str, edges: list[float]) -> Column:
