@@ -44,23 +44,27 @@ def negative_multiplicities(state: DataFrame) -> DataFrame:
     return consolidate(state).where("mult < 0")
 
 
-def propagate(store: ViewStore, alias: str, delta: DataFrame, batch: str) -> dict[str, View]:
-    """Push one table's delta up its path; each view's change is written to its log and read back.
+def propagate(store: ViewStore, alias: str, delta: DataFrame, batch: str, rows: int | None = None) -> dict[str, View]:
+    """Push one table's delta up its path; the change of each kept view is written to its log and read back.
 
     At every step the small delta view meets the stored rows of its siblings only. Those are joined as
-    they lie, snapshot and deltas unmerged, since the product distributes over their sum.
+    they lie, snapshot and deltas unmerged, since the product distributes over their sum. rows: the number
+    of delta rows if the caller has counted them; it bounds the leaf's change, which is sent to all tasks if small.
     """
     tree, ring, out = store.tree, store.ring, {}
     change: View | None = None
     below = None
+    small = (delta.count() if rows is None else rows) <= BROADCAST_ROWS
     for node in tree.path(alias):
         if node.alias is not None:
             change = leaf_view(node, tree, ring, delta)
         else:
             known = [store.rows(s) if s.name in store.kept else _computed(store, s) for s in node.children if s is not below]
-            small = change.df.count() <= BROADCAST_ROWS if known else False
             change = inner_view(node, ring, [change, *known], broadcast_first=small)
-        change = store.append(node, batch, alias, change)
+            small = False
+        if node.name in store.kept:
+            change = store.append(node, batch, alias, change)
+            small = node is not tree.root and change.df.count() <= BROADCAST_ROWS
         out[node.name] = change
         below = node
     return out
@@ -72,13 +76,13 @@ def _computed(store: ViewStore, node):
     return inner_view(node, store.ring, [store.rows(c) if c.name in store.kept else _computed(store, c) for c in node.children])
 
 
-def propagate_all(store: ViewStore, deltas: dict[str, DataFrame], batch: str) -> bool:
+def propagate_all(store: ViewStore, deltas: dict[str, DataFrame], batch: str, rows: dict[str, int] | None = None) -> bool:
     """One bulk over several tables: one after the other, each meeting what the earlier ones changed. False if it was applied before."""
     if store.is_committed(batch):
         return False
     store.staged = []
     for alias, delta in deltas.items():
-        propagate(store, alias, delta, batch)
+        propagate(store, alias, delta, batch, (rows or {}).get(alias))
     store.commit(batch)
     return True
 

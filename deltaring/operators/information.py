@@ -7,6 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.store import new_folder
 from .rings import View
 
 
@@ -29,10 +30,14 @@ def mutual_information(v: View, base: float | str = "e") -> DataFrame:
 
     With h(T) the sum of n log n over the counts n of a grouping T of N rows, I(X, Y) = log N +
     (h(XY) - h(X) - h(Y)) / N: one pass over the entries and a join with a row per attribute.
-    Pairs that never occur together add nothing. An empty join gives no rows.
+    Pairs that never occur together add nothing. An empty join gives no rows. The view is evaluated once: the
+    sums, a row per pair of attributes, are written to shared storage.
     """
     e = count_entries(v)
     h = e.groupBy("attr_u", "attr_v").agg(F.sum(_nlogn(F.col("n"), base)).alias("h"), F.sum("n").alias("n"))
+    path = new_folder(h.sparkSession, "pair-sums")
+    h.coalesce(1).write.parquet(path)
+    h = h.sparkSession.read.schema(h.schema).parquet(path)
     total = h.where("attr_u = '1' and attr_v = '1'").select(F.col("n").alias("total"))
     single = h.where("attr_u = '1' and attr_v <> '1'").select(F.col("attr_v").alias("attr"), F.col("h").alias("h1"), F.lit(1).alias("k"))
     single = single.join(total.withColumn("k", F.lit(1)), "k").drop("k")  # a row per attribute, each with the one total

@@ -99,13 +99,15 @@ class SparseMomentRing(Ring):
 
     def entries(self, v: View) -> DataFrame:
         """keys, attr_u, cat_u, attr_v, cat_v, value, n: "1" for the constant, the diagonal of categories filled in."""
-        part = lambda i, f: F.coalesce(F.get("term", F.lit(i))[f], F.lit("1")) if f == "a" else F.get("term", F.lit(i))[f]
-        two = v.df.where(F.size("term") == 2).select(*v.keys, part(0, "a").alias("attr_u"), part(0, "c").alias("cat_u"), part(1, "a").alias("attr_v"), part(1, "c").alias("cat_v"), F.col("v").alias("value"), "n")
-        one = v.df.where(F.size("term") <= 1).select(*v.keys, F.lit("1").alias("attr_u"), F.lit(None).cast("string").alias("cat_u"), part(0, "a").alias("attr_v"), part(0, "c").alias("cat_v"), F.col("v").alias("value"), "n")
+        at = lambda i, f: F.get("term", F.lit(i))[f]
+        none = F.lit(None).cast("string")
+        row = lambda u, cu, x, cx: F.struct(u.alias("attr_u"), cu.alias("cat_u"), x.alias("attr_v"), cx.alias("cat_v"))
+        size = F.size("term")
+        own = F.when(size == 2, row(at(0, "a"), at(0, "c"), at(1, "a"), at(1, "c"))).otherwise(row(F.lit("1"), none, F.coalesce(at(0, "a"), F.lit("1")), at(0, "c")))
         cats = [a for a, k in self.kinds.items() if k == CAT]
-        diagonal = one.where(F.col("attr_v").isin(cats)).withColumns({"attr_u": F.col("attr_v"), "cat_u": F.col("cat_v")}) if cats else None
-        out = one.unionByName(two)
-        return out.unionByName(diagonal) if diagonal is not None else out
+        square = F.when((size == 1) & at(0, "a").isin(cats), row(at(0, "a"), at(0, "c"), at(0, "a"), at(0, "c")))
+        both = F.filter(F.array(own, square), lambda x: x.isNotNull()) if cats else F.array(own)
+        return v.df.select(*v.keys, F.inline(both), F.col("v").alias("value"), "n").select(*v.keys, "attr_u", "cat_u", "attr_v", "cat_v", "value", "n")
 
 
 def compose(outer: str, inner: str, spec: QuerySpec, **options):

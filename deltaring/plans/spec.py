@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 CONT, CAT = "cont", "cat"
+#: Payload columns; keys of views can't be called so.
+RESERVED = {"c", "v", "n", "term", "mult"}
 
 
 @dataclass(frozen=True)
@@ -107,6 +109,9 @@ class QuerySpec:
         names = [a.name for a in (*self.attributes, *self.free)]
         if len(set(names)) != len(names):
             raise SpecError("attribute names must differ")
+        taken = RESERVED & {*self.variables(), *(f.name for f in self.free)}
+        if taken:
+            raise SpecError(f"views have payload columns of these names: {sorted(taken)}")
         for a in (*self.attributes, *self.free):
             if a.table not in self.tables:
                 raise SpecError(f"attribute {a.name}: no table {a.table}")

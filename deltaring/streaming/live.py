@@ -49,9 +49,10 @@ class LiveSession:
         if all(s.is_committed(batch) for s in self._stores()):
             return False
         deltas = {a: consolidate(d.drop("bulk")) for a, d in deltas.items()}
-        with self.log.bulk(batch, sum(d.count() for d in deltas.values())) as log, log.part("propagate"):
+        rows = {a: d.count() for a, d in deltas.items()}
+        with self.log.bulk(batch, sum(rows.values())) as log, log.part("propagate"):
             for s in self._stores():
-                propagate_all(s, deltas, batch)
+                propagate_all(s, deltas, batch, rows)
         if self.pause:
             time.sleep(self.pause)
         return True
