@@ -196,7 +196,7 @@ def test_online_learner_ignores_deletes(spark):
 
 
 def test_free_variables_and_self_join(spark):
-    s = QuerySpec({"x": "S", "y": "S"}, (("x.a", "y.a"),), (Attribute("d1", "x", expr="d"), Attribute("d2", "y", expr="d")), free=(Attribute("c", "x", CAT),))
+    s = QuerySpec({"x": "S", "y": "S"}, (("x.a", "y.a"),), (Attribute("d1", "x", expr="d"), Attribute("d2", "y", expr="d")), free=(Attribute("kind", "x", CAT, "c"),))
     data = {"x": toy.frames(spark)["S"], "y": toy.frames(spark)["S"]}
     tree = build_view_tree(s)
     ring = MomentRing(s, "decimal")

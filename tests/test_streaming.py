@@ -1,3 +1,5 @@
+import os
+
 from pyspark.sql import functions as F
 
 from deltaring import workloads as w
@@ -58,6 +60,8 @@ def test_session_panels(spark):
 def events(spark, tmp_path, rows):
     for i, part in enumerate(rows):
         spark.createDataFrame(part, "event_id long, ts string, event_type string, value double").withColumn("ts", F.col("ts").cast("timestamp_ntz")).coalesce(1).write.parquet(f"{tmp_path}/in{i}")
+        for file in (tmp_path / f"in{i}").glob("part-*"):
+            os.utime(file, (1_700_000_000 + 60 * i,) * 2)  # the stream takes files by age
     schema = spark.read.parquet(f"{tmp_path}/in0").schema
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in*")
 
@@ -72,7 +76,7 @@ DAY = "2024-01-01 {:02d}:{:02d}:00"
 
 
 def test_windows_and_late_rows(spark, tmp_path):
-    rows = [[(1, DAY.format(0, 5), "a", 1.0), (2, DAY.format(0, 50), "a", 2.0)], [(3, DAY.format(3, 0), "a", 4.0)], [(4, DAY.format(0, 10), "a", 100.0), (5, DAY.format(3, 5), "b", 1.0)]]
+    rows = [[(1, DAY.format(0, 5), "a", 1.0), (2, DAY.format(0, 50), "a", 2.0)], [(3, DAY.format(3, 0), "a", 4.0)], [(6, DAY.format(3, 1), "a", 4.0)], [(4, DAY.format(0, 10), "a", 100.0), (5, DAY.format(3, 5), "b", 1.0)]]
     stream = windows.event_time(events(spark, tmp_path, rows), late="10 minutes")
     out = run(windows.tumbling(stream, ["event_type"], "value", "1 hour"), "append", tmp_path, "tumble")
     assert [(r.event_type, r.c, float(r.s), float(r.q)) for r in out] == [("a", 2, 3.0, 5.0)]  # the late row of 100 is dropped

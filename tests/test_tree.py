@@ -38,6 +38,7 @@ def test_bad_specs(spark):
         QuerySpec(w.J1_TABLES, w.J1_JOINS, (Attribute("x", "region", "cont", "r_name"),)),
         QuerySpec(w.J1_TABLES, w.J1_JOINS, (Attribute("x", "region", CAT, "r_name"), Attribute("x", "nation", CAT, "n_name"))),
         w.j1(("l_quantity",), label="nothing"),
+        w.j1(free=(Attribute("c", "region", CAT, "r_name"),)),
     ):
         with pytest.raises(SpecError):
             spec.validate(data)
