@@ -5,8 +5,10 @@ from __future__ import annotations
 import numpy as np
 import xxhash
 
+from .caches import claim
+
 #: Words whose hash one worker keeps; emptied beyond that.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 300_000
 
 
 class _Known(dict):
@@ -22,6 +24,7 @@ def word_hashes(text: str | None, lower: bool = False) -> np.ndarray:
     """uint64 hash of each word, in order; A to Z lower-cased first if asked for. Null has no words."""
     if not text:
         return np.zeros(0, np.uint64)
+    claim("hashes", _known.clear)
     if len(_known) > CACHE_WORDS:
         _known.clear()
     raw = text.encode("utf-8", "surrogatepass")
