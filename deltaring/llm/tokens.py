@@ -14,12 +14,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .caches import claim
 from .common import removed, scratch, shared_dir, written
 
 WORD_BPE = "word_bpe_49k.json"
 #: Words in each of the two generations of a worker's cache. When the young one is full it becomes the old one; a word met
 #: again comes back from there, so frequent words stay. The size costs time or memory and changes no id.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 300_000
 
 
 def tokenizer_path(name: str = WORD_BPE) -> str:
@@ -56,6 +57,18 @@ def piece_encoder(path: str):
     return lambda piece: bpe.encode_single_piece(piece + b"\xff")
 
 
+class _Words(dict):
+    """word -> ids; a word that is not there is looked up in the old generation or encoded."""
+
+    def __init__(self, learn):
+        super().__init__()
+        self.learn = learn
+
+    def __missing__(self, word: bytes) -> bytes:
+        ids = self[word] = self.learn(word)
+        return ids
+
+
 class WordIds:
     """Ids of whole texts as little-endian unsigned 32-bit bytes.
 
@@ -68,28 +81,19 @@ class WordIds:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.piece = piece_encoder(path)
-        self.young: dict[bytes, bytes] = {}
-        self.old: dict[bytes, bytes] = {}
-
-    def _learn(self, words: set[bytes]) -> None:
-        """Have all these words in the young generation."""
-        if len(self.young) > CACHE_WORDS:
-            self.old, self.young = self.young, {}
-        young, old = self.young, self.old
-        new, piece = [], self.piece
-        for w in words.difference(young.keys()):
-            ids = old.get(w)
-            if ids is None:
-                ids = self._plain(w) if piece else None
-                if ids is None:
-                    new.append(w)
-                    continue
-            young[w] = ids
-        for at in range(0, len(new), 20_000):
-            some = new[at : at + 20_000]
-            for w, e in zip(some, self.tokenizer.encode_batch_fast([x.decode("utf-8") for x in some], add_special_tokens=False)):
-                young[w] = array("I", e.ids).tobytes()
+        self.path, self.piece = path, piece_encoder(path)
+        self._forget()
+
+    def _forget(self) -> None:
+        self.young, self.old = _Words(self._learn), {}
+
+    def _learn(self, word: bytes) -> bytes:
+        ids = self.old.get(word)
+        if ids is None and self.piece:
+            ids = self._plain(word)
+        if ids is None:
+            ids = array("I", self.tokenizer.encode(word.decode("utf-8"), add_special_tokens=False).ids).tobytes()
+        return ids
 
     def _plain(self, word: bytes) -> bytes | None:
         """Ids of a word of letters, maybe with marks after them, whose form is sure to be kept; None for any other."""
@@ -106,17 +110,12 @@ class WordIds:
         return array("I", ids + self.piece(m[2].encode()) if m[2] else ids).tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        parts = [t.encode("utf-8", "replace").lower().split() if t else [] for t in texts]
-        out, low = [], 0
-        while low < len(parts):
-            high, words = low, set()
-            while high < len(parts) and len(words) <= CACHE_WORDS // 2:
-                words.update(parts[high])
-                high += 1
-            self._learn(words)
-            get = self.young.__getitem__
-            out.extend(b"".join(map(get, p)) for p in parts[low:high])
-            low = high
+        claim(f"ids of {self.path}", self._forget)
+        out = []
+        for t in texts:
+            if len(self.young) > CACHE_WORDS:
+                self.old, self.young = self.young, _Words(self._learn)
+            out.append(b"".join(map(self.young.__getitem__, t.encode("utf-8", "replace").lower().split())) if t else b"")
         return out
 
 
