@@ -11,7 +11,7 @@ _FREE, _END = "(?<![0-9A-Za-z])", "(?![0-9A-Za-z])"
 
 #: What is looked for, in this order where two start at the same place.
 PATTERNS = {
-    "secret": f"{_FREE}[0-9a-f]{{32,128}}{_END}",
+    "secret": f"{_FREE}(?:[0-9a-f]{{32,128}}|[0-9A-F]{{32,128}}){_END}",
     "email": r"(?<![0-9A-Za-z._%+-])[0-9A-Za-z._%+-]{1,64}+@(?:[0-9A-Za-z-]{1,63}\.){1,8}[A-Za-z]{2,24}" + _END,
     "ip": r"(?<![0-9A-Za-z.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?![0-9A-Za-z]|\.[0-9])",
     "iso_date": f"{_FREE}[0-9]{{4}}-[0-9]{{2}}-[0-9]{{2}}{_END}",
@@ -152,12 +152,17 @@ def day(m: Column, key: str, iso: bool) -> Column:
     return F.when(good, bound(F.datediff(F.make_date(year, month, dom), F.lit("1900-01-01").cast("date")), moved)).otherwise(m)
 
 
+def in_either_case(m: Column, use) -> Column:
+    """use(m), for capitals the capitals of what the small letters give, so that both spellings stay linked."""
+    return F.when((m == F.upper(m)) & m.rlike("[A-Z]"), F.upper(use(F.lower(m)))).otherwise(use(m))
+
+
 def pseudonym(m: Column, key: str) -> Column:
     """The pseudonym of one match of ANY: the first pattern that the whole match fits decides how."""
     whole = lambda kind: m.rlike(f"^(?:{PATTERNS[kind]})$")
     return (
-        F.when(whole("secret"), characters(m, key, "secret", alphabets=(HEX,)))
-        .when(whole("email"), characters(m, key, "email", fixed_from=F.instr(m, "@") - 1))
+        F.when(whole("secret"), in_either_case(m, lambda x: characters(x, key, "secret", alphabets=(HEX,))))
+        .when(whole("email"), in_either_case(m, lambda x: characters(x, key, "email", fixed_from=F.instr(x, "@") - 1)))
         .when(whole("ip"), address(m, key))
         .when(whole("iso_date"), day(m, key, True))
         .when(whole("date"), day(m, key, False))
@@ -188,7 +193,7 @@ def pseudonymised(df: DataFrame, key: str, column: str = "text") -> DataFrame:
 
         return bound(new, joined)
 
-    found = F.when(text.rlike("[0-9@]") | text.rlike("[a-f]{32}"), F.regexp_extract_all(text, F.lit(ANY), 0))
+    found = F.when(text.rlike("[0-9@]") | text.rlike("[a-f]{32}|[A-F]{32}"), F.regexp_extract_all(text, F.lit(ANY), 0))
     result = F.transform(F.array(found), lambda h: F.when(F.coalesce(F.size(h) > 0, F.lit(False)), replaced(h)))[0]
     rows = df.withColumn("__new", result)
     return rows.select(*[F.coalesce("__new.text", F.col(c)).alias(c) if c == column else F.col(c) for c in df.columns], F.coalesce("__new.n", F.lit(0)).cast("long").alias("n_pseudonyms"))

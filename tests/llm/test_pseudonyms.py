@@ -32,6 +32,8 @@ def test_forms_and_links(spark):
     assert re.fullmatch(r'token = "[0-9a-f]{40}"', t[15])
     assert [n for _, n in got] == [1, 1, 1, 0, 1, 1, 1, 1, 0, 1, 0, 1, 0, 1, 0, 1, 2]
     assert run(spark, ["4845168114407329"], "other")[0][0] != card
+    low, high = ([x for x, _ in run(spark, [f(a) for a in ("the.72@mail3.example.com", "908038b7daaf91e730d2f64001c52934d43d9336")])] for f in (str.lower, str.upper))
+    assert [x.upper() for x in low] == high and low[0] == t[6]
 
 
 def test_permutations_have_no_collisions(spark):
