@@ -79,7 +79,8 @@ class SparseMomentRing(Ring):
 
         def met(x: Column) -> Column:
             v = (F.col("v").cast(NARROW) * x["v"].cast(NARROW)).cast(WIDE) if self.exact else F.col("v") * x["v"]
-            return F.struct(F.array_sort(F.concat(F.col("term"), x["term"])).alias("term"), v.alias("v"), (F.col("n") * x["n"]).alias("n"))
+            term = F.when(F.size(x["term"]) == 0, F.col("term")).when(F.size("term") == 0, x["term"]).otherwise(F.sort_array(F.concat(F.col("term"), x["term"])))
+            return F.struct(term.alias("term"), v.alias("v"), (F.col("n") * x["n"]).alias("n"))
 
         fits = F.filter("__with", lambda x: F.size(x["term"]) + F.size("term") <= self.degree)
         return View(both.select(*keys, F.inline(F.transform(fits, met))), keys, tuple(sorted({*a.attrs, *b.attrs})))
