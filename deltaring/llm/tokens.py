@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .caches import claim
-from .common import removed, scratch, shared_dir, written
+from .common import scratch
 
 WORD_BPE = "word_bpe_49k.json"
 #: Words in each of the two generations of a worker's cache. When the young one is full it becomes the old one; a word met
@@ -161,7 +161,7 @@ class TokenTotals:
     A batch is folded to its sums by key and written as one folder named by its id; a marker is written
     last. A batch whose marker exists is not applied again, one that broke off before its marker is
     written over, so a repeated commit changes nothing. Totals are the sums over committed batches; `fold`
-    puts them into one snapshot. Null keys are keys of their own; a key whose documents have all gone,
+    puts them into one snapshot, and only later batches are read besides it. Null keys are keys of their own; a key whose documents have all gone,
     with no tokens left, is not returned.
     """
 
@@ -190,25 +190,36 @@ class TokenTotals:
         fs.create(marker, True).close()
         return True
 
+    def _last_fold(self) -> tuple[str, list[str]]:
+        """Folder of the newest snapshot and the batches it holds; a list that lacks its end mark was never finished."""
+        fs, p = self._fs(f"{self.path}/folds")
+        names = sorted((x.getPath().getName() for x in fs.listStatus(p)), reverse=True) if fs.exists(p) else []
+        for name in names:
+            stream = fs.open(self._fs(f"{self.path}/folds/{name}")[1])
+            lines = self.spark.sparkContext._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8").split("\n")
+            stream.close()
+            if lines[-1] == "end":
+                return lines[0], lines[1:-1]
+        return "", []
+
     def totals(self) -> DataFrame:
         """source, lang, tokenizer, n_docs, n_tokens over the committed batches."""
-        done = self.committed()
+        folded, held = self._last_fold()
+        paths = ([folded] if folded else []) + [f"{self.path}/batches/{b}" for b in self.committed() if b not in set(held)]
         schema = "source string, lang string, tokenizer string, n_docs long, n_tokens long"
-        log = self.spark.read.schema(schema).parquet(*[f"{self.path}/batches/{b}" for b in done]) if done else self.spark.createDataFrame([], schema)
+        log = self.spark.read.schema(schema).parquet(*paths) if paths else self.spark.createDataFrame([], schema)
         return log.groupBy(*self.KEYS).agg(F.sum("n_docs").alias("n_docs"), F.sum("n_tokens").alias("n_tokens")).where("n_docs <> 0 or n_tokens <> 0")
 
     def fold(self) -> None:
-        """Write the totals as one more batch that stands for all so far; their markers move with it."""
-        done = self.committed()
-        if len(done) < 2:
+        """Write the totals as one snapshot; the list of the batches it holds comes last and makes it count."""
+        done, (_, held) = self.committed(), self._last_fold()
+        if len(done) < 2 or set(done) == set(held):
             return
-        whole = self.totals().coalesce(1)
-        name = f"{done[-1]}.fold"
-        whole.write.mode("overwrite").parquet(f"{self.path}/folded/{name}")
-        self.spark.read.parquet(f"{self.path}/folded/{name}").write.mode("overwrite").parquet(f"{self.path}/batches/{done[-1]}")
-        for b in done[:-1]:  # their markers stay, so that they are not applied again
-            self.spark.createDataFrame([], "source string, lang string, tokenizer string, n_docs long, n_tokens long").write.mode("overwrite").parquet(f"{self.path}/batches/{b}")
-        removed(self.spark, f"{self.path}/folded/{name}")
-
+        path = scratch(self.spark, "folded-totals")
+        self.totals().coalesce(1).write.parquet(path)
+        fs, p = self._fs(f"{self.path}/folds")
+        n = len(fs.listStatus(p)) if fs.exists(p) else 0
+        out = fs.create(self._fs(f"{self.path}/folds/{n:09d}")[1], True)
+        out.write(bytearray("\n".join([path, *done, "end"]).encode()))
+        out.close()
 
-__all__ = ["TokenTotals", "WordIds", "deletes", "inserts", "revisions", "shared_dir", "token_counts", "tokenizer_path", "word_ids", "written"]
