@@ -3,7 +3,8 @@
 A page is read as a tree of block elements. Inside an element, neighbouring children of one label fold into
 a repeated group (also groups of two or three), inline markup and text fold into a text slot. Aligning
 the trees of a host's pages turns what only some have into optional groups. The outcome is one tree per
-host; its text slots are then marked as content or not, and each page is read along the tree.
+host; its text slots are then marked as noise or not, and each page is read along the tree, under its own
+main elements if it has some.
 """
 
 from __future__ import annotations
@@ -224,27 +225,16 @@ def expression(w: list) -> str:
 
 
 def content_slots(w: list) -> dict:
-    """The wrapper as nested dicts by label, with "#" where a text slot is content.
-
-    Content are the slots under article or main elements, or, in a wrapper without, all, each but for
-    those under elements that are navigation, notices, adverts, forms, comments and the like.
-    """
-
-    def has_main(n: list) -> bool:
-        return n[0] != SLOT and kind_of(n[0]) != "noise" and (kind_of(n[0]) == "main" or any(has_main(g) for c in n[1] for g in c[0]))
-
-    def marked(n: list, inside: bool) -> dict:
-        out: dict = {}
-        for group, _, _ in n[1]:
-            for g in group:
-                if g[0] == SLOT:
-                    if inside:
-                        out[SLOT] = {}
-                elif kind_of(g[0]) != "noise":
-                    _join(out.setdefault(g[0], {}), marked(g, inside or kind_of(g[0]) == "main"))
-        return out
-
-    return marked(w, not has_main(w))
+    """The wrapper as nested dicts by label, with "#" where there is a text slot, but for what lies under
+    elements that are navigation, notices, adverts, forms, comments and the like."""
+    out: dict = {}
+    for group, _, _ in w[1]:
+        for g in group:
+            if g[0] == SLOT:
+                out[SLOT] = {}
+            elif kind_of(g[0]) != "noise":
+                _join(out.setdefault(g[0], {}), content_slots(g))
+    return out
 
 
 def _join(a: dict, b: dict) -> None:
@@ -252,15 +242,23 @@ def _join(a: dict, b: dict) -> None:
         _join(a.setdefault(k, {}), v)
 
 
+def has_main(n: Node) -> bool:
+    """Whether a main element lies below n and not in noise."""
+    return any(not isinstance(c, str) and (k := kind_of(c.label)) != "noise" and (k == "main" or has_main(c)) for c in n.children)
+
+
 def main_text(root: Node, slots: dict) -> str:
-    """The texts of a page's content slots, a block each, read along the wrapper."""
+    """The texts of a page's content slots, a block each, read along the wrapper.
+
+    Content are the slots under the page's own article or main elements, or, in a page without, all.
+    """
     blocks: list[str] = []
 
-    def read(n: Node, at: dict) -> None:
+    def read(n: Node, at: dict, inside: bool) -> None:
         run: list[str] = []
 
         def close() -> None:
-            if SLOT in at and (text := " ".join(entities.unescape("".join(run)).split())):
+            if inside and SLOT in at and (text := " ".join(entities.unescape("".join(run)).split())):
                 blocks.append(text)
             run.clear()
 
@@ -270,10 +268,10 @@ def main_text(root: Node, slots: dict) -> str:
             elif c.tag not in INLINE:  # inline noise goes and does not part a block
                 close()
                 if c.label in at:
-                    read(c, at[c.label])
+                    read(c, at[c.label], inside or kind_of(c.label) == "main")
         close()
 
-    read(root, slots)
+    read(root, slots, not has_main(root))
     return "\n\n".join(blocks)
 
 

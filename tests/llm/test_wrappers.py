@@ -1,3 +1,4 @@
+import functools
 import html
 import re
 
@@ -53,3 +54,18 @@ def test_odd_rows(spark):
     assert len(got) == 7 and sorted(r.text for r in got) == ["", "", "deep", "t", "t", "u", "v"]
     assert wr.extracted_pages(df.limit(0)).count() == 0
     assert wr.extracted_pages(df, 0).count() == 7
+
+
+def texts_of(*pages):
+    """Texts of the pages of one host."""
+    roots = [wr.parsed(p) for p in pages]
+    whole = functools.reduce(wr.aligned, map(wr.wrapper_of, roots))
+    return [wr.main_text(r, wr.content_slots(whole)) for r in roots]
+
+
+def test_templates_of_one_host_are_read_each(spark):
+    one, two = "<nav>n</nav><div>x</div><article><p>a</p></article>", "<nav>n</nav><div class=content><p>b</p></div>"
+    assert texts_of(one, two) == ["a", "b"] and texts_of(two, one) == ["b", "a"]
+    df = spark.createDataFrame([(1, None, one), (2, "::bad", two), (3, "http://a.com/1", two), (4, "http://a.com/2", one)], "page_id long, url string, html string")
+    for size in (32 << 20, 0):
+        assert [r.text for r in wr.extracted_pages(df, size).orderBy("page_id").collect()] == ["a", "b", "b", "a"]
