@@ -23,7 +23,7 @@ from .common import written
 
 TOKEN = re.compile(
     r"<!--.*?(?:--!?>|\Z)"
-    r"|<(?P<raw>script|style|noscript|template|svg|iframe|textarea|title|select|object|canvas|math|audio|video)\b(?:[^>\"']|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=raw)\s*>|\Z)"
+    r"|<(?P<raw>script|style|noscript|iframe|textarea|title)(?=[\s/>])(?:[^>\"']|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=raw)\s*>|\Z)"
     r"|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<rest>(?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>"
     r"|<[!?][^>]*(?:>|\Z)"
     r"|<[/a-zA-Z][^<>]*(?:>|\Z)"
@@ -34,9 +34,14 @@ MARK = re.compile(r"""\b(class|id|role|itemprop|hidden|aria-hidden)(?:\s*=\s*("[
 # Element names of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var".split())
+#: Elements inside a text like inline markup, whose end tags close what is open in them; those of HIDDEN show no text.
+EMBEDDED = frozenset("math object audio video mi mn mo ms mtext mspace mrow mfrac msqrt mroot mstyle merror mpadded mphantom menclose msub msup msubsup munder mover munderover mmultiscripts mprescripts mtable mtr mtd maction semantics".split())
+HIDDEN = frozenset("svg select canvas template annotation annotation-xml".split())
+FOREIGN = frozenset("svg math".split())
+UNFIT = frozenset("svg math select".split())  # a block inside shows that their end tag is missing
 CLOSES_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul".split())
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "thead": {"tr", "td", "th"}, "tbody": {"thead", "tbody", "tr", "td", "th"}, "tfoot": {"tbody", "tr", "td", "th"}}
-SCOPES = frozenset("ul ol dl table div article section main aside nav body html form td th menu".split())
+SCOPES = frozenset("ul ol dl table div article section main aside nav body html form td th menu foreignobject template object".split())
 APART = frozenset("nav aside footer header form button dialog menu fieldset input head".split())
 #: Words of class, id and role values that mark what is not content, and what is.
 NOISE = frozenset("ad ads advert adverts advertisement advertising adsense banner sponsor sponsored promo promotion promoted sidebar side aside menu nav navbar navigation breadcrumb breadcrumbs crumbs footer header masthead cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe subscription signup login share sharing social related recommended comment comments commentlist reply replies respond disqus discussion widget widgets pagination pager toolbar toc search form complementary contentinfo".split())
@@ -62,7 +67,7 @@ def kind_of(label: str) -> str:
     """noise, main or plain, of a block element."""
     tag = re.match(r"[^.@!]*", label)[0]
     marks = re.findall(r"([.@])([^.@!]+)", label)
-    if tag in APART or "!hidden" in label:
+    if tag in APART or tag in HIDDEN or "!hidden" in label:
         return "noise"
     parts = {p for _, w in marks for p in [w, *re.split(r"[-_:]+|(?<=[a-z])(?=[A-Z])", w)]}
     if tag in ("article", "main") or any(s == "@" and w in MAIN for s, w in marks):
@@ -82,13 +87,14 @@ def parsed(page: str | None) -> Node:
     root = Node("html", "html")
     stack = [root]
 
-    def leave(tags: set[str] | frozenset[str]) -> None:
+    def leave(tags: set[str] | frozenset[str]) -> bool:
         for at in range(len(stack) - 1, 0, -1):
             if stack[at].tag in tags:
                 del stack[at:]
-                return
+                return True
             if stack[at].tag in SCOPES:
-                return
+                return False
+        return False
 
     for m in TOKEN.finditer(page or ""):
         if m["text"] is not None:
@@ -109,6 +115,8 @@ def parsed(page: str | None) -> Node:
             continue
         if tag in CLOSES_P:
             leave({"p"})
+            while leave(UNFIT):
+                pass
         if tag in SIBLINGS:
             leave(SIBLINGS[tag])
         if tag in ("br", "wbr"):
@@ -116,16 +124,15 @@ def parsed(page: str | None) -> Node:
             continue
         node = Node(tag, label_of(tag, m["rest"]))
         stack[-1].children.append(node)
-        if tag not in VOID and not m["rest"].endswith("/"):
-            stack.append(node)
-        elif tag not in VOID and tag not in INLINE:
-            stack.append(node)
+        if tag in VOID or m["rest"].endswith("/") and (tag in INLINE or tag in EMBEDDED or tag in FOREIGN or any(n.tag in FOREIGN for n in stack)):
+            continue
+        stack.append(node)
     return root
 
 
 def is_block(n: Node) -> bool:
-    """Inline elements without marks of noise are markup inside a text."""
-    return n.tag not in INLINE or kind_of(n.label) == "noise"
+    """Inline and embedded elements without marks of noise are markup inside a text."""
+    return n.tag not in INLINE and n.tag not in EMBEDDED or kind_of(n.label) == "noise"
 
 
 def flat(n: Node) -> list:
@@ -146,7 +153,7 @@ def wrapper_of(n: Node) -> list:
         if isinstance(c, str):
             if c.strip() and (not items or items[-1][0] != SLOT):
                 items.append([SLOT, []])
-        else:
+        elif c.tag not in HIDDEN:
             items.append(wrapper_of(c))
     return [n.label, folded([[[x], False, False] for x in items])]
 
@@ -265,7 +272,7 @@ def main_text(root: Node, slots: dict) -> str:
         for c in flat(n):
             if isinstance(c, str):
                 run.append(c)
-            elif c.tag not in INLINE:  # inline noise goes and does not part a block
+            elif c.tag not in INLINE and c.tag not in EMBEDDED and c.tag not in HIDDEN:  # inline noise goes and does not part a block
                 close()
                 if c.label in at:
                     read(c, at[c.label], inside or kind_of(c.label) == "main")

@@ -69,3 +69,13 @@ def test_templates_of_one_host_are_read_each(spark):
     df = spark.createDataFrame([(1, None, one), (2, "::bad", two), (3, "http://a.com/1", two), (4, "http://a.com/2", one)], "page_id long, url string, html string")
     for size in (32 << 20, 0):
         assert [r.text for r in wr.extracted_pages(df, size).orderBy("page_id").collect()] == ["a", "b", "b", "a"]
+
+
+def test_embedded_elements_end_where_they_end():
+    for x in ("<video-js id=v></video-js>", "<audio-player></audio-player>", "<select-box></select-box>", "<svg-icon></svg-icon>", "<svg viewBox='0 0 1 1'/>", "<svg><path d='M0'/><circle r=1></svg>", "<svg><title>t</title><text>no</text></svg>", "<svg><path/>", "<math/>", "<video src=v />", "<object data=o></object>", "<select><option>1<option>2</select>", "<canvas></canvas>", "<template><p>no</p></template>"):
+        assert text_of(f"<article><p>a</p>{x}<p>b</p></article>") == "a\n\nb", x
+        assert text_of(f"<article><div>{x}</div><p>b</p></article>") == "b", x
+    assert text_of("<article><p>a <svg class=i><path/></svg>b <svg/>c</p></article>") == "a b c"
+    assert text_of("<article><p>so <math><mi>x</mi><mo>=</mo><mn>2</mn></math> holds</p><object><p>in place</p></object><title-bar>T</title-bar></article>") == "so x=2 holds\n\nin place\n\nT"
+    assert text_of("<article><script-x>a</script-x><script>no</script><p>b") == "a\n\nb"
+    assert text_of("<article>" + "<svg><path/><g/></svg>" * 3000 + "<svg>" * 2000 + "<p>b") == "b"
