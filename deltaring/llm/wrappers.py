@@ -3,12 +3,12 @@
 A page is read as a tree of block elements. Inside an element, neighbouring children of one label fold into
 a repeated group (also groups of two or three), inline markup and text fold into a text slot. Aligning
 the trees of a host's pages turns what only some have into optional groups. The outcome is one tree per
-host; its text slots are then marked as noise or not, and each page is read along the tree, under its own
-main elements if it has some.
+host, and each page is read along it, under its own main elements if it has some.
 """
 
 from __future__ import annotations
 
+import functools
 import html as entities
 import json
 import re
@@ -45,6 +45,10 @@ SCOPES = frozenset("ul ol dl table div article section main aside nav body html
 APART = frozenset("nav aside footer header form button dialog menu fieldset input head".split())
 #: Words of class, id and role values that mark what is not content, and what is.
 NOISE = frozenset("ad ads advert adverts advertisement advertising adsense banner sponsor sponsored promo promotion promoted sidebar side aside menu nav navbar navigation breadcrumb breadcrumbs crumbs footer header masthead cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe subscription signup login share sharing social related recommended comment comments commentlist reply replies respond disqus discussion widget widgets pagination pager toolbar toc search form complementary contentinfo".split())
+OTHER = frozenset("ad ads advert adverts advertisement advertising adsense sponsor sponsored promoted related recommended comment comments commentlist reply replies respond disqus discussion widget widgets".split())
+BESIDE = frozenset("nav aside footer menu button".split())
+LAYOUT_FIRST = frozenset("has no with without is hide show".split())
+LAYOUT_LAST = frozenset("layout fixed open opened closed collapsed expanded enabled disabled visible".split())
 MAIN = frozenset("main article articlebody".split())
 SLOT = "#"
 
@@ -63,23 +67,35 @@ def label_of(tag: str, rest: str) -> str:
     return tag + "".join(sorted(words | flags)[:12])
 
 
+@functools.lru_cache(10_000)
 def kind_of(label: str) -> str:
-    """noise, main or plain, of a block element."""
+    """Of an element: hidden; main; apart (form or dialog, which can hold the whole page); other (texts beside the
+    main one, such as comments); noise (what else is not content); or plain."""
     tag = re.match(r"[^.@!]*", label)[0]
     marks = re.findall(r"([.@])([^.@!]+)", label)
-    if tag in APART or tag in HIDDEN or "!hidden" in label:
-        return "noise"
-    parts = {p for _, w in marks for p in [w, *re.split(r"[-_:]+|(?<=[a-z])(?=[A-Z])", w)]}
+    if tag in HIDDEN or tag == "head" or "!hidden" in label:
+        return "hidden"
+    parts = {p for _, w in marks for p in parts_of(w)}
     if tag in ("article", "main") or any(s == "@" and w in MAIN for s, w in marks):
-        return "noise" if parts & {"comment", "comments", "reply"} or tag == "article" and "related" in parts else "main"
-    return "noise" if parts & NOISE else "plain"
+        return "other" if parts & {"comment", "comments", "reply"} or tag == "article" and "related" in parts else "main"
+    if tag in BESIDE or parts & OTHER:
+        return "other"
+    if parts & NOISE:
+        return "noise"
+    return "apart" if tag in ("form", "dialog") else "noise" if tag in APART else "plain"
+
+
+def parts_of(word: str) -> list[str]:
+    """A class or id and its parts; of words such as has-sidebar or header-fixed, which tell how a page is laid out, no parts."""
+    parts = re.split(r"[-_:]+|(?<=[a-z])(?=[A-Z])", word)
+    return [word] if len(parts) > 1 and (parts[0] in LAYOUT_FIRST or parts[-1] in LAYOUT_LAST) else [word, *parts]
 
 
 class Node:
-    __slots__ = ("tag", "label", "children")
+    __slots__ = ("tag", "label", "kind", "children")
 
     def __init__(self, tag: str, label: str):
-        self.tag, self.label, self.children = tag, label, []
+        self.tag, self.label, self.kind, self.children = tag, label, kind_of(label), []
 
 
 def parsed(page: str | None) -> Node:
@@ -131,8 +147,8 @@ def parsed(page: str | None) -> Node:
 
 
 def is_block(n: Node) -> bool:
-    """Inline and embedded elements without marks of noise are markup inside a text."""
-    return n.tag not in INLINE and n.tag not in EMBEDDED or kind_of(n.label) == "noise"
+    """Inline and embedded elements without marks of noise or main parts are markup inside a text."""
+    return n.kind != "plain" or n.tag not in INLINE and n.tag not in EMBEDDED
 
 
 def flat(n: Node) -> list:
@@ -232,14 +248,13 @@ def expression(w: list) -> str:
 
 
 def content_slots(w: list) -> dict:
-    """The wrapper as nested dicts by label, with "#" where there is a text slot, but for what lies under
-    elements that are navigation, notices, adverts, forms, comments and the like."""
+    """The wrapper as nested dicts by label, with "#" where there is a text slot."""
     out: dict = {}
     for group, _, _ in w[1]:
         for g in group:
             if g[0] == SLOT:
                 out[SLOT] = {}
-            elif kind_of(g[0]) != "noise":
+            else:
                 _join(out.setdefault(g[0], {}), content_slots(g))
     return out
 
@@ -249,16 +264,33 @@ def _join(a: dict, b: dict) -> None:
         _join(a.setdefault(k, {}), v)
 
 
-def has_main(n: Node) -> bool:
-    """Whether a main element lies below n and not in noise."""
-    return any(not isinstance(c, str) and (k := kind_of(c.label)) != "noise" and (k == "main" or has_main(c)) for c in n.children)
+def has_main(n: Node, through: frozenset[str]) -> bool:
+    """Whether a main element lies below n, in elements of the given kinds alone."""
+    return any(not isinstance(c, str) and (c.kind == "main" or c.kind in through and has_main(c, through)) for c in n.children)
+
+
+# Kinds of elements that are looked through for main elements, the first that finds some.
+WAYS = [frozenset(("plain", "apart")), frozenset(("plain", "apart", "noise")), frozenset(("plain", "apart", "noise", "other"))]
 
 
 def main_text(root: Node, slots: dict) -> str:
     """The texts of a page's content slots, a block each, read along the wrapper.
 
-    Content are the slots under the page's own article or main elements, or, in a page without, all.
+    Content are the slots under the page's own article or main elements, which may lie in forms or in what its
+    name makes noise, or, in a page without, all; each but for those under elements that are navigation, notices,
+    adverts, forms, comments and the like. Where that leaves no text, forms and then articles beside the main
+    part are read.
     """
+    for through in WAYS[:2]:
+        if has_main(root, through):
+            text = read_slots(root, slots, through, False, False) or read_slots(root, slots, through, False, True)
+            break
+    else:
+        text = read_slots(root, slots, frozenset(), True, False) or read_slots(root, slots, frozenset(), True, True)
+    return text or (read_slots(root, slots, WAYS[2], False, False) if has_main(root, WAYS[2]) else "")
+
+
+def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, forms: bool) -> str:
     blocks: list[str] = []
 
     def read(n: Node, at: dict, inside: bool) -> None:
@@ -272,13 +304,16 @@ def main_text(root: Node, slots: dict) -> str:
         for c in flat(n):
             if isinstance(c, str):
                 run.append(c)
-            elif c.tag not in INLINE and c.tag not in EMBEDDED and c.tag not in HIDDEN:  # inline noise goes and does not part a block
-                close()
-                if c.label in at:
-                    read(c, at[c.label], inside or kind_of(c.label) == "main")
+                continue
+            content = c.kind in ("plain", "main") or forms and c.kind == "apart"
+            if not content and (c.tag in INLINE or c.tag in EMBEDDED or c.tag in HIDDEN):
+                continue  # inline noise goes and does not part a block
+            close()
+            if c.label in at and (content or c.kind in through and has_main(c, through)):
+                read(c, at[c.label], content and (inside or c.kind == "main"))
         close()
 
-    read(root, slots, not has_main(root))
+    read(root, slots, whole)
     return "\n\n".join(blocks)
 
 

@@ -79,3 +79,13 @@ def test_embedded_elements_end_where_they_end():
     assert text_of("<article><p>so <math><mi>x</mi><mo>=</mo><mn>2</mn></math> holds</p><object><p>in place</p></object><title-bar>T</title-bar></article>") == "so x=2 holds\n\nin place\n\nT"
     assert text_of("<article><script-x>a</script-x><script>no</script><p>b") == "a\n\nb"
     assert text_of("<article>" + "<svg><path/><g/></svg>" * 3000 + "<svg>" * 2000 + "<p>b") == "b"
+
+
+def test_main_parts_below_noise_are_read():
+    main, rest = "<article><p>a</p></article>", "<div>r</div>"
+    for x in ("<div class='layout has-sidebar'>{}</div>", "<div class=page-header-fixed>{}</div>", "<div class=with-menu>{}</div>", "<form action=x>{}</form>", "<div class=sidebar-left>{}</div>", "<dialog><div class=banner>{}</div></dialog>", "<header>{}</header>"):
+        assert text_of(x.format(main) + rest) == text_of(x.format("<div itemprop=articleBody><p>a</p></div>") + rest) == "a", x
+    assert text_of("<div class='no-sidebar'><p>b</p></div>") == text_of("<form><p>b</p></form>") == text_of("<main><form><p>b</p></form></main>") == "b"
+    assert text_of(f"<div><p>b</p></div><section id=comments>{main}</section><aside>{main}</aside>") == "b"
+    assert text_of(f"<main><p>b</p><form>{main}</form><form>f</form><div class=related>{main}</div></main>") == "b\n\na"
+    assert text_of("<p>x <span itemprop=articleBody>b</span>") == "b" and text_of(f"<div hidden>{main}</div>") == ""
