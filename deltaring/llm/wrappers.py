@@ -50,33 +50,34 @@ BESIDE = frozenset("nav aside footer menu button".split())
 LAYOUT_FIRST = frozenset("has no with without is hide show".split())
 LAYOUT_LAST = frozenset("layout fixed open opened closed collapsed expanded enabled disabled visible".split())
 MAIN = frozenset("main article articlebody".split())
-SLOT = "#"
+SLOT, TAB = "#", "\t"
 
 
-def label_of(tag: str, rest: str) -> str:
-    """Tag and the words of its class, id, role and itemprop, figures as 0; hidden elements are marked so."""
-    words, flags = set(), set()
+@functools.lru_cache(10_000)
+def described(tag: str, rest: str) -> tuple[str, str]:
+    """Label and kind of an element. The label has the tag and the first words of its class, id, role and itemprop,
+    figures as 0, then hidden marks and the kind, which is told from all words as they are written."""
+    marks, flags = [], set()
     if "=" in rest or "hidden" in rest.lower():
         for name, value in MARK.findall(rest):
-            name, value = name.lower(), value.strip("\"'").lower()
+            name, value = name.lower(), value.strip("\"'")
             if name in ("hidden", "aria-hidden"):
-                if name == "hidden" or value == "true":
+                if name == "hidden" or value.lower() == "true":
                     flags.add("!hidden")
             else:
-                words.update(f"{'@' if name in ('role', 'itemprop') else '.'}{re.sub('[0-9]+', '0', w)}" for w in value.split())
-    return tag + "".join(sorted(words | flags)[:12])
+                marks += [("@" if name in ("role", "itemprop") else ".", w) for w in value.split()]
+    kind = kind_of(tag, marks, bool(flags))
+    words = {s + re.sub("[0-9]+", "0", w.lower()) for s, w in marks}
+    return tag + "".join(sorted(words | flags)[:12]) + (TAB + kind if kind != "plain" else ""), kind
 
 
-@functools.lru_cache(10_000)
-def kind_of(label: str) -> str:
+def kind_of(tag: str, marks: list[tuple[str, str]], hidden: bool) -> str:
     """Of an element: hidden; main; apart (form or dialog, which can hold the whole page); other (texts beside the
     main one, such as comments); noise (what else is not content); or plain."""
-    tag = re.match(r"[^.@!]*", label)[0]
-    marks = re.findall(r"([.@])([^.@!]+)", label)
-    if tag in HIDDEN or tag == "head" or "!hidden" in label:
+    if tag in HIDDEN or tag == "head" or hidden:
         return "hidden"
     parts = {p for _, w in marks for p in parts_of(w)}
-    if tag in ("article", "main") or any(s == "@" and w in MAIN for s, w in marks):
+    if tag in ("article", "main") or any(s == "@" and w.lower() in MAIN for s, w in marks):
         return "other" if parts & {"comment", "comments", "reply"} or tag == "article" and "related" in parts else "main"
     if tag in BESIDE or parts & OTHER:
         return "other"
@@ -87,20 +88,22 @@ def kind_of(label: str) -> str:
 
 def parts_of(word: str) -> list[str]:
     """A class or id and its parts; of words such as has-sidebar or header-fixed, which tell how a page is laid out, no parts."""
-    parts = re.split(r"[-_:]+|(?<=[a-z])(?=[A-Z])", word)
+    parts = [p.lower() for p in re.split(r"[-_:.@!]+|(?<=[a-z0-9])(?=[A-Z])|(?<=[A-Z])(?=[A-Z][a-z])", word)]
+    word = word.lower()
     return [word] if len(parts) > 1 and (parts[0] in LAYOUT_FIRST or parts[-1] in LAYOUT_LAST) else [word, *parts]
 
 
 class Node:
     __slots__ = ("tag", "label", "kind", "children")
 
-    def __init__(self, tag: str, label: str):
-        self.tag, self.label, self.kind, self.children = tag, label, kind_of(label), []
+    def __init__(self, tag: str, rest: str = ""):
+        self.tag, self.children = tag, []
+        self.label, self.kind = described(tag, rest)
 
 
 def parsed(page: str | None) -> Node:
     """The tree of a page; children are nodes and strings (texts as they stand, a break being white space)."""
-    root = Node("html", "html")
+    root = Node("html")
     stack = [root]
 
     def leave(tags: set[str] | frozenset[str]) -> bool:
@@ -138,7 +141,7 @@ def parsed(page: str | None) -> Node:
         if tag in ("br", "wbr"):
             stack[-1].children.append("\n" if tag == "br" else "")
             continue
-        node = Node(tag, label_of(tag, m["rest"]))
+        node = Node(tag, m["rest"])
         stack[-1].children.append(node)
         if tag in VOID or m["rest"].endswith("/") and (tag in INLINE or tag in EMBEDDED or tag in FOREIGN or any(n.tag in FOREIGN for n in stack)):
             continue
@@ -244,7 +247,7 @@ def expression(w: list) -> str:
     for group, many, optional in w[1]:
         body = " ".join(expression(g) for g in group)
         inner.append(f"({body}){'*' if many and optional else '+' if many else '?'}" if many or optional else body)
-    return f"<{w[0]}>{' '.join(inner)}</>"
+    return f"<{w[0].split(TAB)[0]}>{' '.join(inner)}</>"
 
 
 def content_slots(w: list) -> dict:

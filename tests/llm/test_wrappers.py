@@ -89,3 +89,12 @@ def test_main_parts_below_noise_are_read():
     assert text_of(f"<div><p>b</p></div><section id=comments>{main}</section><aside>{main}</aside>") == "b"
     assert text_of(f"<main><p>b</p><form>{main}</form><form>f</form><div class=related>{main}</div></main>") == "b\n\na"
     assert text_of("<p>x <span itemprop=articleBody>b</span>") == "b" and text_of(f"<div hidden>{main}</div>") == ""
+
+
+def test_all_words_tell_the_role_of_an_element():
+    many = " ".join(f"a-{c}" for c in "bcdefghijklmnop")
+    for x in ("role=navigation", "role=complementary", "id=widget", "class='{} sidebar'", "class='{} share'", "class=userComments", "class=relatedPosts", "id=siteFooter", "class=cookieBanner", "class=HTMLMenu"):
+        noise = x.format(many) if "{}" in x else f"class='{many}' {x}" if x[0] != "c" else x
+        assert text_of(f"<article><p>a</p><div {noise}>no</div></article>") == "a", x
+    assert text_of(f"<div class='{many}' itemprop=articleBody><p>a</p></div><div>r</div>") == "a"
+    assert texts_of(f"<div class='{many} x' role=navigation>n</div><p>a</p>", f"<div class='{many} x'>b</div>") == ["a", "b"]
