@@ -2,13 +2,15 @@
 
 A page is read as a tree of block elements. Inside an element, neighbouring children of one label fold into
 a repeated group (also groups of two or three), inline markup and text fold into a text slot. Aligning
-the trees of a host's pages turns what only some have into optional groups. The outcome is one tree per
-host, and each page is read along it, under its own main elements if it has some.
+the trees of a host's pages turns what only some have into optional groups, and texts that differ into slots;
+the others stay constant. The outcome is one tree per host, and each page is read along it: under its own
+main elements if it has some, else without what is constant.
 """
 
 from __future__ import annotations
 
 import functools
+import hashlib
 import html as entities
 import json
 import re
@@ -50,7 +52,9 @@ BESIDE = frozenset("nav aside footer menu button".split())
 LAYOUT_FIRST = frozenset("has no with without is hide show".split())
 LAYOUT_LAST = frozenset("layout fixed open opened closed collapsed expanded enabled disabled visible".split())
 MAIN = frozenset("main article articlebody".split())
-SLOT, TAB = "#", "\t"
+SLOT, TAB, SAME = "#", "\t", "="
+#: What is equal on so many different pages, and differs on none that has it, belongs to the template.
+TEMPLATE_PAGES = 3
 
 
 @functools.lru_cache(10_000)
@@ -94,10 +98,10 @@ def parts_of(word: str) -> list[str]:
 
 
 class Node:
-    __slots__ = ("tag", "label", "kind", "children")
+    __slots__ = ("tag", "label", "kind", "children", "sign")
 
     def __init__(self, tag: str, rest: str = ""):
-        self.tag, self.children = tag, []
+        self.tag, self.children, self.sign = tag, [], None
         self.label, self.kind = described(tag, rest)
 
 
@@ -165,16 +169,39 @@ def flat(n: Node) -> list:
     return out
 
 
-# A wrapper node is [label, children]; a child is [group, many, optional], a group being a list of wrapper nodes.
-def wrapper_of(n: Node) -> list:
+def digest(text: str) -> str:
+    return hashlib.blake2b(" ".join(text.split()).encode("utf-8", "replace"), digest_size=6).hexdigest()
+
+
+def sign_of(n: Node) -> str:
+    """Digest of all that an element shows, its texts and the elements in it."""
+    if n.sign is None:
+        n.sign = digest("".join(c if isinstance(c, str) else f"\0{c.label}\0{sign_of(c)}\0" for c in flat(n) if isinstance(c, str) or c.tag not in HIDDEN))
+    return n.sign
+
+
+# A wrapper node is [label, children, constant]; a child is [group, many, optional], a group being a list of wrapper
+# nodes. A constant is [digest of what the element or text shows, digests of some pages that have it], or null where pages differ.
+def wrapper_of(n: Node, page: str | None = None) -> list:
+    page = page or sign_of(n)
     items: list = []
     for c in flat(n):
         if isinstance(c, str):
-            if c.strip() and (not items or items[-1][0] != SLOT):
-                items.append([SLOT, []])
+            if items and items[-1][0] == SLOT:
+                items[-1][2] += c
+            elif c.strip():
+                items.append([SLOT, [], c])
         elif c.tag not in HIDDEN:
-            items.append(wrapper_of(c))
-    return [n.label, folded([[[x], False, False] for x in items])]
+            items.append(wrapper_of(c, page))
+    for x in items:
+        if x[0] == SLOT:
+            x[2] = [digest(x[2]), [page]]
+    return [n.label, folded([[[x], False, False] for x in items]), [sign_of(n), [page]]]
+
+
+def met(a: list | None, b: list | None) -> list | None:
+    """The constant of two nodes."""
+    return [a[0], sorted({*a[1], *b[1]})[:TEMPLATE_PAGES]] if a and b and a[0] == b[0] else None
 
 
 def _signs(group: list) -> list[str]:
@@ -209,7 +236,8 @@ def folded(children: list) -> list:
 
 
 def aligned(a: list, b: list) -> list:
-    """The wrapper of both of two nodes with one label: matching groups meet, the rest becomes optional."""
+    """The wrapper of both of two nodes with one label: matching groups meet, the rest becomes optional, and what
+    they show stays constant only if it is the same."""
     if a == b:
         return a
     x, y = a[1], b[1]
@@ -236,7 +264,7 @@ def aligned(a: list, b: list) -> list:
         if p < len(x) and q < len(y):
             out.append([[aligned(u, v) for u, v in zip(x[p][0], y[q][0])], x[p][1] or y[q][1], x[p][2] or y[q][2]])
         i, j = p + 1, q + 1
-    return [a[0], folded(out)]
+    return [a[0], folded(out), met(a[2], b[2])]
 
 
 def expression(w: list) -> str:
@@ -251,14 +279,16 @@ def expression(w: list) -> str:
 
 
 def content_slots(w: list) -> dict:
-    """The wrapper as nested dicts by label, with "#" where there is a text slot."""
+    """The wrapper as nested dicts by label, with "#" where there is a text slot; "=" has the digests of what
+    is the template's there, of elements in their own dict and of texts in that of "#"."""
     out: dict = {}
     for group, _, _ in w[1]:
         for g in group:
-            if g[0] == SLOT:
-                out[SLOT] = {}
-            else:
-                _join(out.setdefault(g[0], {}), content_slots(g))
+            at = out.setdefault(g[0], {})
+            if g[2] and len(g[2][1]) >= TEMPLATE_PAGES:
+                at.setdefault(SAME, {})[g[2][0]] = {}
+            if g[0] != SLOT:
+                _join(at, content_slots(g))
     return out
 
 
@@ -280,20 +310,20 @@ def main_text(root: Node, slots: dict) -> str:
     """The texts of a page's content slots, a block each, read along the wrapper.
 
     Content are the slots under the page's own article or main elements, which may lie in forms or in what its
-    name makes noise, or, in a page without, all; each but for those under elements that are navigation, notices,
-    adverts, forms, comments and the like. Where that leaves no text, forms and then articles beside the main
-    part are read.
+    name makes noise, or, in a page without, all that the wrapper does not hold as constant; each but for those
+    under elements that are navigation, notices, adverts, forms, comments and the like. Where that leaves no text,
+    constant texts, forms, and then articles beside the main part are read.
     """
     for through in WAYS[:2]:
         if has_main(root, through):
             text = read_slots(root, slots, through, False, False) or read_slots(root, slots, through, False, True)
             break
     else:
-        text = read_slots(root, slots, frozenset(), True, False) or read_slots(root, slots, frozenset(), True, True)
+        text = read_slots(root, slots, frozenset(), True, False, True) or read_slots(root, slots, frozenset(), True, False) or read_slots(root, slots, frozenset(), True, True)
     return text or (read_slots(root, slots, WAYS[2], False, False) if has_main(root, WAYS[2]) else "")
 
 
-def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, forms: bool) -> str:
+def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, forms: bool, varying: bool = False) -> str:
     blocks: list[str] = []
 
     def read(n: Node, at: dict, inside: bool) -> None:
@@ -301,7 +331,8 @@ def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, fo
 
         def close() -> None:
             if inside and SLOT in at and (text := " ".join(entities.unescape("".join(run)).split())):
-                blocks.append(text)
+                if not (varying and (same := at[SLOT].get(SAME)) and digest("".join(run)) in same):
+                    blocks.append(text)
             run.clear()
 
         for c in flat(n):
@@ -312,6 +343,8 @@ def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, fo
             if not content and (c.tag in INLINE or c.tag in EMBEDDED or c.tag in HIDDEN):
                 continue  # inline noise goes and does not part a block
             close()
+            if varying and (same := at.get(c.label, {}).get(SAME)) and sign_of(c) in same:
+                continue
             if c.label in at and (content or c.kind in through and has_main(c, through)):
                 read(c, at[c.label], content and (inside or c.kind == "main"))
         close()

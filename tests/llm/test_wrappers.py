@@ -98,3 +98,14 @@ def test_all_words_tell_the_role_of_an_element():
         assert text_of(f"<article><p>a</p><div {noise}>no</div></article>") == "a", x
     assert text_of(f"<div class='{many}' itemprop=articleBody><p>a</p></div><div>r</div>") == "a"
     assert texts_of(f"<div class='{many} x' role=navigation>n</div><p>a</p>", f"<div class='{many} x'>b</div>") == ["a", "b"]
+
+
+def test_what_pages_of_a_host_share_is_template():
+    page = "<h1>The site</h1><div class=m><ul><li>Home<li>Help</ul></div><div class=t><p>{0}</p><p>{0} more</p></div><div class=c3>All rights <b>reserved</b></div>"
+    pages = [page.format(x) for x in "abc"]
+    assert texts_of(*pages) == ["a\n\na more", "b\n\nb more", "c\n\nc more"]
+    some = [*pages, "<article><p>d</p></article>", "<div class=x>e</div>"]
+    assert texts_of(*some)[2:] == texts_of(*some[::-1])[2::-1] == ["c\n\nc more", "d", "e"]
+    whole = ["The site", "Home", "Help", "a", "a more", "All rights reserved"]
+    assert texts_of(*pages[:1] * 5)[0] == texts_of(*pages[:2])[0] == "\n\n".join(whole)  # copies are one page, two are too few
+    assert texts_of(*(f"<article><p>{x}</p><p>same</p></article>" for x in "abc"))[0] == "a\n\nsame"
