@@ -7,19 +7,23 @@ from pyspark.sql import functions as F
 
 ROUNDS = 8
 DIGITS, LOWER, UPPER, HEX = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789abcdef"
+#: Days from 1900-01-01 to the first and the last day of four-digit years.
+FIRST_DAY, LAST_DAY = -693595, 2958463
 _FREE, _END = "(?<![0-9A-Za-z])", "(?![0-9A-Za-z])"
 
 #: What is looked for, in this order where two start at the same place.
 PATTERNS = {
-    "secret": f"{_FREE}(?:[0-9a-f]{{32,128}}|[0-9A-F]{{32,128}}){_END}",
+    "secret": f"{_FREE}[0-9A-Fa-f]{{32,}}+{_END}",
     "email": r"(?<![0-9A-Za-z._%+-])[0-9A-Za-z._%+-]{1,64}+@(?:[0-9A-Za-z-]{1,63}\.){1,8}[A-Za-z]{2,24}" + _END,
     "ip": r"(?<![0-9A-Za-z.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?![0-9A-Za-z]|\.[0-9])",
-    "iso_date": f"{_FREE}[0-9]{{4}}-[0-9]{{2}}-[0-9]{{2}}{_END}",
-    "date": rf"{_FREE}[0-9]{{2}}(?:/[0-9]{{2}}/|\.[0-9]{{2}}\.)[0-9]{{4}}{_END}",
+    "iso_date": f"{_FREE}[0-9]{{4}}(?:-[0-9]{{1,2}}-|/[0-9]{{1,2}}/)[0-9]{{1,2}}(?:{_END}|(?=T[0-9]))",
+    "date": rf"{_FREE}[0-9]{{1,2}}(?:/[0-9]{{1,2}}/|\.[0-9]{{1,2}}\.|-[0-9]{{1,2}}-)[0-9]{{4}}{_END}",
     "ssn": f"{_FREE}[0-9]{{3}}-[0-9]{{2}}-[0-9]{{4}}{_END}",
-    "phone": rf"(?<![0-9A-Za-z+])(?:\+?[0-9]{{1,3}}[ .-]?)?(?:\([0-9]{{3}}\) ?|[0-9]{{3}}[ .-])[0-9]{{3}}[ .-][0-9]{{4}}{_END}",
+    "phone": rf"(?<![0-9A-Za-z+])(?:\+?[0-9]{{1,3}}[ .-]?)?(?:\([0-9]{{3}}\) ?|[0-9]{{3}}[ .-])[0-9]{{3}}[ .-][0-9]{{4}}{_END}|(?<![0-9A-Za-z+.,])(?:\+|00)[1-9](?:[ .()/-]{{0,2}}[0-9]){{7,14}}{_END}|(?<![0-9A-Za-z+._/])[0-9]{{10}}(?![0-9A-Za-z]|\.[0-9])",
     "card": f"{_FREE}(?:[0-9]{{13,19}}|[0-9]{{4}}(?: [0-9]{{4}}){{2}} [0-9]{{1,7}}|[0-9]{{4}}(?:-[0-9]{{4}}){{2}}-[0-9]{{1,7}}|[0-9]{{4}}[ -][0-9]{{6}}[ -][0-9]{{5}}){_END}",
 }
+# Country codes, which E.164 fixes.
+COUNTRY = "(?:1|7|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|[0-9]{3})"
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 
 
@@ -110,8 +114,13 @@ def card(m: Column, key: str) -> Column:
 
 
 def phone(m: Column, key: str) -> Column:
-    """The last ten digits permuted, written as they were; a country code stays."""
-    return bound(F.regexp_replace(m, "[^0-9]", ""), lambda d: set_in(m, F.concat(F.substring(d, F.lit(1), F.length(d) - 10), characters(F.substring(d, -10, 10), key, "phone", alphabets=(DIGITS,)))))
+    """The digits after the country code, or else the last ten, permuted, written as they were."""
+
+    def moved(d: Column) -> Column:
+        kept = F.when(m.startswith("+"), F.regexp_extract(d, f"^{COUNTRY}", 0)).when(m.startswith("00"), F.regexp_extract(d, f"^00{COUNTRY}", 0)).otherwise(F.substring(d, F.lit(1), F.length(d) - 10))
+        return bound(kept, lambda k: set_in(m, F.concat(k, characters(F.substring(d, F.length(k) + 1, F.length(d)), key, "phone", alphabets=(DIGITS,)))))
+
+    return bound(F.regexp_replace(m, "[^0-9]", ""), moved)
 
 
 def address(m: Column, key: str) -> Column:
@@ -134,22 +143,59 @@ def social(m: Column, key: str) -> Column:
 
 
 def day(m: Column, key: str, iso: bool) -> Column:
-    """Dates of the calendar (year-month-day, or day, month and year) from year 1, permuted among the 65,536 days of
-    their window from 1900-01-01; the separators stay. Others stay."""
-    part = lambda i, n: F.substring(m, i, n).cast("int")
-    year, month, dom = (part(1, 4), part(6, 2), part(9, 2)) if iso else (part(7, 4), part(4, 2), part(1, 2))
-    leap = (year % 4 == 0) & (year % 100 != 0) | (year % 400 == 0)
-    longest = F.when(month == 2, F.when(leap, 29).otherwise(28)).when(month.isin(4, 6, 9, 11), 30).otherwise(31)
-    good = year.between(1800, 9000) & month.between(1, 12) & (dom >= 1) & (dom <= longest)
-
-    def moved(n: Column) -> Column:
-        low = F.pmod(n, F.lit(65536))
-        new = feistel(F.array(cell(F.shiftright(low, 8), 256), cell(low % 256, 256)), key, F.lit("day"))
-        back = bound(new, lambda v: F.date_add(F.lit("1900-01-01").cast("date"), (n - low + v[0] * 256 + v[1]).cast("int")))
-        sep = F.substring(m, 3, 1)
-        return F.date_format(back, "yyyy-MM-dd") if iso else bound(back, lambda d: F.concat(F.date_format(d, "dd"), sep, F.date_format(d, "MM"), sep, F.date_format(d, "yyyy")))
+    """Dates of the calendar from year 1 to 9999, permuted among the 65,536 days of their window from 1900-01-01 (the
+    first and the last window end with the years). Others stay.
 
-    return F.when(good, bound(F.datediff(F.make_date(year, month, dom), F.lit("1900-01-01").cast("date")), moved)).otherwise(m)
+    They are read as year, month and day, or as day, month and year, or, where only that is a date, as month, day
+    and year, and written so again with their separators, without leading zeros if one part has a single digit.
+    """
+    parts = F.split(m, "[-/.]")
+    n = lambda i: F.get(parts, F.lit(i)).cast("int")
+
+    def valid(year: Column, month: Column, dom: Column) -> Column:
+        leap = (year % 4 == 0) & (year % 100 != 0) | (year % 400 == 0)
+        longest = F.when(month == 2, F.when(leap, 29).otherwise(28)).when(month.isin(4, 6, 9, 11), 30).otherwise(31)
+        return year.between(1, 9999) & month.between(1, 12) & (dom >= 1) & (dom <= longest)
+
+    def moved(at: Column, orders: tuple[int, int, int]) -> Column:
+        low = F.floor(at / 65536) * 65536
+        first, last = low < FIRST_DAY, low + 65535 > LAST_DAY
+        start = F.greatest(low, F.lit(FIRST_DAY))
+        rows = F.when(first, 15).when(last, 128).otherwise(256)
+        columns = F.when(first, 2549).when(last, 73).otherwise(256)
+        place = at - start
+        new = feistel(F.array(cell(F.floor(place / columns), rows), cell(place % columns, columns)), key, F.lit("day"))
+        back = bound(new, lambda v: F.date_add(F.lit("1900-01-01").cast("date"), (start + v[0] * columns + v[1]).cast("int")))
+
+        def written(d: Column) -> Column:
+            padded = F.forall(parts, lambda x: F.length(x) > 1)
+            two = lambda x: F.when(padded, F.lpad(x.cast("string"), 2, "0")).otherwise(x.cast("string"))
+            of = [F.lpad(F.year(d).cast("string"), 4, "0"), two(F.month(d)), two(F.dayofmonth(d))]
+            sep = F.regexp_extract(m, "[-/.]", 0)
+            return F.concat(of[orders[0]], sep, of[orders[1]], sep, of[orders[2]])
+
+        return bound(back, written)
+
+    def when(order: tuple[int, int, int]) -> tuple[Column, Column]:
+        year, month, dom = (n(order.index(i)) for i in range(3))
+        good = valid(year, month, dom)
+        since = F.datediff(F.make_date(year, month, dom), F.lit("1900-01-01").cast("date"))
+        return good, bound(since.cast("long"), lambda at: moved(at, order))
+
+    out = None
+    for order in [(0, 1, 2)] if iso else [(2, 1, 0), (1, 2, 0)]:
+        good, new = when(order)
+        out = F.when(good, new) if out is None else out.when(good, new)
+    return out.otherwise(m)
+
+
+def secret(m: Column, key: str) -> Column:
+    """A hexadecimal run, permuted as in small letters; where capitals and small letters are mixed, capitals stand
+    where they stood."""
+    use = lambda x: characters(x, key, "secret", alphabets=(HEX,))
+    mixed = m.rlike("[A-F]") & m.rlike("[a-f]")
+    cased = lambda new: F.array_join(F.zip_with(F.split(m, ""), F.split(new, ""), lambda c, x: F.when(c.rlike("[A-F]"), F.upper(x)).otherwise(x)), "")
+    return F.when(mixed, bound(use(F.lower(m)), cased)).otherwise(in_either_case(m, use))
 
 
 def in_either_case(m: Column, use) -> Column:
@@ -161,12 +207,13 @@ def pseudonym(m: Column, key: str) -> Column:
     """The pseudonym of one match of ANY: the first pattern that the whole match fits decides how."""
     whole = lambda kind: m.rlike(f"^(?:{PATTERNS[kind]})$")
     return (
-        F.when(whole("secret"), in_either_case(m, lambda x: characters(x, key, "secret", alphabets=(HEX,))))
+        F.when(whole("secret"), secret(m, key))
         .when(whole("email"), in_either_case(m, lambda x: characters(x, key, "email", fixed_from=F.instr(x, "@") - 1)))
         .when(whole("ip"), address(m, key))
         .when(whole("iso_date"), day(m, key, True))
         .when(whole("date"), day(m, key, False))
         .when(whole("ssn"), social(m, key))
+        .when(whole("phone") & m.rlike(r"^(?:\+|00)"), phone(m, key))
         .when(whole("card"), card(m, key))
         .when(whole("phone"), phone(m, key))
         .otherwise(m)
@@ -179,7 +226,9 @@ def pseudonymised(df: DataFrame, key: str, column: str = "text") -> DataFrame:
     E-mail addresses (before the @), card numbers that pass their test, telephone numbers (after the
     country code), IPv4 addresses, social security numbers, dates and long hexadecimal secrets keep their
     form and become other values of that form under the key; equal values become equal ones everywhere. What
-    fails its test stays. All other characters stay as they are; a null text stays null with 0.
+    fails its test stays. Telephone numbers are those in groups of 3-3-4 digits, those with + or 00 and 8 to 15 digits,
+    and ten digits alone; national numbers in other groups stay in clear, and so do dates with month names or
+    years of two digits. All other characters stay as they are; a null text stays null with 0.
     """
     text = F.col(column)
 
@@ -193,7 +242,7 @@ def pseudonymised(df: DataFrame, key: str, column: str = "text") -> DataFrame:
 
         return bound(new, joined)
 
-    found = F.when(text.rlike("[0-9@]") | text.rlike("[a-f]{32}|[A-F]{32}"), F.regexp_extract_all(text, F.lit(ANY), 0))
+    found = F.when(text.rlike("[0-9@]") | text.rlike("[A-Fa-f]{32}"), F.regexp_extract_all(text, F.lit(ANY), 0))
     result = F.transform(F.array(found), lambda h: F.when(F.coalesce(F.size(h) > 0, F.lit(False)), replaced(h)))[0]
     rows = df.withColumn("__new", result)
     return rows.select(*[F.coalesce("__new.text", F.col(c)).alias(c) if c == column else F.col(c) for c in df.columns], F.coalesce("__new.n", F.lit(0)).cast("long").alias("n_pseudonyms"))

@@ -74,3 +74,22 @@ def test_feistel_is_a_bijection(spark):
     rows = spark.range(300).select(ps.feistel(cells, "k", F.lit("t")).alias("v"))
     got = {tuple(r.v) for r in rows.collect()}
     assert len(got) == 300 and all(a < 10 and b < 10 and c == 0 and d < 3 for a, b, c, d in got)
+
+
+def test_valid_values_do_not_stay(spark):
+    texts = ["12/25/1985", "03/14/1990", "5/3/1990", "0001-01-01", "1066-10-14", "9999-12-31", "1.2.1650", "25-12-1985", "1990-05-03T10:00", "2024/3/5", "+44 20 7946 0958", "+49 30 1234567", "0049 30 1234567", "5550107713", "+4915112345678", "aB" * 20, "0f" * 80, "F0" * 80]
+    got = run(spark, texts)
+    assert [n for _, n in got] == [1] * len(texts)
+    out = dict(zip(texts, [t for t, _ in got]))
+    iso = {x: run(spark, [x])[0][0] for x in ("1985-12-25", "1990-03-05")}
+    m, d, y = map(int, out["12/25/1985"].split("/"))
+    assert date(y, m, d).isoformat() == iso["1985-12-25"]
+    d, m, y = map(int, out["5/3/1990"].split("/"))
+    assert date(y, m, d).isoformat() == iso["1990-03-05"] != "1990-03-05"
+    assert date.fromisoformat(out["0001-01-01"]) < date(200, 1, 1) and date.fromisoformat(out["9999-12-31"]) > date(9900, 1, 1) and out["1990-05-03T10:00"][10:] == "T10:00"
+    assert re.fullmatch(r"\+44 \d\d \d{4} \d{4}", out["+44 20 7946 0958"]) and out["0049 30 1234567"] == out["+49 30 1234567"].replace("+", "00")
+    assert re.fullmatch("(?:[a-f0-9][A-F0-9]){20}", out["aB" * 20]) and out["aB" * 20].lower() == run(spark, ["ab" * 20])[0][0]
+    assert [n for _, n in run(spark, ["0000-01-01", "13/13/1990", "0.1234567890", "f" * 31])] == [0] * 4
+    for first in (date(1, 1, 1), date(9975, 1, 1)):
+        days = [(first + timedelta(i)).isoformat() for i in range(2000)]
+        assert len({date.fromisoformat(t) for t, _ in run(spark, days)}) == 2000
