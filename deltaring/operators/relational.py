@@ -12,12 +12,26 @@ def asof_join(events: DataFrame, snapshots: DataFrame, on: str, by: list[str], v
     """Each event with the latest snapshot at or before it, per key: one union, one window, no pair is formed.
 
     Over no keys, or hot ones, time is cut into `parts` ranges; the last snapshot before each range is carried in.
+    Snapshots with a null time or key meet no event.
     """
-    e = events.select(*by, F.col(on), F.struct(*events.columns).alias("__event"), *[F.lit(None).cast(snapshots.schema[v].dataType).alias(v) for v in values], F.lit(None).cast(snapshots.schema[on].dataType).alias(f"{on}_asof"))
-    s = snapshots.select(*by, F.col(on), F.lit(None).cast(e.schema["__event"].dataType).alias("__event"), *values, F.col(on).alias(f"{on}_asof"))
-    order = Window.partitionBy(*by).orderBy(F.col(on), F.col("__event").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
-    filled = s.unionByName(e).select("__event", *[F.last(v, True).over(order).alias(v) for v in [*values, f"{on}_asof"]])
-    return filled.where("__event is not null").select("__event.*", *values, f"{on}_asof")
+    asof, tail = f"{on}_asof", [*values, f"{on}_asof"]
+    snapshots = snapshots.where(reduce(lambda a, b: a & b, [F.col(c).isNotNull() for c in [*by, on]]))
+    e = events.select(*by, F.col(on), F.struct(*events.columns).alias("__event"), *[F.lit(None).cast(snapshots.schema[v].dataType).alias(v) for v in values], F.lit(None).cast(snapshots.schema[on].dataType).alias(asof))
+    s = snapshots.select(*by, F.col(on), F.lit(None).cast(e.schema["__event"].dataType).alias("__event"), *values, F.col(on).alias(asof))
+    both = s.unionByName(e)
+    keys = list(by)
+    if parts and parts > 1:
+        cuts = both.agg(F.percentile_approx(on, [i / parts for i in range(1, parts)])).first()[0] or []  # parts - 1 values
+        both = both.withColumn("__part", sum((F.coalesce((F.col(on) > F.lit(c)).cast("int"), F.lit(0)) for c in sorted(set(cuts))), F.lit(0)))
+        keys.append("__part")
+    order = Window.partitionBy(*keys).orderBy(F.col(on), F.col("__event").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
+    filled = both.select("__event", *keys, *[F.last(v, True).over(order).alias(v) for v in tail]).where("__event is not null")
+    if keys != list(by):
+        ends = both.groupBy(*keys).agg(*[F.max_by(v, F.when(F.col(v).isNotNull(), F.col(on))).alias(v) for v in tail])
+        before = Window.partitionBy(*by).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
+        carried = ends.select(*keys, *[F.last(v, True).over(before).alias(f"__carried_{v}") for v in tail])
+        filled = filled.join(carried, keys, "left").select("__event", *[F.coalesce(v, f"__carried_{v}").alias(v) for v in tail])
+    return filled.select("__event.*", *tail)
 
 
 def range_join(points: DataFrame, value: str, ranges: DataFrame, low: str, high: str, width: float) -> DataFrame:

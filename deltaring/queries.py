@@ -652,6 +652,13 @@ def delta_self_join(spark, sf_dir):
     return _rows(_kept(spark, sf_dir, spec, "auto", {"a": _residue(0, 2), "b": _residue(0, 2)}, [{"a": _inserted(3), "b": _inserted(3)}]))
 
 
+@query(w.moments_sql({"qa": "a.l_quantity", "qb": "b.l_quantity"}, "FROM lineitem a JOIN lineitem b ON a.l_partkey = b.l_partkey"))
+def delta_self_join_all(spark, sf_dir):
+    """delta_self_join up to the whole table."""
+    spec = QuerySpec({"a": "lineitem", "b": "lineitem"}, (("a.l_partkey", "b.l_partkey"),), (Attribute("qa", "a", expr="l_quantity"), Attribute("qb", "b", expr="l_quantity")))
+    return _rows(_kept(spark, sf_dir, spec, "auto", {"a": _residue(0, 2), "b": _residue(0, 2)}, [{"a": _inserted(r), "b": _inserted(r)} for r in (3, 4, 5)]))
+
+
 @query("SELECT '' AS attr_u, '' AS attr_v, CAST(0 AS DOUBLE) AS value WHERE false")
 def delta_to_empty(spark, sf_dir):
     gone = lambda r: lambda df: as_delta(None, df.where(F.col("event_id") % 3 == r))
@@ -975,6 +982,16 @@ def asof_snapshot(spark, sf_dir):
     return relational.asof_join(events.where("event_id % 5 = 0"), snaps, "ts", ["user_id"], ["n"]).select("event_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
 
+@query("""WITH s AS (SELECT ts, user_id, COUNT(*) OVER (PARTITION BY user_id ORDER BY event_id) AS n FROM events)
+SELECT e.event_id, CAST(coalesce(s.n, 0) AS BIGINT) AS n FROM events e ASOF LEFT JOIN (SELECT ts, user_id, MAX(n) AS n FROM s GROUP BY ts, user_id) s ON e.user_id = s.user_id AND e.ts >= s.ts""")
+def asof_snapshot_all(spark, sf_dir):
+    """asof_snapshot with every event as a snapshot and as a probe, time in eight ranges."""
+    events = table(spark, sf_dir, "events").select("event_id", "ts", "user_id")
+    n = F.count("*").over(Window.partitionBy("user_id").orderBy("event_id"))
+    snaps = events.withColumn("n", n).groupBy("ts", "user_id").agg(F.max("n").alias("n"))
+    return relational.asof_join(events, snaps, "ts", ["user_id"], ["n"], 8).select("event_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
+
+
 @query("""WITH b AS (SELECT p_size AS band, MIN(p_retailprice) - 900 AS low, MIN(p_retailprice) - 890 AS high FROM part GROUP BY p_size) SELECT band, CAST(COUNT(*) AS BIGINT) AS n FROM events JOIN b ON value >= low AND value < high GROUP BY band""")
 def range_band_join(spark, sf_dir):
     part, events = tables(spark, sf_dir, "part", "events")
