@@ -92,15 +92,11 @@ class _ScalarRing(SumProductRing):
     """Scalar ring whose functions keep four decimals, so that a square is exact."""
 
     def lifted(self, attrs):
-        v = F.col("mult").cast("decimal(10,0)")
+        v = "CAST(mult AS decimal(10,0))"
         for a in attrs:
             if a in self.functions:
-                v = (v * F.expr(self.functions[a])).cast("decimal(34,4)")
-        return [v.cast(self.numeric).alias("v")]
-
-    def multiplied(self, a, b):
-        x, y = F.col("l_v").cast("decimal(30,4)"), F.col("r_v").cast("decimal(30,4)")
-        return [(x * y).cast(self.numeric).alias("v")]
+                v = f"CAST({v} * {self.functions[a]} AS decimal(34,4))"
+        return [f"CAST({v} AS {self.numeric}) AS v"]
 
 
 def online_sgd(batches: list[DataFrame], features: list[str], label: str, rate: float = 0.05, scale: dict[str, tuple[float, float]] | None = None) -> dict[str, float]:

@@ -13,13 +13,14 @@ def leaf_view(node: ViewNode, tree: ViewTree, ring: Ring, df: DataFrame) -> View
     return ring.leaf(tree.spec.rows(node.alias, df), node.keys, node.attrs)
 
 
+def leaf_rows(node: ViewNode, tree: ViewTree, ring: Ring, df: DataFrame) -> View:
+    """The same unsummed: sums wait for those of the view above."""
+    return ring.single(tree.spec.rows(node.alias, df), node.keys, node.attrs)
+
+
 def inner_view(node: ViewNode, ring: Ring, children: list[View], broadcast_first: bool = False) -> View:
-    """The children joined and multiplied one by one, then summed to the node's keys."""
-    out, rest = children[0], list(children[1:])
-    while rest:
-        at = next(i for i, c in enumerate(rest) if set(c.keys) & set(out.keys))
-        out = ring.product(out, rest.pop(at), "a" if broadcast_first else None)
-    return ring.total(out, node.keys)
+    """The children joined and multiplied, then summed to the node's keys."""
+    return ring.combined(children, node.keys, "a" if broadcast_first else None)
 
 
 def evaluate(tree: ViewTree, tables: dict[str, DataFrame], ring: Ring, at: ViewNode | None = None) -> View:

@@ -11,21 +11,38 @@ from .evaluate import evaluate
 
 
 def factorised_views(tree: ViewTree, tables: dict[str, DataFrame], listed: tuple[str, ...]) -> dict[str, DataFrame]:
-    """alias -> keys, listed attributes, mult: each table's distinct tuples without those that join with nothing.
+    """alias -> keys, listed attributes, mult: each table's distinct tuples without those that are in no result row.
 
-    A tuple stays if each neighbour along the tree has a partner; tables are reduced by semi-joins up the
-    tree and down again. Together they stand for the result, which is never joined out.
+    Going up, a view keeps the keys under which all tables below it join; going down, those of its children that
+    join with what is alive above and with each other. The subtrees of a view share nothing but its keys and
+    variable, so what is left is exactly what the result has, for cyclic joins too. Together the tables stand
+    for the result, which is never joined out.
     """
     ring = ListingRing(tree.spec, listed)
-    leaves = {n.alias: n for n in tree.nodes() if n.alias is not None}
-    views = {a: evaluate(tree, tables, ring, n).df for a, n in leaves.items()}
-    order = [n.alias for n in tree.nodes() if n.alias is not None]
-    neighbours = [(a, b, [k for k in leaves[a].keys if k in leaves[b].keys]) for i, a in enumerate(order) for b in order[i + 1 :]]
-    neighbours = [(a, b, k) for a, b, k in neighbours if k]
-    for pairs, forward in ((neighbours, True), (list(reversed(neighbours)), False)):
-        for a, b, keys in pairs:
-            x, y = (b, a) if forward else (a, b)
-            views[x] = views[x].join(views[y].select(*keys).distinct(), keys, "left_semi")
+    views = {n.alias: evaluate(tree, tables, ring, n).df for n in tree.nodes() if n.alias is not None}
+    met: dict[str, DataFrame] = {}
+    found: dict[str, DataFrame] = {}
+    for node in tree.nodes():
+        if node.alias is not None:
+            found[node.name] = views[node.alias].select(*node.keys).distinct()
+            continue
+        out, seen = found[node.children[0].name], set(node.children[0].keys)
+        for c in node.children[1:]:
+            out = out.join(found[c.name], [k for k in c.keys if k in seen])
+            seen |= set(c.keys)
+        met[node.name] = out
+        found[node.name] = out.select(*node.keys).distinct()
+
+    def down(node: ViewNode, alive: DataFrame | None) -> None:
+        if node.alias is not None:
+            if alive is not None:
+                views[node.alias] = views[node.alias].join(alive, list(node.keys), "left_semi")
+            return
+        kept = met[node.name] if alive is None or not node.keys else met[node.name].join(alive, list(node.keys), "left_semi")
+        for c in node.children:
+            down(c, kept.select(*c.keys).distinct())
+
+    down(tree.root, None)
     return views
 
 

@@ -37,21 +37,42 @@ class Ring:
     def payload(self, attrs: tuple[str, ...]) -> list[str]:
         raise NotImplementedError
 
-    def leaf(self, rows: DataFrame, keys: tuple[str, ...], attrs: tuple[str, ...]) -> View:
+    def single(self, rows: DataFrame, keys: tuple[str, ...], attrs: tuple[str, ...]) -> View:
+        """A table's rows as payloads, one by one."""
         raise NotImplementedError
 
+    def leaf(self, rows: DataFrame, keys: tuple[str, ...], attrs: tuple[str, ...]) -> View:
+        """A table's rows summed by key."""
+        return self.total(self.single(rows, keys, attrs), keys)
+
     def product(self, a: View, b: View, broadcast: str | None = None) -> View:
         raise NotImplementedError
 
     def total(self, v: View, keys: tuple[str, ...]) -> View:
         raise NotImplementedError
 
+    def combined(self, views: list[View], keys: tuple[str, ...], broadcast: str | None = None) -> View:
+        """The product of connected views, summed to some keys. broadcast "a": the first is small."""
+        out, rest = views[0], list(views[1:])
+        while rest:
+            at = next((i for i, c in enumerate(rest) if set(c.keys) & set(out.keys)), 0)
+            out = self.product(out, rest.pop(at), broadcast)
+        return self.total(out, keys)
+
     def negated(self, v: View) -> View:
         raise NotImplementedError
 
     def width(self, attrs: tuple[str, ...]) -> int:
         return len(self.payload(attrs))
 
+    def row_bytes(self, attrs: tuple[str, ...]) -> int:
+        """What a row of a view takes in memory, about."""
+        return 16 * self.width(attrs)
+
+    def rows_per_row(self, attrs: tuple[str, ...]) -> int:
+        """Rows of a leaf view that one row of a table can make at most."""
+        return 1
+
     def union(self, views: list[View]) -> View:
         out = views[0].df
         for v in views[1:]:
@@ -69,41 +90,44 @@ class Ring:
         return self.nonzero(self.total(v, keys))
 
 
+def matched(left: DataFrame, right: DataFrame, shared: list[str], broadcast: str | None = None) -> DataFrame:
+    """Join on shared keys; without any, every row with every row, for factors of a product (one side is then sent to
+    all tasks, so the caller knows it to be small). broadcast: "a" (left) or "b", a side of a size the caller knows."""
+    left, right = (F.broadcast(left) if broadcast == "a" else left), (F.broadcast(right) if broadcast == "b" else right)
+    return left.join(right, shared) if shared else left.crossJoin(right if broadcast else F.broadcast(right))
+
+
 def joined(a: View, b: View, columns_a: list[str], columns_b: list[str], broadcast: str | None) -> tuple[DataFrame, tuple[str, ...]]:
-    """Join on shared keys; payload columns become l_* and r_*. broadcast: "a" or "b", a side of a size the caller knows."""
-    shared = [k for k in a.keys if k in b.keys]
+    """The join of two views; payload columns become l_* and r_*."""
     left = a.df.select(*a.keys, *[F.col(c).alias(f"l_{c}") for c in columns_a])
     right = b.df.select(*b.keys, *[F.col(c).alias(f"r_{c}") for c in columns_b])
-    left, right = (F.broadcast(left) if broadcast == "a" else left), (F.broadcast(right) if broadcast == "b" else right)
-    if not shared:
-        raise ValueError("views without a shared key are not multiplied")
-    return left.join(right, shared), a.keys + tuple(k for k in b.keys if k not in a.keys)
+    return matched(left, right, [k for k in a.keys if k in b.keys], broadcast), a.keys + tuple(k for k in b.keys if k not in a.keys)
 
 
 class _Columns(Ring):
-    """Rings with one payload column per entry."""
+    """Rings with one payload column per entry. Expressions are SQL, which the session parses in one call each."""
 
     def sums(self, attrs: tuple[str, ...]) -> list[Column]:
-        return [F.sum(c).alias(c) for c in self.payload(attrs)]
+        return [F.expr(f"sum(`{c}`) AS `{c}`") for c in self.payload(attrs)]
 
-    def lifted(self, attrs: tuple[str, ...]) -> list[Column]:
+    def lifted(self, attrs: tuple[str, ...]) -> list[str]:
         raise NotImplementedError
 
-    def multiplied(self, a: tuple[str, ...], b: tuple[str, ...]) -> list[Column]:
+    def multiplied(self, a: tuple[str, ...], b: tuple[str, ...]) -> list[str]:
         raise NotImplementedError
 
-    def leaf(self, rows: DataFrame, keys: tuple[str, ...], attrs: tuple[str, ...]) -> View:
-        return View(grouped(rows.select(*keys, *self.lifted(attrs)), keys, self.sums(attrs)), keys, attrs)
+    def single(self, rows: DataFrame, keys: tuple[str, ...], attrs: tuple[str, ...]) -> View:
+        return View(rows.selectExpr(*[f"`{k}`" for k in keys], *self.lifted(attrs)), keys, attrs)
 
     def product(self, a: View, b: View, broadcast: str | None = None) -> View:
         both, keys = joined(a, b, self.payload(a.attrs), self.payload(b.attrs), broadcast)
-        return View(both.select(*keys, *self.multiplied(a.attrs, b.attrs)), keys, tuple(sorted({*a.attrs, *b.attrs})))
+        return View(both.selectExpr(*[f"`{k}`" for k in keys], *self.multiplied(a.attrs, b.attrs)), keys, tuple(sorted({*a.attrs, *b.attrs})))
 
     def total(self, v: View, keys: tuple[str, ...]) -> View:
         return View(grouped(v.df, keys, self.sums(v.attrs)), keys, v.attrs)
 
     def negated(self, v: View) -> View:
-        return View(v.df.select(*v.keys, *[(-F.col(c)).alias(c) for c in self.payload(v.attrs)]), v.keys, v.attrs)
+        return View(v.df.selectExpr(*[f"`{k}`" for k in v.keys], *[f"-`{c}` AS `{c}`" for c in self.payload(v.attrs)]), v.keys, v.attrs)
 
 
 class CountRing(_Columns):
@@ -116,10 +140,10 @@ class CountRing(_Columns):
         return ["c"]
 
     def lifted(self, attrs):
-        return [F.col("mult").alias("c")]
+        return ["mult AS c"]
 
     def multiplied(self, a, b):
-        return [(F.col("l_c") * F.col("r_c")).alias("c")]
+        return ["l_c * r_c AS c"]
 
 
 class SumProductRing(_Columns):
@@ -135,18 +159,17 @@ class SumProductRing(_Columns):
         return ["v"]
 
     def lifted(self, attrs):
-        v = F.col("mult").cast("decimal(18,0)" if self.numeric.startswith("decimal") else self.numeric)
-        for a in attrs:
-            if a in self.functions:
-                v = v * F.expr(self.functions[a]).cast("decimal(12,2)" if self.numeric.startswith("decimal") else self.numeric)
-        return [v.cast(self.numeric).alias("v")]
+        exact = self.numeric.startswith("decimal")
+        factors = [f"CAST(mult AS {'decimal(18,0)' if exact else self.numeric})"]
+        factors += [f"CAST({self.functions[a]} AS {'decimal(12,2)' if exact else self.numeric})" for a in attrs if a in self.functions]
+        return [f"CAST({' * '.join(factors)} AS {self.numeric}) AS v"]
 
     def multiplied(self, a, b):
         narrow = "decimal(30,4)" if self.numeric.startswith("decimal") else self.numeric
-        return [(F.col("l_v").cast(narrow) * F.col("r_v").cast(narrow)).cast(self.numeric).alias("v")]
+        return [f"CAST(CAST(l_v AS {narrow}) * CAST(r_v AS {narrow}) AS {self.numeric}) AS v"]
 
     def sums(self, attrs):
-        return [F.sum("v").cast(self.numeric).alias("v")]
+        return [F.expr(f"CAST(sum(v) AS {self.numeric}) AS v")]
 
 
 class MomentRing(_Columns):
@@ -172,39 +195,31 @@ class MomentRing(_Columns):
 
     def lifted(self, attrs):
         attrs = sorted(attrs)
-        m = F.col("mult")
-        x = {a: F.col(a).cast("decimal(12,2)" if self.exact else "double") for a in attrs}
-        w = m.cast("decimal(10,0)") if self.exact else m.cast("double")
-        out = [m.alias("c"), *[(w * x[a]).alias(f"s_{a}") for a in attrs]]
-        return out + [(w * x[a] * x[b]).alias(f"q_{a}__{b}") for i, a in enumerate(attrs) for b in attrs[i:]]
-
-    def _typed(self, side: str, name: str) -> Column:
-        c = F.col(f"{side}_{name}")
+        x = {a: f"CAST(`{a}` AS {'decimal(12,2)' if self.exact else 'double'})" for a in attrs}
+        w = f"CAST(mult AS {'decimal(10,0)' if self.exact else 'double'})"
+        out = ["mult AS c", *[f"{w} * {x[a]} AS `s_{a}`" for a in attrs]]
+        return out + [f"{w} * {x[a]} * {x[b]} AS `q_{a}__{b}`" for i, a in enumerate(attrs) for b in attrs[i:]]
+
+    def _typed(self, side: str, name: str) -> str:
         if name == "c":
-            return c.cast(self.C if self.exact else "double")
-        return c.cast(self.S if name[0] == "s" else self.Q) if self.exact else c
+            return f"CAST({side}_c AS {self.C if self.exact else 'double'})"
+        return f"CAST(`{side}_{name}` AS {self.S if name[0] == 's' else self.Q})" if self.exact else f"`{side}_{name}`"
 
     def multiplied(self, a, b):
         def has(side: str, *names: str) -> bool:
             return all(n in (a if side == "l" else b) for n in names)
 
-        def plus(terms: list[Column]) -> Column:
-            out = terms[0]
-            for t in terms[1:]:
-                out = out + t
-            return out
-
         both = sorted({*a, *b})
-        count = {"l": self._typed("l", "c"), "r": self._typed("r", "c")}
+        count = {s: self._typed(s, "c") for s in "lr"}
         other = {"l": "r", "r": "l"}
-        out = [(F.col("l_c") * F.col("r_c")).alias("c")]
+        out = ["l_c * r_c AS c"]
         for x in both:
-            out.append(plus([self._typed(s, f"s_{x}") * count[other[s]] for s in "lr" if has(s, x)]).alias(f"s_{x}"))
+            out.append(" + ".join(f"{self._typed(s, f's_{x}')} * {count[other[s]]}" for s in "lr" if has(s, x)) + f" AS `s_{x}`")
         for i, x in enumerate(both):
             for y in both[i:]:
-                terms = [self._typed(s, f"q_{x}__{y}") * count[other[s]] for s in "lr" if has(s, x, y)]
-                terms += [self._typed(s, f"s_{x}") * self._typed(other[s], f"s_{y}") for s in "lr" if has(s, x) and has(other[s], y)]
-                out.append(plus(terms).alias(f"q_{x}__{y}"))
+                terms = [f"{self._typed(s, f'q_{x}__{y}')} * {count[other[s]]}" for s in "lr" if has(s, x, y)]
+                terms += [f"{self._typed(s, f's_{x}')} * {self._typed(other[s], f's_{y}')}" for s in "lr" if has(s, x) and has(other[s], y)]
+                out.append(" + ".join(terms) + f" AS `q_{x}__{y}`")
         return out
 
     def entries(self, v: View) -> DataFrame:
@@ -212,8 +227,8 @@ class MomentRing(_Columns):
         attrs = sorted(v.attrs)
         pairs = [("1", "1", "c"), *[("1", a, f"s_{a}") for a in attrs], *[(a, b, f"q_{a}__{b}") for i, a in enumerate(attrs) for b in attrs[i:]]]
         kind = "decimal(38,4)" if self.exact else "double"
-        rows = F.array(*[F.struct(F.lit(a).alias("attr_u"), F.lit(b).alias("attr_v"), F.col(c).cast(kind).alias("value")) for a, b, c in pairs])
-        return v.df.select(*v.keys, F.inline(rows))
+        rows = ", ".join(f"named_struct('attr_u', '{a}', 'attr_v', '{b}', 'value', CAST(`{c}` AS {kind}))" for a, b, c in pairs)
+        return v.df.selectExpr(*[f"`{k}`" for k in v.keys], f"inline(array({rows}))")
 
     def full_matrix(self, v: View) -> DataFrame:
         """entries with the lower triangle restored."""
@@ -236,8 +251,8 @@ class ListingRing(Ring):
     def _tuple(self, attrs):
         return self.payload(attrs)[:-1]
 
-    def leaf(self, rows, keys, attrs):
-        return self.total(View(rows.select(*keys, *self.payload(attrs)), keys, attrs), keys)
+    def single(self, rows, keys, attrs):
+        return View(rows.select(*keys, *self.payload(attrs)), keys, attrs)
 
     def product(self, a, b, broadcast=None):
         both, keys = joined(a, b, self.payload(a.attrs), self.payload(b.attrs), broadcast)

@@ -10,12 +10,13 @@ counts behind mutual information; with degree 4 it serves polynomial models.
 from __future__ import annotations
 
 from itertools import combinations, combinations_with_replacement
+from math import comb
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.spec import CAT, CONT, QuerySpec
-from .rings import Ring, View, grouped
+from .rings import Ring, View, grouped, matched
 
 TERM = "array<struct<a:string,c:string>>"
 WIDE, NARROW = "decimal(38,4)", "decimal(30,4)"
@@ -38,52 +39,60 @@ class SparseMomentRing(Ring):
     def width(self, attrs):
         raise ValueError("the number of entries follows the live categories; count the rows of a view")
 
+    def row_bytes(self, attrs):
+        return 160
+
+    def rows_per_row(self, attrs):
+        """Terms of at most `degree` factors over the attributes."""
+        return comb(len(attrs) + self.degree, self.degree)
+
     def _sums(self) -> list[Column]:
         return [F.sum("v").cast(WIDE if self.exact else "double").alias("v"), F.sum("n").alias("n")]
 
-    def leaf(self, rows, keys, attrs):
-        cats = [a for a in sorted(attrs) if self.kinds[a] == CAT]
+    def _monomials(self, attrs) -> tuple[list[str], list[tuple[str, ...]]]:
         conts = [a for a in sorted(attrs) if self.kinds[a] == CONT]
-        number = "decimal(12,2)" if self.exact else "double"
-        monomials = [m for d in range(self.degree + 1) for m in combinations_with_replacement(conts, d)]
-
-        def weighed(m: tuple[str, ...]) -> Column:
-            x = F.col("mult").cast("decimal(10,0)" if self.exact else "double")
-            for a in m:
-                x = x * F.col(a).cast(number)
-            return x.cast(WIDE if self.exact else "double")
-
-        names = [f"__m{i}" for i in range(len(monomials))]
-        lifted = rows.select(*keys, *cats, *[weighed(m).alias(c) for m, c in zip(monomials, names)], F.col("mult").alias("__n"))
-        dense = grouped(lifted, (*keys, *cats), [*[F.sum(c).alias(c) for c in names], F.sum("__n").alias("__n")])
+        return [a for a in sorted(attrs) if self.kinds[a] == CAT], [m for d in range(self.degree + 1) for m in combinations_with_replacement(conts, d)]
+
+    def _lifted(self, rows, keys, attrs) -> DataFrame:
+        """keys, categories, a column per monomial of continuous attributes, and n."""
+        cats, monomials = self._monomials(attrs)
+        number, wide = ("decimal(12,2)", WIDE) if self.exact else ("double", "double")
+        weighed = lambda m: f"CAST({' * '.join([f'CAST(mult AS {'decimal(10,0)' if self.exact else 'double'})', *[f'CAST(`{a}` AS {number})' for a in m]])} AS {wide})"
+        return rows.selectExpr(*[f"`{c}`" for c in (*keys, *cats)], *[f"{weighed(m)} AS __m{i}" for i, m in enumerate(monomials)], "mult AS __n")
+
+    def _tall(self, dense: DataFrame, keys, attrs) -> View:
+        """A row per term of each row of _lifted."""
+        cats, monomials = self._monomials(attrs)
         entries = []
         for k in range(min(len(cats), self.degree) + 1):
             for some in combinations(cats, k):
-                for m, c in zip(monomials, names):
+                for i, m in enumerate(monomials):
                     if k + len(m) <= self.degree:
                         factors = sorted([*[(a, True) for a in some], *[(a, False) for a in m]])
-                        term = F.array(*[F.struct(F.lit(a).alias("a"), (F.col(a) if cat else F.lit(None).cast("string")).alias("c")) for a, cat in factors]).cast(TERM)
-                        entries.append(F.struct(term.alias("term"), F.col(c).cast(WIDE if self.exact else "double").alias("v"), F.col("__n").alias("n")))
-        tall = dense.select(*keys, F.inline(F.array(*entries)))
-        return View(grouped(tall, (*keys, "term"), self._sums()), keys, attrs) if cats else View(tall, keys, attrs)
+                        term = ", ".join(f"named_struct('a', '{a}', 'c', {f'`{a}`' if cat else 'CAST(NULL AS string)'})" for a, cat in factors)
+                        entries.append(f"named_struct('term', CAST(array({term}) AS {TERM}), 'v', CAST(__m{i} AS {WIDE if self.exact else 'double'}), 'n', __n)")
+        return View(dense.selectExpr(*[f"`{k}`" for k in keys], f"inline(array({', '.join(entries)}))"), keys, attrs)
+
+    def single(self, rows, keys, attrs):
+        return self._tall(self._lifted(rows, keys, attrs), keys, attrs)
+
+    def leaf(self, rows, keys, attrs):
+        cats, monomials = self._monomials(attrs)
+        dense = grouped(self._lifted(rows, keys, attrs), (*keys, *cats), [F.expr(f"sum({c}) AS {c}") for c in [*[f"__m{i}" for i in range(len(monomials))], "__n"]])
+        tall = self._tall(dense, keys, attrs)
+        return self.total(tall, keys) if cats else tall
 
     def product(self, a, b, broadcast=None):
-        """The entries of b are packed into one row per key, so each side is read and joined once; only pairs within
-        the degree come out."""
-        if broadcast == "a":
-            a, b, broadcast = b, a, "b"
+        """Entries that meet under a key and stay within the degree; a plain join, so a key with many entries is split
+        like any other skewed key."""
         shared = [k for k in a.keys if k in b.keys]
-        packed = b.df.groupBy(*b.keys).agg(F.collect_list(F.struct("term", "v", "n")).alias("__with"))
-        both = a.df.join(F.broadcast(packed) if broadcast == "b" else packed, shared)
+        left = a.df.select(*a.keys, F.col("term").alias("l_term"), F.col("v").alias("l_v"), F.col("n").alias("l_n"), F.size("term").alias("l_d"))
+        right = b.df.select(*b.keys, F.col("term").alias("r_term"), F.col("v").alias("r_v"), F.col("n").alias("r_n"), F.size("term").alias("r_d"))
         keys = a.keys + tuple(k for k in b.keys if k not in a.keys)
-
-        def met(x: Column) -> Column:
-            v = (F.col("v").cast(NARROW) * x["v"].cast(NARROW)).cast(WIDE) if self.exact else F.col("v") * x["v"]
-            term = F.when(F.size(x["term"]) == 0, F.col("term")).when(F.size("term") == 0, x["term"]).otherwise(F.sort_array(F.concat(F.col("term"), x["term"])))
-            return F.struct(term.alias("term"), v.alias("v"), (F.col("n") * x["n"]).alias("n"))
-
-        fits = F.filter("__with", lambda x: F.size(x["term"]) + F.size("term") <= self.degree)
-        return View(both.select(*keys, F.inline(F.transform(fits, met))), keys, tuple(sorted({*a.attrs, *b.attrs})))
+        both = matched(left, right, shared, broadcast).where(F.col("l_d") + F.col("r_d") <= self.degree)
+        v = (F.col("l_v").cast(NARROW) * F.col("r_v").cast(NARROW)).cast(WIDE) if self.exact else F.col("l_v") * F.col("r_v")
+        term = F.when(F.col("r_d") == 0, F.col("l_term")).when(F.col("l_d") == 0, F.col("r_term")).otherwise(F.sort_array(F.concat("l_term", "r_term")))
+        return View(both.select(*keys, term.alias("term"), v.alias("v"), (F.col("l_n") * F.col("r_n")).alias("n")), keys, tuple(sorted({*a.attrs, *b.attrs})))
 
     def total(self, v, keys):
         return View(grouped(v.df, (*keys, "term"), self._sums()), keys, v.attrs)

@@ -4,13 +4,14 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.errors import AnalysisException
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 CONT, CAT = "cont", "cat"
 #: Payload columns; keys of views can't be called so.
-RESERVED = {"c", "v", "n", "term", "mult"}
+RESERVED = {"c", "v", "n", "term", "mult", "block"}
 
 
 @dataclass(frozen=True)
@@ -109,6 +110,8 @@ class QuerySpec:
         names = [a.name for a in (*self.attributes, *self.free)]
         if len(set(names)) != len(names):
             raise SpecError("attribute names must differ")
+        if set(names) & set(self.variables()):
+            raise SpecError(f"join variables have these names: {sorted(set(names) & set(self.variables()))}; name the attributes otherwise and give their expr")
         taken = RESERVED & {*self.variables(), *(f.name for f in self.free)}
         if taken:
             raise SpecError(f"views have payload columns of these names: {sorted(taken)}")
@@ -129,25 +132,49 @@ class QuerySpec:
         """Filtered rows of a table or of its delta: join variables, attributes, free attributes, and mult."""
         if alias in self.where:
             df = df.where(self.where[alias])
-        mult = F.col("mult").cast("long") if "mult" in df.columns else F.lit(1).cast("long")
-        columns = [F.col(c).alias(v) for v, c in self.table_variables(alias).items()]
-        columns += [self._value(a).alias(a.name) for a in self.of_table(alias)]
-        columns += [F.expr(a.sql).alias(a.name) for a in self.free if a.table == alias]
-        out = df.select(*columns, mult.alias("mult"))
-        for a in self.of_table(alias):
-            if (self.null_numeric if a.kind == CONT else self.null_category) == "drop":
-                out = out.where(F.col(a.name).isNotNull())
+        free = [a for a in self.free if a.table == alias]
+        return self._selected(df, {v: c for v, c in self.table_variables(alias).items()}, list(self.of_table(alias)), free)
+
+    def _selected(self, df: DataFrame, variables: dict[str, str], values: list[Attribute], free: list[Attribute]) -> DataFrame:
+        columns = [f"`{c}` AS `{v}`" for v, c in variables.items()] + [f"{self._value(a)} AS `{a.name}`" for a in values] + [f"{a.sql} AS `{a.name}`" for a in free]
+        out = df.selectExpr(*columns, f"CAST({'mult' if 'mult' in df.columns else '1'} AS bigint) AS mult")
+        drop = [a for a in values if (self.null_numeric if a.kind == CONT else self.null_category) == "drop"]
+        return out.where(" AND ".join(f"`{a.name}` IS NOT NULL" for a in drop)) if drop else out
+
+    def factor_rows(self, alias: str, factors: list[DataFrame], keys: tuple[str, ...]) -> list[tuple[DataFrame, tuple[str, ...], tuple[str, ...]]]:
+        """(rows, keys, attributes) of each factor of an update of a table; each column of the table is in one factor."""
+        out, todo = [], {a.name: a for a in (*self.of_table(alias), *[f for f in self.free if f.table == alias])}
+        where = self.where.get(alias)
+        for f in factors:
+            variables = {v: c for v, c in self.table_variables(alias).items() if c in f.columns and v in keys}
+            mine = []
+            for name, a in list(todo.items()):
+                try:
+                    f.select(F.expr(a.sql))
+                except AnalysisException:  # its columns are in another factor
+                    continue
+                mine.append(todo.pop(name))
+            if where is not None:
+                try:
+                    f, where = f.where(where), None
+                except AnalysisException:  # as above
+                    pass
+            free = [a for a in mine if a in self.free]
+            values = [a for a in mine if a not in self.free]
+            rows = self._selected(f, variables, values, free)
+            out.append((rows, (*[v for v in keys if v in variables], *[a.name for a in free]), tuple(sorted(a.name for a in values))))
+        if todo or where is not None:
+            raise SpecError(f"no factor of {alias} has all columns of {sorted(todo) or where}")
         return out
 
-    def _value(self, a: Attribute) -> Column:
-        x = F.expr(a.sql)
+    def _value(self, a: Attribute) -> str:
         if a.kind == CAT:
-            return x.cast("string")
+            return f"CAST({a.sql} AS string)"
         if isinstance(self.null_numeric, (int, float)):
-            return F.coalesce(x, F.lit(self.null_numeric))
+            return f"coalesce({a.sql}, {float(self.null_numeric)!r}D)"
         if self.null_numeric == "error":
-            return F.when(x.isNotNull(), x).otherwise(F.raise_error(F.lit(f"null in continuous attribute {a.name}")))
-        return x
+            return f"CASE WHEN ({a.sql}) IS NOT NULL THEN ({a.sql}) ELSE raise_error('null in continuous attribute {a.name}') END"
+        return f"({a.sql})"
 
 
 def load(spark: SparkSession, sf_dir: str, spec: QuerySpec) -> dict[str, DataFrame]:

@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 import json
+import re
 import tempfile
 import uuid
+from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 from ..operators.evaluate import inner_view, leaf_view
 from ..operators.rings import Ring, View
@@ -14,10 +17,13 @@ from ..plans.tree import ViewNode, ViewTree
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a folder of our own only where it is unset."""
+    """The folder all executors share: spark.checkpoint.dir, or the checkpoint folder set on the context. A local
+    master may go without, as its executors see the driver's files; a cluster may not."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if where:
         return where.rstrip("/")
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     where = tempfile.mkdtemp(prefix="deltaring-")
     spark.sparkContext.setCheckpointDir(where)
     return where
@@ -41,15 +47,16 @@ class Files:
         fs, p = self._at(path)
         return fs.exists(p)
 
-    def names(self, path: str) -> list[str]:
-        fs, p = self._at(path)
-        return sorted(x.getPath().getName() for x in fs.listStatus(p)) if fs.exists(p) else []
-
     def write(self, path: str, text: str) -> None:
+        """A new file, seen whole or not at all; FileExistsError if it is there."""
         fs, p = self._at(path)
-        out = fs.create(p, True)
+        draft = self.jvm.org.apache.hadoop.fs.Path(f"{path.rsplit('/', 1)[0]}/.draft-{uuid.uuid4().hex}")
+        out = fs.create(draft, True)
         out.write(bytearray(text.encode()))
         out.close()
+        if fs.exists(p) or not fs.rename(draft, p):
+            fs.delete(draft, False)
+            raise FileExistsError(path)
 
     def read(self, path: str) -> str:
         fs, p = self._at(path)
@@ -63,13 +70,25 @@ class Files:
         fs.delete(p, True)
 
 
+@dataclass(frozen=True)
+class Commit:
+    """A bulk that counts: its place in the order of commits (1 is the first) and the deltas it wrote."""
+
+    place: int
+    batch: str
+    deltas: tuple[str, ...]
+
+
 class ViewStore:
     """Views of a tree under a ring, kept as snapshot plus committed deltas.
 
-    Layout: <path>/<view>/snapshot=<k>, <path>/<view>/delta/<batch>.<table>, <path>/pointer (JSON: the snapshot
-    of each view and the batch it stands at), <path>/committed/<batch>. A batch counts once its marker is
-    written; one that broke off is written over when it comes again, one that is committed is not
-    applied again. Readers may name a batch to read the state as of then (back to the snapshot).
+    Layout: <path>/<view>/snapshot=<k>, <path>/<view>/delta/<batch>.<table>, <path>/pointer/<k> (the last one
+    counts: the snapshot of each view and the place of the last commit in it), <path>/committed/<place> (the
+    bulk and its deltas). Places count up from 1; bulks are ordered by the places of their commits, never by
+    their names, which may be any words of letters, figures, ".", "_" and "-". A bulk counts once its marker is
+    written, with exactly the deltas the marker names; one that broke off is written over when it comes again,
+    one that is committed is not applied again. One writer at a time: a commit whose place is taken
+    fails. Readers may name a bulk to read the state as of its commit (back to the snapshot).
     """
 
     def __init__(self, spark: SparkSession, tree: ViewTree, ring: Ring, path: str | None = None, updatable: tuple[str, ...] | None = None):
@@ -78,13 +97,15 @@ class ViewStore:
         self.kept = {n.name: n for n in tree.materialised(updatable)}
         self.staged: list[str] = []
         self.schemas: dict = {}
+        self._commits: list[Commit] = []
+        self._pointer: tuple[int, dict] = (-1, {})
 
     def initialise(self, tables: dict[str, DataFrame]) -> ViewStore:
         """Compute the kept views from the tables, each from the stored ones below it."""
         for node in self.tree.nodes():
             if node.name in self.kept:
                 self._snapshot(node, self._fresh(node, tables), 0)
-        self._point({n: {"snapshot": 0, "after": ""} for n in self.kept})
+        self._point(0, {n: {"snapshot": 0, "after": 0} for n in self.kept})
         return self
 
     def _fresh(self, node: ViewNode, tables: dict[str, DataFrame]) -> View:
@@ -96,67 +117,110 @@ class ViewStore:
             children.append(View(self.spark.read.schema(self.schemas[c.name]).parquet(f"{self.path}/{c.name}/snapshot=0"), c.keys, c.attrs) if stored else self._fresh(c, tables))
         return inner_view(node, self.ring, children)
 
+    def _columns(self, view: View) -> DataFrame:
+        return view.df.select(*view.keys, *self.ring.payload(view.attrs))
+
     def _snapshot(self, node: ViewNode, view: View, k: int) -> None:
-        df = view.df.select(*view.keys, *self.ring.payload(view.attrs))
+        df = self._columns(view)
         self.schemas[node.name] = df.schema
         df = df.sortWithinPartitions(*view.keys) if view.keys else df.coalesce(1)
         df.write.mode("overwrite").parquet(f"{self.path}/{node.name}/snapshot={k}")
 
-    def _point(self, pointer: dict) -> None:
-        self.files.write(f"{self.path}/pointer", json.dumps(pointer))
+    def _point(self, k: int, pointer: dict) -> None:
+        self.files.write(f"{self.path}/pointer/{k:012d}", json.dumps(pointer))
 
     def pointer(self) -> dict:
-        return json.loads(self.files.read(f"{self.path}/pointer"))
+        while self.files.exists(path := f"{self.path}/pointer/{self._pointer[0] + 1:012d}"):
+            self._pointer = self._pointer[0] + 1, json.loads(self.files.read(path))
+        return self._pointer[1]
+
+    def commits(self) -> list[Commit]:
+        """In the order they were made. Each marker is read once."""
+        while self.files.exists(path := f"{self.path}/committed/{len(self._commits) + 1:012d}"):
+            marker = json.loads(self.files.read(path))
+            self._commits.append(Commit(len(self._commits) + 1, marker["batch"], tuple(marker["deltas"])))
+        return self._commits
 
     def committed(self) -> list[str]:
-        return self.files.names(f"{self.path}/committed")
+        return [c.batch for c in self.commits()]
 
     def is_committed(self, batch: str) -> bool:
-        return self.files.exists(f"{self.path}/committed/{batch}")
+        return batch in self.committed()
+
+    def begin(self, batch: str) -> bool:
+        """Start a bulk; False if it was committed before."""
+        if not re.fullmatch(r"[A-Za-z0-9][A-Za-z0-9._-]*", batch):
+            raise ValueError(f"no name of a bulk: {batch!r}")
+        self.staged = []
+        return not self.is_committed(batch)
 
-    def append(self, node: ViewNode, batch: str, alias: str, view: View) -> View:
-        """Write a view's delta (over what an earlier try left) and return it as stored."""
+    def append(self, node: ViewNode, batch: str, alias: str, view: View) -> tuple[View, int]:
+        """Write a view's delta (over what an earlier try left); the delta as stored, and its rows, counted while written."""
         name = f"{batch}.{alias}"
         if name not in self.staged:
             self.staged.append(name)
         path = f"{self.path}/{node.name}/delta/{name}"
-        df = view.df.select(*view.keys, *self.ring.payload(view.attrs))
-        df.coalesce(max(1, self.spark.sparkContext.defaultParallelism // 4)).write.mode("overwrite").parquet(path)
-        return View(self.spark.read.schema(df.schema).parquet(path), view.keys, view.attrs)
+        df, rows = self._columns(view), Observation()
+        df.observe(rows, F.count(F.lit(1)).alias("rows")).write.mode("overwrite").parquet(path)
+        return View(self.spark.read.schema(df.schema).parquet(path), view.keys, view.attrs), rows.get["rows"]
 
     def commit(self, batch: str) -> None:
-        self.files.write(f"{self.path}/committed/{batch}", "\n".join(self.staged))
+        """Take the place after the commits this store has seen."""
+        try:
+            self.files.write(f"{self.path}/committed/{len(self._commits) + 1:012d}", json.dumps({"batch": batch, "deltas": self.staged}))
+        except FileExistsError:
+            raise RuntimeError(f"another writer committed while bulk {batch} was computed; apply it again") from None
         self.staged = []
 
-    def rows(self, node: ViewNode, until: str | None = None) -> View:
-        """The view's rows, snapshot and deltas side by side, not merged: joins distribute over them."""
-        at = self.pointer()[node.name]
-        done = [b for b in self.committed() if b > at["after"] and (until is None or b <= until)]
-        if until is not None and until < at["after"]:
-            raise ValueError(f"the snapshot of {node.name} already holds batch {at['after']}")
-        names = [x for x in self.files.names(f"{self.path}/{node.name}/delta") if x.rsplit(".", 1)[0] in done or (until is None and x in self.staged)]
+    @staticmethod
+    def _place(until: str | int | None, commits: list[Commit]) -> int | None:
+        if until is None or isinstance(until, int):
+            return until
+        found = [c.place for c in commits if c.batch == until]
+        if not found:
+            raise ValueError(f"bulk {until} is not committed")
+        return found[0]
+
+    def rows(self, node: ViewNode, until: str | int | None = None) -> View:
+        """The view's rows, snapshot and deltas side by side, not merged: joins distribute over them.
+
+        until: a bulk, or a place in the order of commits (0: the initial load); else all commits and what is staged.
+        """
+        at, commits = self.pointer()[node.name], self.commits()
+        last = self._place(until, commits)
+        if last is not None and last < at["after"]:
+            raise ValueError(f"the snapshot of {node.name} already holds commit {at['after']}")
+        wanted = {d for c in commits if c.place > at["after"] and (last is None or c.place <= last) for d in c.deltas} | (set(self.staged) if last is None else set())
+        names = sorted(x for x in wanted if self._touches(x, node))
         paths = [f"{self.path}/{node.name}/snapshot={at['snapshot']}", *[f"{self.path}/{node.name}/delta/{x}" for x in names]]
         if node.name not in self.schemas:
             self.schemas[node.name] = self.spark.read.parquet(paths[0]).schema
         return View(self.spark.read.schema(self.schemas[node.name]).parquet(*paths), node.keys, node.attrs)
 
-    def state(self, node: ViewNode | None = None, until: str | None = None) -> View:
+    def _touches(self, delta: str, node: ViewNode) -> bool:
+        return any(n is node for n in self.tree.path(delta.rsplit(".", 1)[1]))
+
+    def state(self, node: ViewNode | None = None, until: str | int | None = None) -> View:
         """The view merged, without keys whose payload is zero."""
         node = node or self.tree.root
         return self.ring.state(self.rows(node, until), node.keys)
 
     def compact(self) -> None:
-        """New snapshots of all views; the pointer turns to them before the old files go."""
-        done, old = self.committed(), self.pointer()
-        last = done[-1] if done else ""
+        """New snapshots of all views; the pointer turns to them before the old files go. A bulk that was not
+        committed by then is in no snapshot, whatever its name, and its deltas stay."""
+        commits, old = list(self.commits()), self.pointer()
+        last = commits[-1].place if commits else 0
+        k = 1 + max(p["snapshot"] for p in old.values())
         new = {}
         for name, node in self.kept.items():
-            k = old[name]["snapshot"] + 1
-            self._snapshot(node, self.state(node), k)
+            self._snapshot(node, self.state(node, last), k)
             new[name] = {"snapshot": k, "after": last}
-        self._point(new)
-        for name in self.kept:
+        self._point(k, new)
+        for name, node in self.kept.items():
             self.files.remove(f"{self.path}/{name}/snapshot={old[name]['snapshot']}")
-            for x in self.files.names(f"{self.path}/{name}/delta"):
-                if x.rsplit(".", 1)[0] <= last:
-                    self.files.remove(f"{self.path}/{name}/delta/{x}")
+            for d in (d for c in commits if c.place > old[name]["after"] for d in c.deltas if self._touches(d, node)):
+                self.files.remove(f"{self.path}/{name}/delta/{d}")
+
+    def remove(self) -> None:
+        """Delete all files of the store."""
+        self.files.remove(self.path)

@@ -161,7 +161,7 @@ def test_block_layout(spark):
     assert got[1, 2, 3] == pytest.approx(sum(w[i] * full[i, 2] * full[i, 3] for i in range(1, 300, 3)))
     with pytest.raises(Exception, match="NaN|null"):
         block.gram_block(spark.createDataFrame([(1.0, float("nan"))], "a double, b double"), ["a", "b"]).collect()
-    assert block.layout_for(5, False, False) == "columns" and block.layout_for(64, False, False) == "block" and block.layout_for(3, True, False) == "sparse"
+    assert [block.layout_for(QuerySpec({'t': 't'}, (), tuple(Attribute(f'a{i}', 't', k) for i in range(n)))) for n, k in ((5, 'cont'), (64, 'cont'), (3, CAT))] == ['columns', 'block', 'sparse']
 
 
 def test_bins(spark):

@@ -1,14 +1,15 @@
+import dataclasses
 import random
 
 import pytest
 from pyspark.sql import functions as F
 
 from deltaring import workloads as w
-from deltaring.operators import baselines, metrics
-from deltaring.operators.delta import as_delta, as_update, consolidate, factor_delta, negative_multiplicities, propagate, propagate_all, recomputed
+from deltaring.operators import baselines, block, factorised, metrics
+from deltaring.operators.delta import as_delta, as_update, consolidate, factor_delta, negative_multiplicities, propagate, propagate_all, propagate_factored, propagate_factored_all, recomputed
 from deltaring.operators.rings import CountRing, MomentRing
 from deltaring.operators.sparse import SparseMomentRing
-from deltaring.plans.spec import CAT, Attribute, QuerySpec, load
+from deltaring.plans.spec import CAT, Attribute, QuerySpec, SpecError, load
 from deltaring.plans.tree import build_view_tree
 from deltaring.sources import feeds
 from deltaring.sources.store import ViewStore
@@ -128,12 +129,140 @@ def test_states_by_batch(spark):
     store = ViewStore(spark, tree, MomentRing(s, "decimal")).initialise(data)
     for i in (1, 2):
         propagate_all(store, {"R": bulk(spark, [("a1", 10 * i, 1)])}, str(i))
-    assert [store.state(until=b).df.first().c for b in ("0", "1", "2")] == [4, 6, 8]
+    assert [store.state(until=b).df.first().c for b in (0, "1", "2")] == [4, 6, 8]
     store.compact()
     with pytest.raises(ValueError):
         store.state(until="1")
 
 
+@pytest.mark.parametrize("names", [["batch-8", "batch-9", "batch-10", "batch-11"], ["3", "2", "1", "0"], ["z", "a.b", "a", "Z-1"]])
+def test_bulks_count_whatever_their_names(spark, names):
+    """Order is that of commits: unpadded and late names before and after compaction."""
+    s = spec({"b": "cont"})
+    tree, data = build_view_tree(s), toy.frames(spark)
+    ring = MomentRing(s, "decimal")
+    store = ViewStore(spark, tree, ring).initialise(data)
+    for i, name in enumerate(names):
+        assert propagate_all(store, {"R": bulk(spark, [("a1", 1, 1)])}, name)
+        assert not propagate_all(store, {"R": bulk(spark, [("a1", 1, 1)])}, name)
+        assert store.state().df.first().c == 4 + 2 * (i + 1)
+        if i % 2:
+            store.compact()
+            assert store.state().df.first().c == 4 + 2 * (i + 1)
+        again = ViewStore(spark, tree, ring, path=store.path)
+        assert again.committed() == names[: i + 1] and again.state().df.first().c == 4 + 2 * (i + 1)
+    with pytest.raises(ValueError):
+        store.begin("../x")
+    with pytest.raises(ValueError):
+        store.state(until="never")
+
+
+def test_second_writer_fails(spark):
+    s = spec({"b": "cont"})
+    tree, data = build_view_tree(s), toy.frames(spark)
+    ring = MomentRing(s, "decimal")
+    one = ViewStore(spark, tree, ring).initialise(data)
+    two = ViewStore(spark, tree, ring, path=one.path)
+    assert two.begin("b")
+    propagate(two, "R", bulk(spark, [("a1", 1, 1)]), "b")
+    assert propagate_all(one, {"R": bulk(spark, [("a1", 1, 1)])}, "a")
+    with pytest.raises(RuntimeError, match="another writer"):
+        two.commit("b")
+    assert ViewStore(spark, tree, ring, path=one.path).state().df.first().c == 6
+    assert propagate_all(two, {"R": bulk(spark, [("a1", 1, 1)])}, "b") and two.state().df.first().c == 8
+
+
+def test_a_retry_with_other_tables_leaves_nothing_behind(spark):
+    s = spec({"b": "cont", "d": "cont"})
+    tree, data = build_view_tree(s), toy.frames(spark)
+    store = ViewStore(spark, tree, MomentRing(s, "decimal")).initialise(data)
+    store.begin("1")
+    propagate(store, "R", bulk(spark), "1")
+    propagate(store, "S", as_delta(None, data["S"]), "1")  # broke off here
+    assert propagate_all(store, {"R": bulk(spark, [("a1", 1, 1)])}, "1")
+    assert store.state().df.first().c == 6
+
+
+def test_block_ring_equals_columns(spark):
+    """Wide payloads: initial load, bulks with deletes, dimensions, compaction and zero states."""
+    s = w.j1(("l_quantity", "l_linenumber", "o_totalprice"))
+    s = dataclasses.replace(s, attributes=(*s.attributes, w.attribute("c_place", expr="c_nationkey + 1"), w.attribute("r_place", expr="r_regionkey")))
+    with pytest.raises(SpecError):
+        w.j1(("c_nationkey",)).validate(load(spark, SF, s))
+    data = load(spark, SF, s)
+    initial, bulks = feeds.lineitem_bulks(data["lineitem"], deletes=True)
+    gone = as_delta(None, data["nation"].where("n_nationkey = 7"))
+    key = lambda ring, v: {(r.attr_u, r.attr_v): float(r.value) for r in ring.entries(v).collect()}
+    for order in (w.ORDER_FACT, w.ORDER_DIMENSION):
+        tree = build_view_tree(s, order)
+        want, got = MomentRing(s), block.BlockRing(s)
+        a, b = (ViewStore(spark, tree, r).initialise({**data, "lineitem": initial}) for r in (want, got))
+        for i, x in enumerate([{"lineitem": bulks[0]}, {"nation": gone, "lineitem": bulks[1]}]):
+            for st in (a, b):
+                propagate_all(st, x, f"{i}")
+            x, y = key(want, a.state()), key(got, b.state())
+            assert x.keys() == y.keys() and all(abs(x[k] - y[k]) <= 1e-9 * max(1.0, abs(x[k])) for k in x)
+        b.compact()
+        assert key(got, b.state()) == pytest.approx(y, rel=1e-12)
+    grouped = QuerySpec(s.tables, s.joins, s.attributes, free=(w.attribute("r_name", CAT),))
+    tree = build_view_tree(grouped, w.ORDER_FACT)
+    x, y = ({(e.r_name, e.attr_u, e.attr_v): float(e.value) for e in ring.entries(recomputed(tree, ring, data)).collect()} for ring in (MomentRing(grouped), block.BlockRing(grouped)))
+    assert x.keys() == y.keys() and all(abs(x[k] - y[k]) <= 1e-9 * max(1.0, abs(x[k])) for k in x)
+    v = got.leaf(s.rows("nation", data["nation"]), ("c_nationkey", "n_regionkey"), ())
+    assert got.nonzero(got.total(got.union([v, got.negated(v)]), ("n_regionkey",))).df.count() == 0
+    with pytest.raises(Exception, match="null, NaN"):
+        nan = spark.createDataFrame([("a", float("nan"))], "k string, x double")
+        ring = block.BlockRing(QuerySpec({"t": "t"}, (), (Attribute("x", "t"),)))
+        ring.leaf(ring.spec.rows("t", nan), (), ("x",)).df.collect()
+
+
+def test_factors_are_integers(spark):
+    grid = lambda xs, ys, c=1: spark.createDataFrame([(i, j, c * m * n) for i, m in xs for j, n in ys], "i int, j string, mult long")
+    for xs, ys, c in (([(1, 2), (2, 4)], [("a", 3), (None, -6)], 1), ([(None, 1), (2, -1)], [("a", 1), ("b", 5)], 7), ([(1, 10**9), (2, 3)], [("a", 10**9), ("b", -(10**9))], 1)):
+        whole = grid(xs, ys, c)
+        factors = factor_delta(whole, [["i"], ["j"]])
+        assert all(dict(f.dtypes)["mult"] == "bigint" for f in factors)
+        a, b = (f.collect() for f in factors)
+        assert {(x.i, y.j): x.mult * y.mult for x in a for y in b} == {(r.i, r.j): r.mult for r in whole.collect()}
+    assert factor_delta(grid([(1, 1)], [("a", 1)]).limit(0), [["i"], ["j"]]) is None
+    three = spark.createDataFrame([(i, j, k, -6 * i * j) for i in (1, 2) for j in (1, 5) for k in (0, 1)], "i int, j int, k int, mult long")
+    assert [f.count() for f in factor_delta(three, [["i"], ["j"], ["k"]])] == [2, 2, 2]
+
+
+def test_factored_bulk_equals_the_bulk(spark):
+    """A product pushed up as its factors, over both orders of variables and several rings."""
+    s = QuerySpec({"R": "R", "S": "S", "T": "T"}, (("R.a", "S.a"), ("R.b", "T.b")), (Attribute("x", "R"), Attribute("c", "S", CAT), Attribute("d", "S"), Attribute("e", "T")))
+    frames = {"R": spark.createDataFrame([(1, 1, 2), (2, 1, 3)], "a int, b int, x int"), "S": spark.createDataFrame([(1, "p", 4), (2, "q", 5), (2, "p", 6)], "a int, c string, d int"), "T": spark.createDataFrame([(1, 7), (2, 8)], "b int, e int")}
+    f1 = spark.createDataFrame([(1, 2), (2, -1)], "a int, mult long")
+    f2 = spark.createDataFrame([(1, 9, 1), (2, 5, 3)], "b int, x int, mult long")
+    whole = f1.withColumnRenamed("mult", "m").crossJoin(f2).withColumn("mult", F.col("m") * F.col("mult")).select("a", "b", "x", "mult")
+    for order in (("a", "b"), ("b", "a")):
+        tree = build_view_tree(s, order)
+        ring = SparseMomentRing(s, "decimal")
+        one, two = (ViewStore(spark, tree, ring).initialise(frames) for _ in range(2))
+        assert propagate_all(one, {"R": whole}, "1") and propagate_factored_all(two, {"R": [f1, f2]}, "1")
+        assert not propagate_factored_all(two, {"R": [f1, f2]}, "1")
+        for name, node in one.kept.items():
+            a, b = (sorted(map(str, x.state(node).df.select(sorted(one.state(node).df.columns)).collect())) for x in (one, two))
+            assert a == b, name
+    with pytest.raises(SpecError):
+        propagate_factored(two, "R", [f1, f2.drop("x")], "2")
+
+
+def test_factorised_views_keep_no_dangling_tuple(spark):
+    """A chain whose tables are named out of order, and a cycle."""
+    s = QuerySpec({"B": "B", "A": "A", "C": "C"}, (("A.x", "B.x"), ("B.y", "C.y")), ())
+    frames = {"A": spark.createDataFrame([(1,), (2,)], "x int"), "B": spark.createDataFrame([(1, 1), (2, 2), (3, 1)], "x int, y int"), "C": spark.createDataFrame([(1,)], "y int")}
+    for order in (("x", "y"), ("y", "x")):
+        v = factorised.factorised_views(build_view_tree(s, order), frames, ())
+        assert {a: sorted(tuple(r[c] for c in r.__fields__ if c != "mult") for r in d.collect()) for a, d in v.items()} == {"A": [(1,)], "B": [(1, 1)], "C": [(1,)]}
+        assert factorised.factorised_size(v) == 3
+    tri = QuerySpec({"R": "R", "S": "S", "T": "T"}, (("R.a", "S.a"), ("S.b", "T.b"), ("R.c", "T.c")), ())
+    t = {"R": spark.createDataFrame([(1, 1), (1, 2)], "a int, c int"), "S": spark.createDataFrame([(1, 1), (1, 2)], "a int, b int"), "T": spark.createDataFrame([(1, 1), (2, 3)], "b int, c int")}
+    v = factorised.factorised_views(build_view_tree(tri), t, ())
+    assert [v[a].count() for a in "RST"] == [1, 1, 1]
+
+
 def test_views_that_were_not_declared(spark):
     s = w.j1(("l_quantity",))
     tree, data = build_view_tree(s, w.ORDER_FACT), load(spark, SF, s)
