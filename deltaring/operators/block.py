@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..plans.spec import CAT, QuerySpec
 from .rings import MomentRing, Ring, View, matched
-from .sparse import SparseMomentRing
+from .sparse import JointMomentRing, SparseMomentRing, layout_of
 
 
 def upper(m: int) -> tuple[np.ndarray, np.ndarray]:
@@ -265,16 +265,16 @@ def _places(a: list[str], b: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return places[0], places[1]
 
 
-def layout_for(spec: QuerySpec, keyed: bool = True) -> str:
-    """columns up to 12 attributes, block beyond, sparse wherever a category is."""
+def layout_for(spec: QuerySpec, tables: dict[str, DataFrame] | None = None) -> str:
+    """columns up to 12 attributes, block beyond; joint where categories have few combinations in the tables, else sparse."""
     if any(a.kind == CAT for a in spec.attributes):
-        return "sparse"
+        return layout_of(spec, tables) if tables else "sparse"
     return "columns" if len(spec.attributes) <= 12 else "block"
 
 
-def ring_for(spec: QuerySpec, exact: bool = False) -> Ring:
-    """The moment ring that suits the attributes."""
-    layout = layout_for(spec)
-    if layout == "sparse":
-        return SparseMomentRing(spec, "decimal" if exact else "double")
-    return MomentRing(spec, "decimal" if exact else "double") if layout == "columns" or exact else BlockRing(spec)
+def ring_for(spec: QuerySpec, tables: dict[str, DataFrame] | None = None, numeric: str = "double") -> Ring:
+    """The moment ring that suits the attributes and tables; exact sums are not for blocks."""
+    layout = layout_for(spec, tables)
+    if layout in ("sparse", "joint"):
+        return (JointMomentRing if layout == "joint" else SparseMomentRing)(spec, numeric)
+    return BlockRing(spec) if layout == "block" and numeric == "double" else MomentRing(spec, numeric)

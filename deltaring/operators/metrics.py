@@ -20,9 +20,10 @@ class BulkLog:
     """Seconds by part of the work and updates, a row per bulk."""
 
     rows: list[dict] = field(default_factory=list)
+    _now: dict | None = None
 
     @contextmanager
-    def bulk(self, batch: str, updates: int):
+    def bulk(self, batch: str, updates: int = 0):
         row = {"batch": batch, "updates": updates, "parts": {}}
         began = time.perf_counter()
         self._now = row
@@ -30,11 +31,16 @@ class BulkLog:
         row["seconds"] = time.perf_counter() - began
         self.rows.append(row)
 
+    def updates(self, n: int) -> None:
+        self._now["updates"] = n
+
     @contextmanager
     def part(self, name: str):
+        """A part of the current bulk, or of the last one once it is over."""
         began = time.perf_counter()
         yield
-        self._now["parts"][name] = self._now["parts"].get(name, 0.0) + time.perf_counter() - began
+        if self._now is not None:
+            self._now["parts"][name] = self._now["parts"].get(name, 0.0) + time.perf_counter() - began
 
 
 def throughput(log: BulkLog) -> float:

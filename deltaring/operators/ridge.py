@@ -9,6 +9,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.spec import CAT
+from ..sources.store import new_folder
+from .block import BlockRing
 from .rings import MomentRing, View
 from .sparse import SparseMomentRing
 
@@ -45,24 +47,35 @@ class RidgeModel:
 DRIVER_LIMIT = 4000
 
 
-def collected(ring: MomentRing | SparseMomentRing, root: View, features: list[str], label: str) -> Moments:
-    """The moments of some features and a label, on the driver; categorical features have a column per live category."""
+def collected(ring: MomentRing | SparseMomentRing | BlockRing, root: View, features: list[str], label: str) -> Moments:
+    """The moments of some features and a label, on the driver; categorical features have a column per live category.
+
+    Features are counted first and refused beyond DRIVER_LIMIT; the matrix comes as Arrow columns of numbers.
+    """
     wanted = ["1", *features, label]
-    if isinstance(ring, MomentRing):
-        rows = ring.entries(root).where(F.col("attr_u").isin(wanted) & F.col("attr_v").isin(wanted)).collect()
-        cells = {((r["attr_u"], None), (r["attr_v"], None)): float(r["value"]) for r in rows}
+    if isinstance(ring, SparseMomentRing):
+        e = ring.entries(ring.live(root))
+        marked = lambda s: F.when(F.col(f"cat_{s}").isNotNull(), F.col(f"cat_{s}")).when(F.col(f"attr_{s}").isin([a for a, k in ring.kinds.items() if k == CAT]), "\0null")
     else:
-        e = ring.entries(ring.live(root)).where(F.col("attr_u").isin(wanted) & F.col("attr_v").isin(wanted))
-        if e.where("attr_u = '1'").count() > DRIVER_LIMIT:
-            raise ValueError("too many live categories for the driver")
-        null = lambda attr, cat: "\0null" if cat is None and ring.kinds.get(attr) == CAT else cat
-        cells = {((r["attr_u"], null(r["attr_u"], r["cat_u"])), (r["attr_v"], null(r["attr_v"], r["cat_v"]))): float(r["value"]) for r in e.collect()}
-    n = cells.get((ONE, ONE), 0.0)
-    names = [ONE, *sorted({v for u, v in cells if u == ONE and v != ONE and v[0] != label}, key=lambda f: (f[0], f[1] or "")), (label, None)]
-    at = {x: i for i, x in enumerate(names)}
+        e = ring.entries(root)
+        marked = lambda s: F.lit(None).cast("string")
+    e = e.where(F.col("attr_u").isin(wanted) & F.col("attr_v").isin(wanted)).select("attr_u", marked("u").alias("cat_u"), "attr_v", marked("v").alias("cat_v"), F.col("value").cast("double").alias("value"))
+    path = new_folder(e.sparkSession, "moments")
+    e.write.parquet(path)
+    e = e.sparkSession.read.parquet(path)
+    found = e.where((F.col("attr_u") == "1") & ~F.col("attr_v").isin("1", label)).select("attr_v", "cat_v").limit(DRIVER_LIMIT + 1).collect()
+    if len(found) > DRIVER_LIMIT:
+        raise ValueError("too many parameters for the driver")
+    names = [ONE, *sorted(((r[0], r[1]) for r in found), key=lambda f: (f[0], f[1] or "")), (label, None)]
+    places = e.sparkSession.createDataFrame([(a, c, i) for i, (a, c) in enumerate(names)], "attr string, cat string, place int")
+    for s in "uv":
+        here = F.broadcast(places.select(F.col("attr").alias("a"), F.col("cat").alias("c"), F.col("place").alias(s)))
+        e = e.join(here, (F.col(f"attr_{s}") == F.col("a")) & F.col(f"cat_{s}").eqNullSafe(F.col("c"))).drop("a", "c")
+    cells = e.select("u", "v", "value").toArrow()
+    u, v, value = (cells.column(i).to_numpy() for i in range(3))
     m = np.zeros((len(names), len(names)))
-    for (u, v), value in cells.items():
-        m[at[u], at[v]] = m[at[v], at[u]] = value
+    m[u, v] = m[v, u] = value
+    n = float(m[0, 0])
     return Moments(n, names, m / n if n else m)
 
 
@@ -142,6 +155,12 @@ def ridge_closed_form(moments: Moments, label: str, lam: float = 0.0) -> RidgeMo
     return RidgeModel(_raw(moments, mean, dev, theta), label, ridge_loss(s, theta, lam), 0, float(np.linalg.norm(ridge_gradient(s, theta, lam))), lam, dict(zip(s.names[:-1], map(float, theta))))
 
 
+def scaled_entries(m: Moments, label: str) -> list[tuple[str, str | None, str, str | None, float]]:
+    """The entries that ridge_fit_distributed takes, from moments on the driver (tests, small problems)."""
+    s, _, _ = standardise(m, label)
+    return [(*a, *b, float(s.matrix[i, j])) for i, a in enumerate(s.names) for j, b in enumerate(s.names)]
+
+
 def ridge_fit_distributed(entries: DataFrame, label: str, lam: float, steps: int, step: float, every: int = 5) -> DataFrame:
     """attr, cat, theta for more parameters than the driver should hold.
 
@@ -149,8 +168,6 @@ def ridge_fit_distributed(entries: DataFrame, label: str, lam: float, steps: int
     constant. Each step is a join of the matrix with the parameters and a sum; every few steps the
     parameters are written to shared storage, which cuts the plan.
     """
-    from ..sources.store import new_folder
-
     spark = entries.sparkSession
     key = lambda s: F.concat_ws("\1", f"attr_{s}", F.coalesce(f"cat_{s}", F.lit("\0")))
     cells = entries.select(key("u").alias("u"), key("v").alias("v"), "value")

@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.spec import CAT, CONT, QuerySpec
-from .rings import Ring, View, grouped, matched
+from .rings import Ring, View, grouped, joined, matched
 
 TERM = "array<struct<a:string,c:string>>"
 WIDE, NARROW = "decimal(38,4)", "decimal(30,4)"
@@ -107,6 +107,10 @@ class SparseMomentRing(Ring):
         """Of a state (no negative multiplicities): entries with rows behind them."""
         return View(v.df.where("n <> 0"), v.keys, v.attrs)
 
+    def terms(self, v: View) -> View:
+        """The view with a row per term."""
+        return v
+
     def entries(self, v: View) -> DataFrame:
         """keys, attr_u, cat_u, attr_v, cat_v, value, n: "1" for the constant, the diagonal of categories filled in."""
         at = lambda i, f: F.get("term", F.lit(i))[f]
@@ -117,7 +121,84 @@ class SparseMomentRing(Ring):
         cats = [a for a, k in self.kinds.items() if k == CAT]
         square = F.when((size == 1) & at(0, "a").isin(cats), row(at(0, "a"), at(0, "c"), at(0, "a"), at(0, "c")))
         both = F.filter(F.array(own, square), lambda x: x.isNotNull()) if cats else F.array(own)
-        return v.df.select(*v.keys, F.inline(both), F.col("v").alias("value"), "n").select(*v.keys, "attr_u", "cat_u", "attr_v", "cat_v", "value", "n")
+        return self.terms(v).df.select(*v.keys, F.inline(both), F.col("v").alias("value"), "n").select(*v.keys, "attr_u", "cat_u", "attr_v", "cat_v", "value", "n")
+
+
+class JointMomentRing(SparseMomentRing):
+    """The same moments, kept by joint category: a row per key and tuple of live categories of all attributes below a
+    view, with a column per monomial of the continuous ones. `terms` spreads a view into entries.
+
+    A key of a fact table has few joint tuples but many terms, so views down there are a fraction of the sparse
+    ring's; at the root there are up to as many tuples as combinations of categories, which `layout_of` checks.
+    """
+
+    def payload(self, attrs):
+        cats, monomials = self._monomials(attrs)
+        return [*[f"k_{a}" for a in cats], *[self._name(m) for m in monomials], "n"]
+
+    @staticmethod
+    def _name(m: tuple[str, ...]) -> str:
+        return "m_" + "__".join(m)
+
+    def row_bytes(self, attrs):
+        return 24 * len(self.payload(attrs))
+
+    def rows_per_row(self, attrs):
+        return 1
+
+    @property
+    def _wide(self) -> str:
+        return WIDE if self.exact else "double"
+
+    def single(self, rows, keys, attrs):
+        cats, monomials = self._monomials(attrs)
+        named = [*[f"`{a}` AS `k_{a}`" for a in cats], *[f"__m{i} AS `{self._name(m)}`" for i, m in enumerate(monomials)], "__n AS n"]
+        return View(self._lifted(rows, keys, attrs).selectExpr(*[f"`{k}`" for k in keys], *named), keys, tuple(sorted(attrs)))
+
+    def leaf(self, rows, keys, attrs):
+        return self.total(self.single(rows, keys, attrs), keys)
+
+    def product(self, a, b, broadcast=None):
+        both, keys = joined(a, b, self.payload(a.attrs), self.payload(b.attrs), broadcast)
+        attrs = tuple(sorted({*a.attrs, *b.attrs}))
+        cats, monomials = self._monomials(attrs)
+        side = lambda m, of: self._name(tuple(x for x in m if x in of.attrs))
+        narrow = (lambda c: f"CAST(`{c}` AS {NARROW})") if self.exact else (lambda c: f"`{c}`")
+        out = [f"`{'l' if x in a.attrs else 'r'}_k_{x}` AS `k_{x}`" for x in cats]
+        out += [f"CAST({narrow('l_' + side(m, a))} * {narrow('r_' + side(m, b))} AS {self._wide}) AS `{self._name(m)}`" for m in monomials]
+        return View(both.selectExpr(*[f"`{k}`" for k in keys], *out, "l_n * r_n AS n"), keys, attrs)
+
+    def total(self, v, keys):
+        cats, monomials = self._monomials(v.attrs)
+        sums = [F.expr(f"CAST(sum(`{self._name(m)}`) AS {self._wide}) AS `{self._name(m)}`") for m in monomials]
+        return View(grouped(v.df, (*keys, *[f"k_{a}" for a in cats]), [*sums, F.expr("sum(n) AS n")]), keys, v.attrs)
+
+    def negated(self, v):
+        cats, monomials = self._monomials(v.attrs)
+        columns = [*[self._name(m) for m in monomials], "n"]
+        return View(v.df.selectExpr(*[f"`{k}`" for k in (*v.keys, *[f"k_{a}" for a in cats])], *[f"-`{c}` AS `{c}`" for c in columns]), v.keys, v.attrs)
+
+    def nonzero(self, v):
+        _, monomials = self._monomials(v.attrs)
+        return View(v.df.where(" OR ".join(["n <> 0", *[f"`{self._name(m)}` <> 0" for m in monomials]])), v.keys, v.attrs)
+
+    def terms(self, v):
+        cats, monomials = self._monomials(v.attrs)
+        dense = v.df.selectExpr(*[f"`{k}`" for k in v.keys], *[f"`k_{a}` AS `{a}`" for a in cats], *[f"`{self._name(m)}` AS __m{i}" for i, m in enumerate(monomials)], "n AS __n")
+        tall = self._tall(dense, v.keys, v.attrs)
+        return SparseMomentRing.total(self, tall, v.keys)
+
+
+def layout_of(spec: QuerySpec, tables: dict[str, DataFrame], most: int = 1 << 20) -> str:
+    """"joint" if the categories of all attributes, as counted, have at most so many combinations, else "sparse"."""
+    product = 1.0
+    for alias in spec.tables:
+        cats = [a for a in spec.of_table(alias) if a.kind == CAT]
+        if cats:
+            found = tables[alias].select(*[F.expr(f"approx_count_distinct({a.sql})").alias(a.name) for a in cats]).first()
+            for n in found:
+                product *= n + 1
+    return "joint" if product <= most else "sparse"
 
 
 def compose(outer: str, inner: str, spec: QuerySpec, **options):
@@ -128,6 +209,7 @@ def compose(outer: str, inner: str, spec: QuerySpec, **options):
         ("count", "numbers"): lambda: CountRing(spec),
         ("moments", "numbers"): lambda: MomentRing(spec, **options),
         ("moments", "relations"): lambda: SparseMomentRing(spec, **options),
+        ("relations", "moments"): lambda: JointMomentRing(spec, **options),
         ("count", "relations"): lambda: ListingRing(spec, **options),
     }
     if (outer, inner) not in made:

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass, field
 
-from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -143,22 +143,15 @@ class QuerySpec:
 
     def factor_rows(self, alias: str, factors: list[DataFrame], keys: tuple[str, ...]) -> list[tuple[DataFrame, tuple[str, ...], tuple[str, ...]]]:
         """(rows, keys, attributes) of each factor of an update of a table; each column of the table is in one factor."""
+        known = {c for f in factors for c in f.columns}
+        needs = lambda sql: {x for x in re.findall(r"[A-Za-z_][A-Za-z0-9_]*", re.sub(r"'[^']*'", "", sql)) if x in known}
         out, todo = [], {a.name: a for a in (*self.of_table(alias), *[f for f in self.free if f.table == alias])}
         where = self.where.get(alias)
         for f in factors:
             variables = {v: c for v, c in self.table_variables(alias).items() if c in f.columns and v in keys}
-            mine = []
-            for name, a in list(todo.items()):
-                try:
-                    f.select(F.expr(a.sql))
-                except AnalysisException:  # its columns are in another factor
-                    continue
-                mine.append(todo.pop(name))
-            if where is not None:
-                try:
-                    f, where = f.where(where), None
-                except AnalysisException:  # as above
-                    pass
+            mine = [todo.pop(name) for name, a in list(todo.items()) if needs(a.sql) and needs(a.sql) <= set(f.columns)]
+            if where is not None and needs(where) <= set(f.columns):
+                f, where = f.where(where), None
             free = [a for a in mine if a in self.free]
             values = [a for a in mine if a not in self.free]
             rows = self._selected(f, variables, values, free)

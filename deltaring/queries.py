@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -11,11 +12,11 @@ from . import workloads as w
 from .functions.binning import bin_edges, bin_width, quantile_edges
 from .functions.payload import added_arrays, merged_maps
 from .functions.unpack import UnpackEntries
-from .operators import baselines, block, deptree, factorised, information, learners, matrix, relational, ridge, selection
-from .operators.delta import as_delta, as_update, consolidate, factor_delta, propagate_all
+from .operators import baselines, block, deptree, factorised, information, learners, matrix, metrics, relational, ridge, selection
+from .operators.delta import as_delta, as_update, consolidate, factor_delta, propagate_all, propagate_factored_all
 from .operators.evaluate import evaluate
 from .operators.rings import CountRing, ListingRing, MomentRing, SumProductRing
-from .operators.sparse import SparseMomentRing, compose
+from .operators.sparse import JointMomentRing, SparseMomentRing, compose
 from .plans import explain
 from .plans.spec import CAT, Attribute, QuerySpec
 from .plans.tree import build_view_tree
@@ -216,7 +217,7 @@ def _mixed_sql() -> str:
 def _mixed_entries(spark, sf_dir):
     spec = _mixed()
     tree, data = w.opened(spark, sf_dir, spec, w.ORDER_FACT)
-    ring = compose("moments", "relations", spec, numeric="decimal")
+    ring = block.ring_for(spec, data, "decimal")
     return spec, ring.entries(evaluate(tree, data, ring)).withColumn("value", F.col("value").cast("double"))
 
 
@@ -251,12 +252,16 @@ def moment_cell_rank(spark, sf_dir):
 def _a2(spark, sf_dir, attrs=w.A2_CAT):
     spec = w.j1((), attrs)
     tree, data = w.opened(spark, sf_dir, spec, w.ORDER_FACT)
-    return spec, tree, data, SparseMomentRing(spec)
+    return spec, tree, data, block.ring_for(spec, data)
+
+
+def _mi(tree, data, ring):
+    return information.mutual_information(ring.terms(evaluate(tree, data, ring)))
 
 
 def _j1_mi(spark, sf_dir):
     spec, tree, data, ring = _a2(spark, sf_dir)
-    return information.mutual_information(evaluate(tree, data, ring))
+    return _mi(tree, data, ring)
 
 
 _A2 = {a: a for a in w.A2_CAT}
@@ -273,7 +278,7 @@ UNION ALL SELECT 'l_returnflag', 'r_name', CAST(SUM(c) AS BIGINT), CAST(COUNT(*)
 def mi_counts_j1(spark, sf_dir):
     """The shared counts of degree 0, 1 and 2: their sums and numbers of live categories."""
     spec, tree, data, ring = _a2(spark, sf_dir, ("n_name", "r_name", "l_returnflag"))
-    e = information.count_entries(evaluate(tree, data, ring))
+    e = information.count_entries(ring.terms(evaluate(tree, data, ring)))
     return e.groupBy("attr_u", "attr_v").agg(F.sum("n").alias("n"), F.count("*").alias("live"))
 
 
@@ -295,7 +300,7 @@ def _docs_spec():
 def _docs_mi(spark, sf_dir):
     spec = _docs_spec()
     tree, data = w.opened(spark, sf_dir, spec)
-    return information.mutual_information(evaluate(tree, data, SparseMomentRing(spec)))
+    return _mi(tree, data, SparseMomentRing(spec))
 
 
 @query(w.mi_sql(_DOC_ATTRS, _DOCS))
@@ -398,6 +403,10 @@ reach(k, node) AS (SELECT k, attr_u FROM r UNION SELECT reach.k, CASE WHEN e.att
 t AS (SELECT attr_u AS u, attr_v AS v, mi FROM r WHERE NOT EXISTS (SELECT 1 FROM reach WHERE reach.k = r.k AND reach.node = r.attr_v))"""
 
 
+#: The tree of any attributes: fill in CTEs and MI rows.
+_TREE_OF = _TREE.replace(_A2_MI[0], "{ctes}").replace(_A2_MI[1], "{parts}")
+
+
 @query(f"{_TREE} SELECT u, v, round(mi, 8) + 0.0 AS mi FROM t")
 def dependency_tree_j1(spark, sf_dir):
     t = deptree.dependency_tree(_j1_mi(spark, sf_dir), "n_name")
@@ -419,7 +428,7 @@ def tree_weight(spark, sf_dir):
 round(COUNT(*) / CAST(SUM(COUNT(*)) OVER (PARTITION BY n_name) AS DOUBLE), 8) + 0.0 AS p FROM j GROUP BY n_name, r_name""")
 def tree_cpts(spark, sf_dir):
     spec, tree, data, ring = _a2(spark, sf_dir, ("n_name", "r_name"))
-    v = evaluate(tree, data, ring)
+    v = ring.terms(evaluate(tree, data, ring))
     return digits(deptree.cpts(v, deptree.dependency_tree(information.mutual_information(v), "n_name")), "p", 8)
 
 
@@ -456,15 +465,35 @@ def ridge_gd_j1(spark, sf_dir):
     return _theta(spark, ridge.ridge_fit(m, "l_extendedprice", tol=1e-13))
 
 
-@query()
+def _ridge_mixed_sql() -> str:
+    cats = {"c_mktsegment": w.SEGMENTS, "o_orderpriority": w.PRIORITIES, "r_name": w.REGIONS}
+    conts = ["c_acctbal", "l_discount", "l_quantity", "l_tax", "o_totalprice"]
+    named = sorted([(c, None) for c in conts] + [(a, v) for a, vs in cats.items() for v in vs], key=lambda f: (f[0], f[1] or ""))
+    x = ["1.0", *[c if v is None else f"CASE WHEN {c} = '{v}' THEN 1.0 ELSE 0.0 END" for c, v in named], "l_extendedprice"]
+    shown = " UNION ALL ".join(f"SELECT {i} AS i, '{a}' AS attr, {f'{v!r}' if v else 'CAST(NULL AS VARCHAR)'} AS cat" for i, (a, v) in enumerate([("1", None), *named], 1))
+    cells = ", ".join(f"[{', '.join(f'avg(v[{min(i, j)}] * v[{max(i, j)}])' for j in range(1, len(x) + 1))}]" for i in range(1, len(x) + 1))
+    matrix = f"j AS (SELECT [{', '.join(f'CAST({e} AS DOUBLE)' for e in x)}] AS v {w.J1_SQL}), matrix AS (SELECT [{cells}] AS m FROM j)"
+    return f"WITH RECURSIVE {w.solved_sql(matrix, 1e-3)}, names AS ({shown}) SELECT attr, cat, round(theta, 2) + 0.0 AS theta FROM names JOIN theta USING (i)"
+
+
+@query(_ridge_mixed_sql())
 def ridge_mixed_j1(spark, sf_dir):
     """One parameter per continuous attribute and per live category, by descent with a penalty."""
     spec = w.j1(("l_quantity", "l_discount", "l_tax", "o_totalprice", "c_acctbal", "l_extendedprice"), ("c_mktsegment", "o_orderpriority", "r_name"), label="l_extendedprice")
     tree, data = w.opened(spark, sf_dir, spec, w.ORDER_FACT)
-    ring = SparseMomentRing(spec, "decimal")
+    ring = block.ring_for(spec, data, "decimal")
     features = [a.name for a in spec.attributes if a.name != "l_extendedprice"]
     m = ridge.collected(ring, evaluate(tree, data, ring), features, "l_extendedprice")
-    return digits(ridge.model_rows(spark, ridge.ridge_fit(m, "l_extendedprice", lam=1e-3)), "theta", 4)
+    return digits(ridge.model_rows(spark, ridge.ridge_fit(m, "l_extendedprice", lam=1e-3, tol=1e-13)), "theta", 2)
+
+
+@query(f"WITH RECURSIVE {w.solved_sql(f'j AS (SELECT [1.0, CAST(l_quantity AS DOUBLE), CAST(o_totalprice AS DOUBLE), CAST(l_extendedprice AS DOUBLE)] AS v {w.J1_SQL}), matrix AS (SELECT [' + ', '.join('[' + ', '.join(f'avg(v[{i}] * v[{j}])' for j in range(1, 5)) + ']' for i in range(1, 5)) + '] AS m FROM j)', 1e-2)} SELECT CASE i WHEN 2 THEN 'l_quantity' ELSE 'o_totalprice' END AS attr, round(a[i - 1][3], 6) + 0.0 AS theta FROM theta, (SELECT a FROM g ORDER BY step DESC LIMIT 1) WHERE i > 1")
+def ridge_distributed_j1(spark, sf_dir):
+    """The descent as joins of the matrix with the parameters, for more of them than a driver should hold; scaled slopes."""
+    ring, spec, tree, data = _two(spark, sf_dir)
+    m = ridge.collected(ring, evaluate(tree, data, ring), ["l_quantity", "o_totalprice"], "l_extendedprice")
+    entries = spark.createDataFrame(ridge.scaled_entries(m, "l_extendedprice"), "attr_u string, cat_u string, attr_v string, cat_v string, value double")
+    return digits(ridge.ridge_fit_distributed(entries, "l_extendedprice", 1e-2, 10, 0.95).select("attr", "theta"), "theta", 6)
 
 
 @query(_CLOSED)
@@ -526,9 +555,9 @@ def predict_rows(spark, sf_dir):
     return digits(scored.agg(F.avg("prediction").alias("mean"), F.count("*").alias("n")), "mean", 2)
 
 
-@query()
+@query(f"""{_FITTED}, l AS (SELECT round(0.5 * avg(power(y - (my - ta * ma - tb * mb) - ta * a - tb * b, 2)) / var_pop(y), 8) + 0.0 AS loss FROM j, t) SELECT 'warm' AS start, loss, true AS no_slower FROM l UNION ALL SELECT 'cold', loss, true FROM l""")
 def cold_start_ablation(spark, sf_dir):
-    """Iterations after a bulk: resumed against started anew."""
+    """After a bulk: descent resumed against started anew. Both reach the optimum, the resumed one in no more steps."""
     ring, spec, tree, data = _two(spark, sf_dir)
     initial, bulks = feeds.lineitem_bulks(data["lineitem"])
     features, label = ["l_quantity", "o_totalprice"], "l_extendedprice"
@@ -536,7 +565,8 @@ def cold_start_ablation(spark, sf_dir):
     after = ridge.collected(ring, evaluate(tree, data, ring), features, label)
     model = ridge.ridge_fit(before, label)
     warm, cold = ridge.ridge_resume(model, after), ridge.ridge_fit(after, label)
-    return spark.createDataFrame([("warm", warm.iterations, round(warm.loss, 10)), ("cold", cold.iterations, round(cold.loss, 10))], "start string, iterations int, loss double")
+    rows = [(n, round(x.loss, 8), x.iterations <= cold.iterations) for n, x in (("warm", warm), ("cold", cold))]
+    return spark.createDataFrame(rows, "start string, loss double, no_slower boolean")
 
 
 # Maintenance
@@ -679,7 +709,7 @@ def bulk_trace_10k(spark, sf_dir):
     store = _kept(spark, sf_dir, w.j1(("l_quantity", "o_totalprice")), w.ORDER_FACT, {"lineitem": _residue(0, 2)}, [{"lineitem": mixed(b)} for b in (1, 2, 3)])
     out = None
     for b in range(4):
-        one = store.state(until=f"{b:03d}").df.select(F.lit(b).alias("bulk"), "c", F.col("s_l_quantity").cast("double").alias("s_l_quantity"), F.col("q_l_quantity__o_totalprice").cast("double").alias("q"))
+        one = store.state(until=b).df.select(F.lit(b).alias("bulk"), "c", F.col("s_l_quantity").cast("double").alias("s_l_quantity"), F.col("q_l_quantity__o_totalprice").cast("double").alias("q"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -694,6 +724,84 @@ def compacted_state(spark, sf_dir):
     return _rows(store)
 
 
+@query(w.moments_sql(_CONT2_SQL, w.J1_SQL))
+def compacted_out_of_order(spark, sf_dir):
+    """Bulks whose names do not sort as they came, before and after a compaction, the last one twice."""
+    store = _kept(spark, sf_dir, w.j1(_CONT2), w.ORDER_FACT, {"lineitem": _residue(0, 1)}, [], updatable=("lineitem",))
+    lineitem = table(spark, sf_dir, "lineitem")
+    for residue, name in ((2, "batch-8"), (3, "batch-9")):
+        propagate_all(store, {"lineitem": _inserted(residue)(lineitem)}, name)
+    store.compact()
+    for residue, name in ((4, "batch-10"), (5, "a-late-one"), (5, "a-late-one")):
+        propagate_all(store, {"lineitem": _inserted(residue)(lineitem)}, name)
+    store.compact()
+    return _rows(store)
+
+
+_WIDE_STATE = "WHERE NOT (l_orderkey % 6 < 3 AND l_linenumber = 1)"
+
+
+@query(w.wide_sql(f"{w.J1_SQL} {_WIDE_STATE}"))
+def moments_wide_j1_bulks(spark, sf_dir):
+    """1,128 aggregates over the five-relation join, kept as blocks under three bulks of inserts and deletes."""
+    spec = w.wide_j1()
+    mixed = lambda b: lambda df: as_delta(_residue(2 + b)(df), _residue(b - 1)(df).where("l_linenumber = 1"))
+    store = _kept(spark, sf_dir, spec, w.ORDER_FACT, {"lineitem": _residue(0, 2)}, [{"lineitem": mixed(b)} for b in (1, 2, 3)], block.ring_for(spec))
+    return store.ring.entries(store.state())
+
+
+_FACTORED = "(SELECT user_id, value FROM events UNION ALL SELECT c_custkey, CAST(p_size AS DOUBLE) FROM customer, (SELECT DISTINCT p_size FROM part) p WHERE c_nationkey = 3)"
+
+
+@query(w.moments_sql({"value": "value", "o_totalprice": "o_totalprice"}, f"FROM {_FACTORED} e JOIN orders ON user_id = o_custkey"))
+def delta_factored_j2(spark, sf_dir):
+    """A bulk of all pairs of some customers and some values, found to be a product and pushed up as its factors."""
+    customer, part = tables(spark, sf_dir, "customer", "part")
+    users = customer.where("c_nationkey = 3").select(F.col("c_custkey").alias("user_id"))
+    values = part.select(F.col("p_size").cast("double").alias("value")).distinct()
+    bulk = users.join(F.broadcast(values.groupBy().agg(F.collect_list("value").alias("all")))).select("user_id", F.explode("all").alias("value"), F.lit(1).cast("long").alias("mult"))
+    store = _kept(spark, sf_dir, w.j2((w.VALUE, w.PRICE)), "auto", {}, [], updatable=("events",))
+    propagate_factored_all(store, {"events": factor_delta(bulk, [["user_id"], ["value"]])}, "grid")
+    return _rows(store)
+
+
+def _toy(spark, kinds, ring):
+    r, s = (spark.createDataFrame(rows, schema) for rows, schema in ((w.TOY_R, "a string, b int"), (w.TOY_S, "a string, cc string, d int")))
+    spec = w.toy_spec(kinds)
+    store = ViewStore(spark, build_view_tree(spec), ring(spec)).initialise({"R": r, "S": s})
+    propagate_all(store, {"R": spark.createDataFrame(w.TOY_BULK, "a string, b int, mult long")}, "1")
+    return store
+
+
+@query(w.toy_sql("SELECT CAST(COUNT(*) AS BIGINT) AS c FROM t"))
+def toy_count(spark, sf_dir):
+    """The worked example after its bulk: multiplicities."""
+    return _toy(spark, {}, CountRing).state().df
+
+
+@query(w.toy_sql("SELECT '1' AS attr_u, '1' AS attr_v, CAST(COUNT(*) AS DOUBLE) AS value FROM t UNION ALL SELECT '1', 'b', SUM(b) FROM t UNION ALL SELECT '1', 'd', SUM(d) FROM t UNION ALL SELECT 'b', 'b', SUM(b * b) FROM t UNION ALL SELECT 'b', 'd', SUM(b * d) FROM t UNION ALL SELECT 'd', 'd', SUM(d * d) FROM t"))
+def toy_moments(spark, sf_dir):
+    """The worked example with continuous attributes."""
+    return _rows(_toy(spark, {"b": "cont", "d": "cont"}, w.decimal_ring))
+
+
+_NULL = "CAST(NULL AS VARCHAR)"
+
+
+@query(w.toy_sql(f"SELECT '1' AS attr_u, {_NULL} AS cat_u, '1' AS attr_v, {_NULL} AS cat_v, CAST(COUNT(*) AS DOUBLE) AS value FROM t UNION ALL SELECT '1', {_NULL}, 'b', {_NULL}, SUM(b) FROM t UNION ALL SELECT '1', {_NULL}, 'd', {_NULL}, SUM(d) FROM t UNION ALL SELECT '1', {_NULL}, 'cc', cc, COUNT(*) FROM t GROUP BY cc UNION ALL SELECT 'b', {_NULL}, 'b', {_NULL}, SUM(b * b) FROM t UNION ALL SELECT 'b', {_NULL}, 'd', {_NULL}, SUM(b * d) FROM t UNION ALL SELECT 'd', {_NULL}, 'd', {_NULL}, SUM(d * d) FROM t UNION ALL SELECT 'b', {_NULL}, 'cc', cc, SUM(b) FROM t GROUP BY cc UNION ALL SELECT 'cc', cc, 'd', {_NULL}, SUM(d) FROM t GROUP BY cc UNION ALL SELECT 'cc', cc, 'cc', cc, COUNT(*) FROM t GROUP BY cc"))
+def toy_mixed(spark, sf_dir):
+    """The worked example with one categorical attribute: entries are little relations."""
+    store = _toy(spark, {"b": "cont", "cc": CAT, "d": "cont"}, lambda s: SparseMomentRing(s, "decimal"))
+    return w.entry_rows(store.ring, store.ring.live(store.state())).drop("n")
+
+
+@query(w.mi_sql({"b": "b", "cc": "cc", "d": "d"}, "FROM t").replace("WITH ", w.toy_sql("").rstrip() + ", ", 1))
+def toy_mi(spark, sf_dir):
+    """The worked example with categorical attributes only, as mutual information."""
+    store = _toy(spark, {"b": CAT, "cc": CAT, "d": CAT}, SparseMomentRing)
+    return digits(information.mutual_information(store.ring.live(store.state())), "mi", 8)
+
+
 @query("SELECT o_orderkey, o_custkey, CAST(1 AS BIGINT) AS mult FROM orders WHERE o_orderkey % 5 = 1 AND o_orderkey % 3 <> 0")
 def consolidate_delta(spark, sf_dir):
     """Inserts and deletes of the same rows cancel before they reach a view."""
@@ -709,7 +817,7 @@ def factor_delta_product(spark, sf_dir):
     bulk = r.withColumn("k", F.lit(1)).join(n.withColumn("k", F.lit(1)), "k").select("r_regionkey", "n_nationkey", F.lit(1).cast("long").alias("mult"))
     a, b = factor_delta(bulk, [["r_regionkey"], ["n_nationkey"]])
     sums = a.agg(F.sum("mult").alias("na"), F.sum(F.col("mult") * F.col("r_regionkey")).alias("sa"), F.lit(1).alias("k")).join(b.agg(F.sum("mult").alias("nb"), F.sum(F.col("mult") * F.col("n_nationkey")).alias("sb"), F.lit(1).alias("k")), "k")
-    return sums.select(F.round(F.col("na") * F.col("nb")).cast("long").alias("n"), F.round(F.col("sa") * F.col("sb")).cast("long").alias("v"))
+    return sums.select((F.col("na") * F.col("nb")).alias("n"), (F.col("sa") * F.col("sb")).alias("v"))
 
 
 # Baselines
@@ -780,7 +888,14 @@ def anti_join_apply(spark, sf_dir):
     return out.agg(F.count("*").alias("n"), F.sum("o_orderkey").alias("keys"))
 
 
-@query()
+def _online_sql() -> str:
+    ctes = [f"j AS (SELECT event_id % 5 AS r, CAST(o_totalprice AS DOUBLE) AS x, CAST(value AS DOUBLE) AS y {w.J2_SQL})", "z AS (SELECT avg(x) AS mx, stddev_samp(x) AS dx, avg(y) AS my, stddev_samp(y) AS dy FROM j)"]
+    ctes += ["b AS (SELECT r, avg((x - mx) / dx) AS u, avg((y - my) / dy) AS v, avg(power((x - mx) / dx, 2)) AS uu, avg((x - mx) / dx * (y - my) / dy) AS uv FROM j, z GROUP BY r)", "t0 AS (SELECT 0.0 AS a, 0.0 AS c)"]
+    ctes += [f"t{r + 1} AS (SELECT a - 0.05 * (a + c * u - v) AS a, c - 0.05 * (a * u + c * uu - uv) AS c FROM t{r}, b WHERE r = {r})" for r in range(5)]
+    return f"WITH {', '.join(ctes)} SELECT '1' AS attr, round(a, 6) + 0.0 AS theta FROM t5 UNION ALL SELECT 'o_totalprice', round(c, 6) + 0.0 FROM t5"
+
+
+@query(_online_sql())
 def online_learner(spark, sf_dir):
     """Gradient steps on arriving joined rows: what can't take deletes back."""
     spec = w.j2((w.VALUE, w.PRICE))
@@ -788,7 +903,7 @@ def online_learner(spark, sf_dir):
     flat = baselines.joined_rows(spec, data)
     s = flat.agg(F.avg("o_totalprice"), F.stddev("o_totalprice"), F.avg("value"), F.stddev("value")).first()
     theta = baselines.online_sgd([baselines.joined_rows(spec, {**data, "events": data["events"].where(F.col("event_id") % 5 == r)}) for r in range(5)], ["o_totalprice"], "value", scale={"o_totalprice": (s[0], s[1]), "value": (s[2], s[3])})
-    return spark.createDataFrame([(k, round(v, 6)) for k, v in theta.items()], "attr string, theta double")
+    return digits(spark.createDataFrame(list(theta.items()), "attr string, theta double"), "theta", 6)
 
 
 # Listings, factorised results, matrices
@@ -835,6 +950,17 @@ def factorised_rows_j3(spark, sf_dir):
     return e.join(views["orders"].agg(F.count("*").alias("order_rows"), F.lit(1).alias("k")), "k").drop("k")
 
 
+@query("""WITH p AS (SELECT DISTINCT o_custkey, o_orderkey FROM orders JOIN customer ON o_custkey = c_custkey JOIN lineitem ON o_orderkey = l_orderkey WHERE c_custkey % 3 = 0 AND l_partkey % 5 = 0)
+SELECT (SELECT CAST(COUNT(DISTINCT o_custkey) AS BIGINT) FROM p) AS customer_rows, (SELECT CAST(COUNT(*) AS BIGINT) FROM p) AS order_rows, (SELECT CAST(COUNT(DISTINCT o_orderkey) AS BIGINT) FROM p) AS line_rows""")
+def factorised_dangling(spark, sf_dir):
+    """A chain with the middle table named first, most of whose tuples join with nothing on one side."""
+    spec = QuerySpec({"orders": "orders", "customer": "customer", "lineitem": "lineitem"}, (("customer.c_custkey", "orders.o_custkey"), ("orders.o_orderkey", "lineitem.l_orderkey")), where={"customer": "c_custkey % 3 = 0", "lineitem": "l_partkey % 5 = 0"})
+    tree, data = w.opened(spark, sf_dir, spec)
+    views = factorised.factorised_views(tree, data, ())
+    count = lambda a, c: views[a].agg(F.count("*").alias(c), F.lit(1).alias("k"))
+    return count("customer", "customer_rows").join(count("orders", "order_rows"), "k").join(count("lineitem", "line_rows"), "k").drop("k")
+
+
 def _chain(spark, sf_dir):
     orders, customer, nation = tables(spark, sf_dir, "orders", "customer", "nation")
     a = orders.groupBy(F.year("o_orderdate").alias("i"), F.col("o_custkey").alias("j")).agg(F.count("*").alias("v"))
@@ -932,15 +1058,61 @@ def factorisation_machine(spark, sf_dir):
 # Strategy and session
 
 
-@query()
+@query("""SELECT * FROM (VALUES ('leaf_lineitem', 'at_l_orderkey', 'l_orderkey', CAST(NULL AS VARCHAR), 'l_quantity', true), ('leaf_orders', 'at_o_custkey', 'l_orderkey,o_custkey', NULL, 'o_totalprice', false), ('leaf_customer', 'at_c_nationkey', 'o_custkey,c_nationkey', NULL, '', false),
+('leaf_nation', 'at_n_regionkey', 'c_nationkey,n_regionkey', NULL, '', false), ('leaf_region', 'at_n_regionkey', 'n_regionkey', NULL, '', false), ('at_n_regionkey', 'at_c_nationkey', 'c_nationkey', 'n_regionkey', '', false), ('at_c_nationkey', 'at_o_custkey', 'o_custkey', 'c_nationkey', '', true),
+('at_o_custkey', 'at_l_orderkey', 'l_orderkey', 'o_custkey', 'o_totalprice', true), ('at_l_orderkey', NULL, '', 'l_orderkey', 'l_quantity,o_totalprice', true)) AS t(view, parent, keys, summed_out, attributes, kept)""")
 def strategy_j1(spark, sf_dir):
+    """The views of the five-relation join if line items and orders change, and which of them are kept."""
     spec = w.j1(("l_quantity", "o_totalprice"))
-    return explain.explain_tree(spark, build_view_tree(spec, w.ORDER_FACT), ("lineitem", "orders"), "moments")
+    return explain.explain_tree(spark, build_view_tree(spec, w.ORDER_FACT), ("lineitem", "orders"), "moments").drop("sql")
 
 
-@query()
+@query("SELECT * FROM (VALUES (CAST(1 AS INTEGER), 'leaf_orders', '', 'l_orderkey,o_custkey'), (2, 'at_o_custkey', 'at_c_nationkey', 'l_orderkey'), (3, 'at_l_orderkey', 'leaf_lineitem', '')) AS t(step, view, siblings, keys)")
 def strategy_delta_orders(spark, sf_dir):
-    return explain.explain_delta(spark, build_view_tree(w.j1(("l_quantity", "o_totalprice")), w.ORDER_FACT), "orders")
+    """The views that an update of orders passes."""
+    return explain.explain_delta(spark, build_view_tree(w.j1(("l_quantity", "o_totalprice")), w.ORDER_FACT), "orders").drop("sql")
+
+
+def _emitted(entries: DataFrame) -> DataFrame:
+    """Rows of emitted SQL as entries; the diagonal of categories is implied there."""
+    one = lambda c: F.when(F.col(c) == "", "1").otherwise(F.col(c))
+    flip = F.col("a2") == ""
+    u, v = F.when(flip, F.lit("1")).otherwise(F.col("a1")), F.when(flip, one("a1")).otherwise(F.col("a2"))
+    return entries.select(u.alias("attr_u"), F.when(~flip, F.col("k1")).alias("cat_u"), v.alias("attr_v"), F.when(flip, F.col("k1")).otherwise(F.col("k2")).alias("cat_v"), F.when(F.abs("v") > 1e9, F.round(F.col("v") / 1e6, 2)).otherwise(F.round(F.col("v"), 1)).alias("value"))
+
+
+_MIXED_ROUNDED = "WITH e AS ({}) SELECT attr_u, cat_u, attr_v, cat_v, CASE WHEN abs(value) > 1e9 THEN round(value / 1e6, 2) ELSE round(value, 1) END AS value FROM e WHERE NOT (attr_u = attr_v AND cat_u IS NOT NULL)"
+
+
+@query(_MIXED_ROUNDED.format(_mixed_sql()))
+def strategy_mixed_sql(spark, sf_dir):
+    """The emitted SQL of payloads with categories, run as it stands."""
+    tree, data = w.opened(spark, sf_dir, _mixed(), w.ORDER_FACT)
+    return _emitted(explain.run_sql(spark, tree, data, "mixed"))
+
+
+@query(_MIXED_ROUNDED.format(_mixed_sql()))
+def strategy_delta_sql(spark, sf_dir):
+    """The emitted SQL of a bulk's path, run over kept views: the old root and its change, summed."""
+    spec = _mixed()
+    tree, data = w.opened(spark, sf_dir, spec, w.ORDER_FACT)
+    mark = uuid.uuid4().hex[:8]
+    old = {**data, "orders": _residue(0, 4, "o_orderkey")(data["orders"])}
+    named = {n.name: f"{n.name}_{mark}" for n in tree.nodes()}
+    for n in tree.nodes():
+        source = None
+        if n.alias is not None:
+            source = f"t_{n.alias}_{mark}"
+            old[n.alias].withColumn("mult", F.lit(1)).createOrReplaceTempView(source)
+        spark.sql(explain.view_sql(tree, n, "mixed", named, source)).createOrReplaceTempView(named[n.name])
+    _residue(5, key="o_orderkey")(data["orders"]).withColumn("mult", F.lit(1)).createOrReplaceTempView(f"d_orders_{mark}")
+    below = None
+    for n in tree.path("orders"):
+        names = {**named, **({below.name: f"d_{named[below.name]}"} if below else {})}
+        spark.sql(explain.view_sql(tree, n, "mixed", names, None if below else f"d_orders_{mark}")).createOrReplaceTempView(f"d_{named[n.name]}")
+        below = n
+    both = spark.table(named[tree.root.name]).unionByName(spark.table(f"d_{named[tree.root.name]}"))
+    return _emitted(both.groupBy("a1", "k1", "a2", "k2").agg(F.sum("v").alias("v")))
 
 
 @query(f"SELECT CAST(COUNT(*) AS BIGINT) AS c, round(SUM(l_quantity), 2) + 0.0 AS s_l_quantity {w.J1_SQL}")
@@ -951,22 +1123,161 @@ def strategy_sql_runs(spark, sf_dir):
     return digits(explain.run_sql(spark, tree, data).select("c", "s_l_quantity"), "s_l_quantity", 2)
 
 
-@query()
+_PANEL_ATTRS = {a: a for a in ("n_name", "r_name", "c_mktsegment", "l_returnflag")}
+
+
+def _state_of(b: int) -> str:
+    return f"WHERE l_orderkey % 6 <= {2 + b} AND NOT (l_orderkey % 6 < {b} AND l_linenumber = 1)"
+
+
+def _panels_sql() -> str:
+    """One SELECT per bulk; each has its CTEs inside, so that nothing is shared."""
+    out = []
+    for b in (1, 2):
+        ctes, parts = w.mi_parts(_PANEL_ATTRS, f"{w.J1_SQL} {_state_of(b)}")
+        tree = _TREE_OF.format(ctes=ctes, parts=parts)
+        matrix = f"j AS (SELECT [1.0, CAST(l_quantity AS DOUBLE), CAST(o_totalprice AS DOUBLE), CAST(l_extendedprice AS DOUBLE)] AS v {w.J1_SQL} {_state_of(b)}), matrix AS (SELECT [" + ", ".join("[" + ", ".join(f"avg(v[{i}] * v[{j}])" for j in range(1, 5)) + "]" for i in range(1, 5)) + "] AS m FROM j)"
+        bulk = f"CAST({b} AS INTEGER) AS bulk"
+        out.append(f"SELECT * FROM ({tree} SELECT {bulk}, 'tree' AS panel, u || '-' || v AS item, round(mi, 8) + 0.0 AS value FROM t)")
+        out.append(f"SELECT * FROM (WITH {ctes}, mi AS ({parts}) SELECT {bulk}, 'selection' AS panel, CASE WHEN attr_u = 'r_name' THEN attr_v ELSE attr_u END || CASE WHEN mi > 0.5 THEN ' +' ELSE '' END AS item, round(mi, 8) + 0.0 AS value FROM mi WHERE (attr_u = 'r_name') <> (attr_v = 'r_name'))")
+        out.append(f"SELECT * FROM (WITH RECURSIVE {w.solved_sql(matrix, 1e-3)} SELECT {bulk}, 'regression' AS panel, CASE i WHEN 1 THEN '1' WHEN 2 THEN 'l_quantity' ELSE 'o_totalprice' END AS item, round(theta, CASE i WHEN 1 THEN 3 WHEN 2 THEN 5 ELSE 8 END) + 0.0 AS value FROM theta)")
+        out.append(f"SELECT {bulk}, 'updates' AS panel, 'rows' AS item, CAST(COUNT(*) AS DOUBLE) AS value FROM lineitem WHERE l_orderkey % 6 = {2 + b} OR (l_orderkey % 6 = {b - 1} AND l_linenumber = 1)")
+    return " UNION ALL ".join(out)
+
+
+@query(_panels_sql())
 def session_panels(spark, sf_dir):
-    """An interactive session over two bulks: selection, tree and model after each."""
+    """An interactive session over two bulks: what the panels show after each. Selection (attributes above the threshold have
+    a +), regression, tree, and the number of updates."""
     spec = w.j1(("l_quantity", "o_totalprice", "l_extendedprice"), label="l_extendedprice")
-    counts = w.j1((), ("n_name", "r_name", "c_mktsegment", "l_returnflag"))
-    s = LiveSession(spark, spec, MomentRing(spec), counts, SparseMomentRing(counts), w.ORDER_FACT, ("lineitem",))
+    counts = w.j1((), tuple(_PANEL_ATTRS))
+    s = LiveSession(spark, spec, w.decimal_ring(spec), counts, JointMomentRing(counts), w.ORDER_FACT, ("lineitem",))
     _, data = w.opened(spark, sf_dir, spec)
     initial, bulks = feeds.lineitem_bulks(data["lineitem"], bulks=2, deletes=True)
     s.start({**data, "lineitem": initial})
     rows = []
     for i, b in enumerate(bulks, 1):
         s.apply_bulk({"lineitem": b}, f"{i:03d}")
-        top = s.select("r_name", 0.5).where("selected").orderBy("rank").first()
-        model = s.ridge(["l_quantity", "o_totalprice"], "l_extendedprice", 1e-3)
-        rows.append((i, top["attr"], s.dependency_tree().count(), model.iterations, round(model.loss, 8)))
-    return spark.createDataFrame(rows, "bulk int, best_feature string, tree_edges int, iterations int, loss double")
+        panels = s.panels("r_name", 0.5, ["l_quantity", "o_totalprice"], "l_extendedprice", 1e-3, tol=1e-13)
+        rows += [(i, "selection", r["attr"] + (" +" if r["selected"] else ""), round(r["mi"], 8) + 0.0) for r in panels["selection"]]
+        rows += [(i, "tree", "-".join(sorted((r["parent"], r["child"]))), round(r["mi"], 8) + 0.0) for r in panels["tree"]]
+        shown = {"1": 3, "l_quantity": 5, "o_totalprice": 8}
+        rows += [(i, "regression", a, round(t, shown[a]) + 0.0) for (a, _), t in panels["regression"].theta.items()]
+        rows.append((i, "updates", "rows", float(s.log.rows[-1]["updates"])))
+    return spark.createDataFrame(rows, "bulk int, panel string, item string, value double")
+
+
+_TREE_ATTRS = {"l_returnflag": "l_returnflag", "l_linestatus": "l_linestatus", "o_orderpriority": "o_orderpriority", "c_mktsegment": "c_mktsegment", "r_name": "r_name", "p_brand": "p_brand", "p_type": "p_type", "size_bin": "CAST(floor(p_size / 10.0) AS BIGINT)", "quantity_bin": "CAST(floor(l_quantity / 5.0) AS BIGINT)", "discount_bin": "CAST(round(l_discount * 100) AS BIGINT)"}
+
+
+def _tree_spec():
+    owner = {**w.OWNER, "p": "part", "s": "part", "q": "lineitem", "d": "lineitem"}
+    attributes = tuple(Attribute(a, owner[a[0]], CAT, e) for a, e in _TREE_ATTRS.items())
+    return QuerySpec({**w.J1_TABLES, "part": "part"}, (*w.J1_JOINS, ("lineitem.l_partkey", "part.p_partkey")), attributes)
+
+
+def _tree_bulks_sql() -> str:
+    states = []
+    for b in range(4):
+        ctes, parts = w.mi_parts(_TREE_ATTRS, f"{w.J1_SQL} JOIN part ON l_partkey = p_partkey {_state_of(b)}")
+        states.append(f"e{b} AS (SELECT * FROM ({_TREE_OF.format(ctes=ctes, parts=parts)} SELECT u, v, mi FROM t))")
+    rows = ["SELECT CAST(0 AS INTEGER) AS bulk, u, v, round(mi, 8) + 0.0 AS mi, 'came' AS change FROM e0"]
+    for b in range(1, 4):
+        rows.append(f"SELECT CAST({b} AS INTEGER), coalesce(y.u, x.u), coalesce(y.v, x.v), round(y.mi, 8) + 0.0, CASE WHEN x.u IS NULL THEN 'came' WHEN y.u IS NULL THEN 'went' ELSE 'stayed' END FROM e{b - 1} x FULL JOIN e{b} y ON x.u = y.u AND x.v = y.v")
+    return f"WITH {', '.join(states)} " + " UNION ALL ".join(rows)
+
+
+@query(_tree_bulks_sql())
+def tree_per_bulk(spark, sf_dir):
+    """Ten attributes of six tables, three of them in bins: the tree after the load and after each bulk of inserts and deletes, and
+    which edges came, stayed and went."""
+    spec = _tree_spec()
+    data = {a: table(spark, sf_dir, a) for a in spec.tables}
+    spec.validate(data)
+    initial, bulks = feeds.lineitem_bulks(data["lineitem"], deletes=True)
+    store = ViewStore(spark, build_view_tree(spec, ("l_orderkey", "o_custkey", "c_nationkey", "n_regionkey", "l_partkey")), SparseMomentRing(spec), updatable=("lineitem",)).initialise({**data, "lineitem": initial})
+    out = before = None
+    for b in range(4):
+        if b:
+            propagate_all(store, {"lineitem": bulks[b - 1]}, f"{b:03d}")
+        now = deptree.dependency_tree(information.mutual_information(store.ring.live(store.state())))
+        edges = now.select(F.least("parent", "child").alias("u"), F.greatest("parent", "child").alias("v"), "mi")
+        if before is None:
+            one = edges.withColumn("change", F.lit("came"))
+        else:
+            gone = deptree.tree_changes(before, now)
+            one = edges.withColumn("k", F.lit("stayed")).join(gone, ["u", "v"], "full_outer").select("u", "v", "mi", F.coalesce("change", "k").alias("change"))
+        one = one.select(F.lit(b).alias("bulk"), "u", "v", "mi", "change")
+        out, before = (one if out is None else out.unionByName(one)), now
+    return digits(out, "mi", 8)
+
+
+def _selected_bulks_sql() -> str:
+    rows = []
+    for b in range(4):
+        ctes, parts = w.mi_parts(_PANEL_ATTRS, f"{w.J1_SQL} {_state_of(b)}")
+        rows.append(f"SELECT CAST({b} AS INTEGER) AS bulk, * FROM ({_selected_sql(ctes, parts, 'l_returnflag', 2e-5)})")
+    return " UNION ALL ".join(rows)
+
+
+@query(_selected_bulks_sql())
+def selection_per_bulk(spark, sf_dir):
+    """The ranking for a label after the load and after each bulk, from the kept counts."""
+    spec = w.j1((), tuple(_PANEL_ATTRS))
+    tree, data = w.opened(spark, sf_dir, spec, w.ORDER_FACT)
+    initial, bulks = feeds.lineitem_bulks(data["lineitem"], deletes=True)
+    store = ViewStore(spark, tree, JointMomentRing(spec), updatable=("lineitem",)).initialise({**data, "lineitem": initial})
+    out = None
+    for b in range(4):
+        if b:
+            propagate_all(store, {"lineitem": bulks[b - 1]}, f"{b:03d}")
+        one = selection.select_features(information.mutual_information(store.ring.terms(store.ring.live(store.state()))), "l_returnflag", 2e-5).withColumn("bulk", F.lit(b))
+        out = one if out is None else out.unionByName(one)
+    return digits(out, "mi", 8)
+
+
+@query("""WITH a AS (SELECT (SELECT COUNT(*) FROM lineitem) + (SELECT COUNT(*) FROM orders) + (SELECT COUNT(*) FROM events) AS base), j AS (SELECT COUNT(*) AS n FROM events JOIN orders ON user_id = o_custkey JOIN lineitem ON o_orderkey = l_orderkey),
+k AS (SELECT COUNT(DISTINCT l_orderkey) AS lines FROM lineitem), m AS (SELECT COUNT(DISTINCT o_custkey) AS met FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem))
+SELECT CAST(base AS BIGINT) AS base_rows, CAST(n AS BIGINT) AS join_rows, CAST(lines + met + 1 AS BIGINT) AS view_rows, round(n / base, 6) + 0.0 AS fan_out FROM a, j, k, m""")
+def fan_out_sizes(spark, sf_dir):
+    """Rows of the tables, of the join, and of the views kept instead for updates of events and orders."""
+    spec = w.j3(())
+    tree, data = w.opened(spark, sf_dir, spec, tuple(spec.variables()))
+    base, n, ratio = metrics.repetition(tree, data)
+    store = ViewStore(spark, tree, CountRing(spec), updatable=("events", "orders")).initialise(data)
+    sizes = {r["view"]: r["rows"] for r in metrics.view_sizes(store).collect()}
+    rows = sum(v for k, v in sizes.items() if k != "leaf_events")
+    return spark.createDataFrame([(base, n, rows, round(ratio, 6))], "base_rows long, join_rows long, view_rows long, fan_out double")
+
+
+@query(f"""WITH {_MIXED_J}, c AS (SELECT 'c_mktsegment' AS a, CAST(COUNT(DISTINCT c_mktsegment) AS BIGINT) AS k FROM j UNION ALL SELECT 'l_returnflag', COUNT(DISTINCT l_returnflag) FROM j UNION ALL SELECT 'r_name', COUNT(DISTINCT r_name) FROM j)
+SELECT x.a AS attr_u, y.a AS attr_v, CASE WHEN x.a = y.a THEN x.k ELSE CASE x.a || y.a WHEN 'c_mktsegmentl_returnflag' THEN (SELECT COUNT(*) FROM (SELECT DISTINCT c_mktsegment, l_returnflag FROM j)) WHEN 'c_mktsegmentr_name' THEN (SELECT COUNT(*) FROM (SELECT DISTINCT c_mktsegment, r_name FROM j)) ELSE (SELECT COUNT(*) FROM (SELECT DISTINCT l_returnflag, r_name FROM j)) END END AS live,
+CASE WHEN x.a = y.a THEN x.k ELSE x.k * y.k END AS possible FROM c x JOIN c y ON x.a <= y.a""")
+def cell_sparsity(spark, sf_dir):
+    """Live entries of each categorical cell against the possible ones."""
+    e = _mixed_entries(spark, sf_dir)[1].where("(cat_u is not null or attr_u = '1') and (cat_v is not null or attr_v = '1')")
+    return metrics.sparsity(e)
+
+
+def _drift_sql() -> str:
+    sides = []
+    for b in (0, 3):
+        ctes, parts = w.mi_parts(_PANEL_ATTRS, f"{w.J1_SQL} {_state_of(b)}")
+        sides.append(f"(SELECT * FROM (WITH {ctes}, mi AS ({parts}) SELECT * FROM mi)) m{b}")
+    return f"SELECT m0.attr_u, m0.attr_v, round(m3.mi - m0.mi, 8) + 0.0 AS change FROM {sides[0]} JOIN {sides[1]} ON m0.attr_u = m3.attr_u AND m0.attr_v = m3.attr_v"
+
+
+@query(_drift_sql())
+def mi_drift(spark, sf_dir):
+    """How far mutual information moved over three bulks."""
+    spec = w.j1((), tuple(_PANEL_ATTRS))
+    tree, data = w.opened(spark, sf_dir, spec, w.ORDER_FACT)
+    initial, bulks = feeds.lineitem_bulks(data["lineitem"], deletes=True)
+    store = ViewStore(spark, tree, JointMomentRing(spec), updatable=("lineitem",)).initialise({**data, "lineitem": initial})
+    of = lambda until: information.mutual_information(store.ring.terms(store.ring.live(store.state(until=until))))
+    for i, b in enumerate(bulks):
+        propagate_all(store, {"lineitem": b}, f"b{i}")
+    return digits(metrics.drift(of(0), of(None)), "change", 8)
 
 
 # Surrounding operators
@@ -1093,7 +1404,8 @@ def edge_bins(spark, sf_dir):
     return table(spark, sf_dir, "events").groupBy(bin_edges("value", [50, 100, 300]).alias("bin")).agg(F.count("*").alias("n"))
 
 
-@query()
+@query("""WITH h AS (SELECT value FROM events WHERE event_id < (SELECT COUNT(*) * 0.5 FROM events)), e AS (SELECT DISTINCT unnest(quantile_disc(value, [0.125, 0.25, 0.375, 0.5, 0.625, 0.75, 0.875])) AS edge FROM h)
+SELECT bin, CAST(COUNT(*) AS BIGINT) AS n FROM (SELECT (SELECT CAST(COUNT(*) AS BIGINT) FROM e WHERE edge <= value) AS bin FROM events) GROUP BY bin""")
 def quantile_bins(spark, sf_dir):
     """Edges frozen on the initial half of the events, all events counted by bin."""
     events = table(spark, sf_dir, "events")
@@ -1101,9 +1413,12 @@ def quantile_bins(spark, sf_dir):
     return events.groupBy(bin_edges("value", edges).alias("bin")).agg(F.count("*").alias("n"))
 
 
-@query()
+@query(f"WITH {_A2_MI[0]}, mi AS ({_A2_MI[1]}), m AS (SELECT * FROM mi UNION ALL SELECT attr_v, attr_u, mi FROM mi WHERE attr_u <> attr_v) SELECT attr_u, " + ", ".join(f"round(MAX(CASE WHEN attr_v = '{a}' THEN mi END), 8) + 0.0 AS {a}" for a in sorted(w.A2_CAT)) + " FROM m GROUP BY attr_u")
 def pivot_mi(spark, sf_dir):
-    return relational.pivoted(information.symmetric(_j1_mi(spark, sf_dir)), list(w.A2_CAT))
+    wide = relational.pivoted(information.symmetric(_j1_mi(spark, sf_dir)), list(w.A2_CAT))
+    for a in w.A2_CAT:
+        wide = digits(wide, a, 8)
+    return wide
 
 
 # Streams

@@ -48,28 +48,41 @@ class LiveSession:
         """Apply a bulk to all kept views; False if it had been."""
         if all(s.is_committed(batch) for s in self._stores()):
             return False
-        deltas = {a: consolidate(d.drop("bulk")) for a, d in deltas.items()}
-        rows = {a: d.count() for a, d in deltas.items()}
-        with self.log.bulk(batch, sum(rows.values())) as log, log.part("propagate"):
+        with self.log.bulk(batch) as log:
+            with log.part("consolidate"):
+                deltas = {a: consolidate(d.drop("bulk")) for a, d in deltas.items()}
+                rows = {a: d.count() for a, d in deltas.items()}
+                log.updates(sum(rows.values()))
             for s in self._stores():
-                propagate_all(s, deltas, batch, rows)
+                with log.part("propagate" if s is self.store else "propagate counts"):
+                    propagate_all(s, deltas, batch, rows)
         if self.pause:
             time.sleep(self.pause)
         return True
 
     def mi(self) -> DataFrame:
-        return mutual_information((self.counts or self.store).state())
+        store = self.counts or self.store
+        return mutual_information(store.ring.terms(store.state()))
 
     def select(self, label: str, threshold: float) -> DataFrame:
         return select_features(self.mi(), label, threshold)
 
-    def ridge(self, features: list[str], label: str, lam: float = 0.0) -> RidgeModel:
+    def ridge(self, features: list[str], label: str, lam: float = 0.0, **options) -> RidgeModel:
         """The model on the current moments; resumed from the last one where there is one of this label."""
         m = collected(self.ring, self.store.state(), features, label)
         again = self.model is not None and self.model.label == label and self.model.lam == lam
-        self.model = ridge_resume(self.model, m) if again else ridge_fit(m, label, lam)
+        self.model = ridge_resume(self.model, m, **options) if again else ridge_fit(m, label, lam, **options)
         return self.model
 
+    def panels(self, choice: str, threshold: float, features: list[str], label: str, lam: float = 0.0, **options) -> dict:
+        """What the panels show now: the selection for one label, the regression of another, and the tree; a row per
+        attribute or edge. Refreshing is timed as a part of the last bulk, if there was one."""
+        with self.log.part("refresh"):
+            mi = self.mi()
+            selected = select_features(mi, choice, threshold).orderBy("rank").collect()
+            tree = dependency_tree(mi).orderBy("step").collect()
+            return {"selection": selected, "tree": tree, "regression": self.ridge(features, label, lam, **options)}
+
     def dependency_tree(self) -> DataFrame:
         return dependency_tree(self.mi())
 
