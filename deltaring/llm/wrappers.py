@@ -3,8 +3,8 @@
 A page is read as a tree of block elements. Inside an element, neighbouring children of one label fold into
 a repeated group (also groups of two or three), inline markup and text fold into a text slot. Aligning
 the trees of a host's pages turns what only some have into optional groups, and texts that differ into slots;
-the others stay constant. The outcome is one tree per host, and each page is read along it: under its own
-main elements if it has some, else without what is constant.
+the others stay constant. The outcome is one tree per host, and each page is read along it, without what is
+constant: under its own main elements if it has some, else whole.
 """
 
 from __future__ import annotations
@@ -14,7 +14,11 @@ import hashlib
 import html as entities
 import json
 import re
+import sys
+from bisect import bisect_left
+from collections import Counter
 from collections.abc import Iterator
+from contextlib import contextmanager
 from urllib.parse import urlsplit
 
 import pandas as pd
@@ -23,15 +27,12 @@ from pyspark.sql import functions as F
 
 from .common import written
 
-TOKEN = re.compile(
-    r"<!--.*?(?:--!?>|\Z)"
-    r"|<(?P<raw>script|style|noscript|iframe|textarea|title)(?=[\s/>])(?:[^>\"']|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=raw)\s*>|\Z)"
-    r"|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<rest>(?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>"
-    r"|<[!?][^>]*(?:>|\Z)"
-    r"|<[/a-zA-Z][^<>]*(?:>|\Z)"
-    r"|(?P<text>[^<]+|<)",
-    re.S | re.I,
-)
+NAME = re.compile(r"[a-zA-Z][^\s/>]*")
+COMMENT_END = re.compile(r"--!?>")
+UNQUOTED = re.compile(r"[^>\"']*")
+BROKEN = re.compile(r"[^<>]*>?")
+# Fixed value: elements whose content is no markup.
+RAW = {name: re.compile(rf"</{name}\s*>", re.I) for name in "script style noscript iframe textarea title".split()}
 MARK = re.compile(r"""\b(class|id|role|itemprop|hidden|aria-hidden)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s"'>]+))?""", re.I)
 # Element names of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -53,12 +54,74 @@ LAYOUT_FIRST = frozenset("has no with without is hide show".split())
 LAYOUT_LAST = frozenset("layout fixed open opened closed collapsed expanded enabled disabled visible".split())
 MAIN = frozenset("main article articlebody".split())
 SLOT, TAB, SAME = "#", "\t", "="
-#: What is equal on so many different pages, and differs on none that has it, belongs to the template.
-TEMPLATE_PAGES = 3
+#: What is equal on so many different pages, and differs on none that has it, belongs to the template; in a main part it
+#: takes MAIN_PAGES.
+TEMPLATE_PAGES, MAIN_PAGES = 3, 8
+#: Elements may lie so deep in each other. Deeper ones are dissolved into the one they lie in, their texts staying blocks of
+#: their own; those whose kind differs from that of the element around them may go twice as deep.
+DEPTH = 150
+
+
+def tokens(page: str) -> Iterator[tuple[str, str, str]]:
+    """(kind, name, rest) of a page: "text" with the text as rest, "open" with attributes as rest, "close".
+
+    Time is linear in the page, whatever is left open: a tag whose quote or bracket is never closed ends at the next
+    bracket, and where a search for an end failed once it is not taken up again.
+    """
+    at, end, dead = 0, len(page), set()
+    while at < end:
+        lt = page.find("<", at)
+        if lt < 0:
+            yield "text", "", page[at:]
+            return
+        if lt > at:
+            yield "text", "", page[at:lt]
+        if page.startswith("<!--", lt):
+            m = COMMENT_END.search(page, lt + 4)
+            at = m.end() if m else end
+            continue
+        if page[lt + 1 : lt + 2] in ("!", "?"):
+            gt = page.find(">", lt)
+            at = gt + 1 if gt >= 0 else end
+            continue
+        closing = page[lt + 1 : lt + 2] == "/"
+        name = NAME.match(page, lt + 1 + closing)
+        if name is None:
+            if closing:
+                at = BROKEN.match(page, lt + 1).end()
+            else:
+                yield "text", "", "<"
+                at = lt + 1
+            continue
+        gt, quotes = UNQUOTED.match(page, name.end()).end(), []
+        while gt < end and page[gt] != ">":
+            if gt in dead:
+                gt = end
+                break
+            quotes.append(gt)
+            gt = page.find(page[gt], gt + 1)
+            gt = UNQUOTED.match(page, gt + 1).end() if gt >= 0 else end
+        if gt >= end:
+            dead.update(quotes)
+            at = BROKEN.match(page, lt + 1).end()
+            continue
+        tag, at = name[0].lower(), gt + 1
+        if closing:
+            yield "close", tag, ""
+        elif tag in RAW:
+            m = RAW[tag].search(page, at)
+            at = m.end() if m else end
+        else:
+            yield "open", tag, page[name.end() : gt]
 
 
-@functools.lru_cache(10_000)
 def described(tag: str, rest: str) -> tuple[str, str]:
+    """Label and kind of an element; those of long tags are not remembered."""
+    return _described(tag, rest) if len(rest) < 400 else _described.__wrapped__(tag, rest)
+
+
+@functools.lru_cache(10_000)
+def _described(tag: str, rest: str) -> tuple[str, str]:
     """Label and kind of an element. The label has the tag and the first words of its class, id, role and itemprop,
     figures as 0, then hidden marks and the kind, which is told from all words as they are written."""
     marks, flags = [], set()
@@ -98,58 +161,109 @@ def parts_of(word: str) -> list[str]:
 
 
 class Node:
-    __slots__ = ("tag", "label", "kind", "children", "sign")
+    """home: the element that takes what stands in this one, itself unless it is dissolved."""
+
+    __slots__ = ("tag", "label", "kind", "children", "sign", "home", "depth")
 
     def __init__(self, tag: str, rest: str = ""):
-        self.tag, self.children, self.sign = tag, [], None
+        self.tag, self.children, self.sign, self.home, self.depth = tag, [], None, self, 0
         self.label, self.kind = described(tag, rest)
 
-
-def parsed(page: str | None) -> Node:
-    """The tree of a page; children are nodes and strings (texts as they stand, a break being white space)."""
-    root = Node("html")
-    stack = [root]
-
-    def leave(tags: set[str] | frozenset[str]) -> bool:
-        for at in range(len(stack) - 1, 0, -1):
-            if stack[at].tag in tags:
-                del stack[at:]
+    def part(self) -> None:
+        """End the text before: a rule stands for the border of a dissolved block."""
+        if not (self.children and isinstance(self.children[-1], Node) and self.children[-1].tag == "hr"):
+            self.children.append(Node("hr"))
+
+
+class _Open:
+    """The open elements of a page, and how many of each name are open at all, since the last scope and since the last
+    element that is no inline markup: what no search can find is not searched for."""
+
+    def __init__(self, root: Node):
+        self.stack, self.all = [root], Counter()
+        self.scopes, self.blocks = [Counter()], [Counter()]
+
+    def push(self, node: Node) -> None:
+        self.stack.append(node)
+        self.all[node.tag] += 1
+        self.scopes[-1][node.tag] += 1
+        self.blocks[-1][node.tag] += 1
+        if node.tag in SCOPES:
+            self.scopes.append(Counter())
+        if node.tag not in INLINE:
+            self.blocks.append(Counter())
+
+    def cut(self, at: int) -> None:
+        while len(self.stack) > at:
+            tag = self.stack.pop().tag
+            if tag in SCOPES:
+                self.scopes.pop()
+            if tag not in INLINE:
+                self.blocks.pop()
+            for c in (self.all, self.scopes[-1], self.blocks[-1]):
+                c[tag] -= 1
+
+    def leave(self, tags: set[str] | frozenset[str]) -> bool:
+        """Close the last element of these names up to the last scope."""
+        here = self.scopes[-1]
+        if not any(here[t] > 0 for t in tags):
+            if len(self.scopes) < 2 or not (tags & SCOPES):
+                return False
+        for at in range(len(self.stack) - 1, 0, -1):
+            if self.stack[at].tag in tags:
+                self.cut(at)
                 return True
-            if stack[at].tag in SCOPES:
+            if self.stack[at].tag in SCOPES:
                 return False
         return False
 
-    for m in TOKEN.finditer(page or ""):
-        if m["text"] is not None:
-            stack[-1].children.append(m["text"])
+    def close(self, tag: str) -> None:
+        """An end tag; that of inline markup closes nothing beyond the block it stands in."""
+        if (self.blocks[-1] if tag in INLINE else self.all)[tag] <= 0:
+            return
+        for at in range(len(self.stack) - 1, 0, -1):
+            if self.stack[at].tag == tag:
+                self.cut(at)
+                return
+
+
+def parsed(page: str | None) -> Node:
+    """The tree of a page; children are nodes and strings (texts as they stand, a break being white space)."""
+    root = Node("html")
+    now = _Open(root)
+    for what, tag, rest in tokens(page or ""):
+        top = now.stack[-1]
+        if what == "text":
+            top.home.children.append(rest)
             continue
-        if m["tag"] is None:
-            continue
-        tag = m["tag"].lower()
-        if m["end"]:
-            for at in range(len(stack) - 1, 0, -1):
-                if stack[at].tag == tag:
-                    del stack[at:]
-                    break
-                if tag in INLINE and stack[at].tag not in INLINE:
-                    break
+        if what == "close":
+            now.close(tag)
+            if now.stack[-1] is not top and now.stack[-1].home is top.home:
+                top.home.part()
             continue
         if tag in ("html", "body"):
             continue
         if tag in CLOSES_P:
-            leave({"p"})
-            while leave(UNFIT):
+            now.leave({"p"})
+            while now.leave(UNFIT):
                 pass
         if tag in SIBLINGS:
-            leave(SIBLINGS[tag])
+            now.leave(SIBLINGS[tag])
+        home = now.stack[-1].home
         if tag in ("br", "wbr"):
-            stack[-1].children.append("\n" if tag == "br" else "")
+            home.children.append("\n" if tag == "br" else "")
             continue
-        node = Node(tag, m["rest"])
-        stack[-1].children.append(node)
-        if tag in VOID or m["rest"].endswith("/") and (tag in INLINE or tag in EMBEDDED or tag in FOREIGN or any(n.tag in FOREIGN for n in stack)):
+        node = Node(tag, rest)
+        node.depth = home.depth + 1
+        if node.depth > 2 * DEPTH or node.depth > DEPTH and (node.kind == home.kind or node.kind == "plain"):
+            node.home = home
+            if is_block(node):
+                home.part()
+        else:
+            home.children.append(node)
+        if tag in VOID or rest.endswith("/") and (tag in INLINE or tag in EMBEDDED or tag in FOREIGN or any(now.all[x] for x in FOREIGN)):
             continue
-        stack.append(node)
+        now.push(node)
     return root
 
 
@@ -188,20 +302,20 @@ def wrapper_of(n: Node, page: str | None = None) -> list:
     for c in flat(n):
         if isinstance(c, str):
             if items and items[-1][0] == SLOT:
-                items[-1][2] += c
+                items[-1][2].append(c)
             elif c.strip():
-                items.append([SLOT, [], c])
+                items.append([SLOT, [], [c]])
         elif c.tag not in HIDDEN:
             items.append(wrapper_of(c, page))
     for x in items:
         if x[0] == SLOT:
-            x[2] = [digest(x[2]), [page]]
+            x[2] = [digest("".join(x[2])), [page]]
     return [n.label, folded([[[x], False, False] for x in items]), [sign_of(n), [page]]]
 
 
 def met(a: list | None, b: list | None) -> list | None:
     """The constant of two nodes."""
-    return [a[0], sorted({*a[1], *b[1]})[:TEMPLATE_PAGES]] if a and b and a[0] == b[0] else None
+    return [a[0], sorted({*a[1], *b[1]})[:MAIN_PAGES]] if a and b and a[0] == b[0] else None
 
 
 def _signs(group: list) -> list[str]:
@@ -235,29 +349,67 @@ def folded(children: list) -> list:
     return children
 
 
-def aligned(a: list, b: list) -> list:
-    """The wrapper of both of two nodes with one label: matching groups meet, the rest becomes optional, and what
-    they show stays constant only if it is the same."""
-    if a == b:
-        return a
-    x, y = a[1], b[1]
-    sx, sy = [_signs(c[0]) for c in x], [_signs(c[0]) for c in y]
-    if sx == sy:
-        pairs = [(i, i) for i in range(len(x))]
+def matching(a: list, b: list) -> list[tuple[int, int]]:
+    """Places of a common subsequence of two lists, in order: a longest one, or, between lists so long that a table of
+    all their places would be large, one through the items that each has once."""
+    low = 0
+    while low < min(len(a), len(b)) and a[low] == b[low]:
+        low += 1
+    high = 0
+    while high < min(len(a), len(b)) - low and a[-1 - high] == b[-1 - high]:
+        high += 1
+    head, tail = [(i, i) for i in range(low)], [(len(a) - i, len(b) - i) for i in range(high, 0, -1)]
+    x, y = a[low : len(a) - high], b[low : len(b) - high]
+    if not x or not y:
+        return head + tail
+    if len(x) * len(y) > 40_000:
+        once = Counter(y)
+        place = {v: j for j, v in enumerate(y)}
+        times = Counter(x)
+        least: list[int] = []  # a longest rising sequence of places in y
+        ends: list[tuple[int, int]] = []
+        before: dict[int, int | None] = {}
+        for i, v in enumerate(x):
+            if once[v] == 1 and times[v] == 1:
+                k = bisect_left(least, place[v])
+                least[k:] = [place[v]] if k == len(least) else [place[v], *least[k + 1 :]]
+                ends[k : k + 1] = [(i, place[v])]
+                before[i] = ends[k - 1][0] if k else None
+        chain, i = [], ends[-1][0] if ends else None
+        while i is not None:
+            chain.append((i, place[x[i]]))
+            i = before[i]
+        middle, i, j = [], 0, 0
+        for p, q in [*reversed(chain), (len(x), len(y))]:
+            if chain and (p - i) * (q - j) <= 40_000:
+                middle += [(i + u, j + v) for u, v in matching(x[i:p], y[j:q])]
+            if p < len(x):
+                middle.append((p, q))
+            i, j = p + 1, q + 1
     else:
         best = [[0] * (len(y) + 1) for _ in range(len(x) + 1)]
         for i in range(len(x) - 1, -1, -1):
             for j in range(len(y) - 1, -1, -1):
-                best[i][j] = best[i + 1][j + 1] + 1 if sx[i] == sy[j] else max(best[i + 1][j], best[i][j + 1])
-        pairs, i, j = [], 0, 0
+                best[i][j] = best[i + 1][j + 1] + 1 if x[i] == y[j] else max(best[i + 1][j], best[i][j + 1])
+        middle, i, j = [], 0, 0
         while i < len(x) and j < len(y):
-            if sx[i] == sy[j]:
-                pairs.append((i, j))
+            if x[i] == y[j]:
+                middle.append((i, j))
                 i, j = i + 1, j + 1
             elif best[i + 1][j] >= best[i][j + 1]:
                 i += 1
             else:
                 j += 1
+    return head + [(i + low, j + low) for i, j in middle] + tail
+
+
+def aligned(a: list, b: list) -> list:
+    """The wrapper of both of two nodes with one label: matching groups meet, the rest becomes optional, and what
+    they show stays constant only if it is the same."""
+    if a == b:
+        return a
+    x, y = a[1], b[1]
+    pairs = matching([tuple(_signs(c[0])) for c in x], [tuple(_signs(c[0])) for c in y])
     out, i, j = [], 0, 0
     for p, q in [*pairs, (len(x), len(y))]:
         out += [[c[0], c[1], True] for c in x[i:p]] + [[c[0], c[1], True] for c in y[j:q]]
@@ -280,13 +432,14 @@ def expression(w: list) -> str:
 
 def content_slots(w: list) -> dict:
     """The wrapper as nested dicts by label, with "#" where there is a text slot; "=" has the digests of what
-    is the template's there, of elements in their own dict and of texts in that of "#"."""
+    is the template's there, of elements in their own dict and of texts in that of "#", with the number of pages
+    that were seen to have it."""
     out: dict = {}
     for group, _, _ in w[1]:
         for g in group:
             at = out.setdefault(g[0], {})
             if g[2] and len(g[2][1]) >= TEMPLATE_PAGES:
-                at.setdefault(SAME, {})[g[2][0]] = {}
+                at.setdefault(SAME, {})[g[2][0]] = len(g[2][1])
             if g[0] != SLOT:
                 _join(at, content_slots(g))
     return out
@@ -294,7 +447,10 @@ def content_slots(w: list) -> dict:
 
 def _join(a: dict, b: dict) -> None:
     for k, v in b.items():
-        _join(a.setdefault(k, {}), v)
+        if isinstance(v, int):
+            a[k] = max(a.get(k, 0), v)
+        else:
+            _join(a.setdefault(k, {}), v)
 
 
 def has_main(n: Node, through: frozenset[str]) -> bool:
@@ -310,20 +466,21 @@ def main_text(root: Node, slots: dict) -> str:
     """The texts of a page's content slots, a block each, read along the wrapper.
 
     Content are the slots under the page's own article or main elements, which may lie in forms or in what its
-    name makes noise, or, in a page without, all that the wrapper does not hold as constant; each but for those
-    under elements that are navigation, notices, adverts, forms, comments and the like. Where that leaves no text,
-    constant texts, forms, and then articles beside the main part are read.
+    name makes noise, or, in a page without, all slots; what the wrapper holds as constant is no slot (in a main
+    part it takes more pages to tell). Elements that are navigation, notices, adverts, forms, comments and the like are
+    left out. Where that leaves no text, constant texts, forms, and then articles beside the main part are read.
     """
     for through in WAYS[:2]:
         if has_main(root, through):
-            text = read_slots(root, slots, through, False, False) or read_slots(root, slots, through, False, True)
+            text = read_slots(root, slots, through, False, False, MAIN_PAGES) or read_slots(root, slots, through, False, False) or read_slots(root, slots, through, False, True)
             break
     else:
-        text = read_slots(root, slots, frozenset(), True, False, True) or read_slots(root, slots, frozenset(), True, False) or read_slots(root, slots, frozenset(), True, True)
+        text = read_slots(root, slots, frozenset(), True, False, TEMPLATE_PAGES) or read_slots(root, slots, frozenset(), True, False) or read_slots(root, slots, frozenset(), True, True)
     return text or (read_slots(root, slots, WAYS[2], False, False) if has_main(root, WAYS[2]) else "")
 
 
-def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, forms: bool, varying: bool = False) -> str:
+def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, forms: bool, pages: int = 0) -> str:
+    """pages: constants of so many pages are left out (0: none)."""
     blocks: list[str] = []
 
     def read(n: Node, at: dict, inside: bool) -> None:
@@ -331,7 +488,7 @@ def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, fo
 
         def close() -> None:
             if inside and SLOT in at and (text := " ".join(entities.unescape("".join(run)).split())):
-                if not (varying and (same := at[SLOT].get(SAME)) and digest("".join(run)) in same):
+                if not (pages and (same := at[SLOT].get(SAME)) and same.get(digest("".join(run)), 0) >= pages):
                     blocks.append(text)
             run.clear()
 
@@ -343,7 +500,7 @@ def read_slots(root: Node, slots: dict, through: frozenset[str], whole: bool, fo
             if not content and (c.tag in INLINE or c.tag in EMBEDDED or c.tag in HIDDEN):
                 continue  # inline noise goes and does not part a block
             close()
-            if varying and (same := at.get(c.label, {}).get(SAME)) and sign_of(c) in same:
+            if pages and (inside or whole) and (same := at.get(c.label, {}).get(SAME)) and same.get(sign_of(c), 0) >= pages:
                 continue
             if c.label in at and (content or c.kind in through and has_main(c, through)):
                 read(c, at[c.label], content and (inside or c.kind == "main"))
@@ -360,41 +517,71 @@ def host_of(url: str | None) -> str:
         return ""
 
 
-def wrappers(pages: DataFrame, parts: int = 32) -> DataFrame:
-    """host, wrapper (JSON), expression: from every page. Tasks align what they read, then parts of a host, then hosts."""
+@contextmanager
+def deep_trees() -> Iterator[None]:
+    """Let functions call each other as deep as trees go (DEPTH bounds them)."""
+    before = sys.getrecursionlimit()
+    sys.setrecursionlimit(max(before, 1000 + 40 * DEPTH))
+    try:
+        yield
+    finally:
+        sys.setrecursionlimit(before)
+
+
+def merged(some: DataFrame, *keys: str) -> DataFrame:
+    """One wrapper for each value of the keys (host first): rows stream by in order, one wrapper is held at a time."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now, whole = None, None
+        row = lambda: pd.DataFrame({"host": [now[0]], "wrapper": [json.dumps(whole)]}, dtype=object)
+        with deep_trees():
+            for b in batches:
+                for *key, text in zip(*[b[k] for k in keys], b["wrapper"]):
+                    w = json.loads(text)
+                    if key == now:
+                        whole = aligned(whole, w)
+                        continue
+                    if now is not None:
+                        yield row()
+                    now, whole = key, w
+            if now is not None:
+                yield row()
+
+    return some.repartition(*keys).sortWithinPartitions(*keys, "wrapper").mapInPandas(run, "host string, wrapper string")
+
+
+def wrappers(pages: DataFrame, parts: int = 32, flush_chars: int = 32 << 20) -> DataFrame:
+    """host, wrapper (JSON): from every page. Tasks align what they read and pass it on after so many characters; then parts
+    of a host are aligned, then hosts."""
 
     def infer(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         known: dict[str, list] = {}
+        read = 0
 
         def out() -> pd.DataFrame:
             return pd.DataFrame({"host": list(known), "wrapper": [json.dumps(w) for w in known.values()]}, dtype=object)
 
-        for b in batches:
-            for url, page in zip(b["url"], b["html"]):
-                host, w = host_of(url), wrapper_of(parsed(page))
-                known[host] = aligned(known[host], w) if host in known else w
-            if len(known) > 5000:
-                yield out()
-                known.clear()
-        yield out()
-
-    def join(p: pd.DataFrame) -> pd.DataFrame:
-        whole = None
-        for text in sorted(p["wrapper"]):
-            w = json.loads(text)
-            whole = w if whole is None else aligned(whole, w)
-        return pd.DataFrame({"host": [p["host"].iloc[0]], "wrapper": [json.dumps(whole)]})
+        with deep_trees():
+            for b in batches:
+                for url, page in zip(b["url"], b["html"]):
+                    host, w = host_of(url), wrapper_of(parsed(page))
+                    known[host] = aligned(known[host], w) if host in known else w
+                    read += len(page or "")
+                    if read > flush_chars:
+                        yield out()
+                        known.clear()
+                        read = 0
+            yield out()
 
     some = pages.select("url", "html").mapInPandas(infer, "host string, wrapper string").distinct()
-    some = some.groupBy("host", F.pmod(F.xxhash64("wrapper"), F.lit(parts)).alias("part")).applyInPandas(lambda p: join(p), "host string, wrapper string")
-    return some.groupBy("host").applyInPandas(lambda p: join(p), "host string, wrapper string")
+    return merged(merged(some.withColumn("part", F.pmod(F.xxhash64("wrapper"), F.lit(parts))), "host", "part"), "host")
 
 
 def extracted_pages(pages: DataFrame, broadcast_bytes: int = 32 << 20) -> DataFrame:
     """page_id, url, text, n_chars of every page.
 
     A null or empty page has an empty text. Pages without a readable host share the wrapper of the empty
-    host. Repeated rows are read each. Wrappers go to all tasks if their size, which is
+    host. Repeated rows are read each. Elements of any depth are read. Wrappers go to all tasks if their size, which is
     counted, is within broadcast_bytes, and by a shuffled join else.
     """
     found = written(wrappers(pages), "wrappers")
@@ -424,7 +611,8 @@ def extracted_pages(pages: DataFrame, broadcast_bytes: int = 32 << 20) -> DataFr
 
         for b in batches:
             of = b["wrapper"] if sent is None else [sent.value[host_of(u)] for u in b["url"]]
-            texts = [main_text(parsed(p), slots_of(w)) for p, w in zip(b["html"], of)]
+            with deep_trees():
+                texts = [main_text(parsed(p), slots_of(w)) for p, w in zip(b["html"], of)]
             yield pd.DataFrame({"page_id": b["page_id"], "url": b["url"], "text": texts, "n_chars": [len(t) for t in texts]})
 
     return rows.mapInPandas(read, f"page_id {kinds['page_id']}, url string, text string, n_chars long")

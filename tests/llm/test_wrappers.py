@@ -1,6 +1,8 @@
 import functools
 import html
+import json
 import re
+import time
 
 from deltaring.llm import wrappers as wr
 
@@ -14,8 +16,9 @@ def expected(page):
 
 
 def text_of(page):
-    root = wr.parsed(page)
-    return wr.main_text(root, wr.content_slots(wr.wrapper_of(root)))
+    with wr.deep_trees():
+        root = wr.parsed(page)
+        return wr.main_text(root, wr.content_slots(wr.wrapper_of(root)))
 
 
 def test_whole_table(spark):
@@ -109,3 +112,52 @@ def test_what_pages_of_a_host_share_is_template():
     whole = ["The site", "Home", "Help", "a", "a more", "All rights reserved"]
     assert texts_of(*pages[:1] * 5)[0] == texts_of(*pages[:2])[0] == "\n\n".join(whole)  # copies are one page, two are too few
     assert texts_of(*(f"<article><p>{x}</p><p>same</p></article>" for x in "abc"))[0] == "a\n\nsame"
+
+
+def test_deep_and_broken_pages_return():
+    """Time and depth are bounded whatever is nested or left open, and no text is lost by depth."""
+    began = time.perf_counter()
+    assert text_of("<article>" + "<div>" * 100_000 + "deep" + "</div>" * 100_000 + "<p>after</article>") == "deep\n\nafter"
+    assert text_of("<div>x" * 50_000 + "y") == "\n\n".join(["x"] * 49_999 + ["xy"])
+    assert text_of("<p>" + "<span>a" * 100_000) == "a" * 100_000
+    assert text_of("<div class=sidebar>" * 3000 + "no" + "</div>" * 3000 + "<p>t") == "t"
+    assert text_of("<div>" * 3000 + "<div class=sidebar><div>no</div></div><p>t") == "t"
+    assert text_of("<p>start</p>" + "<a b=\"x'>" * 100_000 + "end") == "start\n\nend"
+    assert text_of("<p>s</p>" + "<a '\">" * 150_000) == "s"
+    assert text_of("<a \"" * 250_000) == "" and text_of("<" * 1_000_000) == "<" * 1_000_000
+    assert text_of("<li><ul>" + "<blockquote>" * 30_000 + "<li></li>" * 30_000 + "z") == "z"
+    assert text_of("<i><div>" + "<b>" * 50_000 + "</i>" * 50_000 + "z") == "z"
+    assert text_of("<div>" * 30_000 + "</foo></p>" * 30_000 + "z") == "z"
+    assert time.perf_counter() - began < 120
+
+
+def test_long_lists_align():
+    name = lambda i: "x-" + "".join(chr(97 + i // 26**k % 26) for k in range(3))
+    page = lambda places: "".join(f"<{name(i)}>1</{name(i)}>" for i in places)
+    a, b = (wr.wrapper_of(wr.parsed(page(r))) for r in (range(3000), range(0, 6000, 2)))
+    assert len(wr.aligned(a, b)[1]) == 4500 and sum(not c[2] for c in wr.aligned(a, b)[1]) == 1500
+    for x, y in (("abcab", "bcaab"), ("", "ab"), ("abc", "abc"), ("xay", "bac")):
+        pairs = wr.matching(list(x), list(y))
+        assert all(x[i] == y[j] for i, j in pairs) and pairs == sorted(pairs) and len({i for i, _ in pairs}) == len(pairs)
+    assert len(wr.matching(list("abcab"), list("bcaab"))) == 4
+
+
+def test_what_every_page_shows_in_its_main_part_is_template(spark):
+    """The wrapper of the host decides: each page alone keeps the call to subscribe."""
+    page = "<article><h1>{0}</h1><p>{0} one</p><p>two {0}</p><div class=c3>Subscribe <b>today</b></div></article><div>rest</div>"
+    pages = [page.format(f"t{i}") for i in range(wr.MAIN_PAGES)]
+    assert text_of(pages[0]) == "t0\n\nt0 one\n\ntwo t0\n\nSubscribe today"
+    assert texts_of(*pages) == [f"t{i}\n\nt{i} one\n\ntwo t{i}" for i in range(wr.MAIN_PAGES)]
+    assert texts_of(*pages[:-1])[0].endswith("today")  # too few pages to tell
+    assert texts_of(*pages, "<article><div class=c3>own words</div></article>")[-1] == "own words"
+    assert texts_of(*(["<article><div>all the same</div></article>"] * 9))[0] == "all the same"
+    df = spark.createDataFrame([(i, f"http://a.com/{i}", p) for i, p in enumerate(pages)], "page_id long, url string, html string").repartition(4)
+    assert [r.text for r in wr.extracted_pages(df).orderBy("page_id").collect()] == texts_of(*pages)
+    small = wr.wrappers(df, flush_chars=10).collect()
+    assert len(small) == 1 and json.loads(small[0].wrapper) == json.loads(wr.wrappers(df).first().wrapper)
+
+
+def test_columns_with_clashing_names(spark):
+    df = spark.createDataFrame([("<p>a", 1, "http://x.com", "w", "p", 3)], "html string, page_id long, url string, wrapper string, host string, part int")
+    for size in (32 << 20, 0):
+        assert [tuple(r) for r in wr.extracted_pages(df, size).collect()] == [(1, "http://x.com", "a", 1)]
