@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import re
 import tempfile
 import uuid
 
@@ -16,13 +17,13 @@ HASH_BITS = 60
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a folder of our own where it is unset (tests)."""
-    where = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder all executors share: spark.checkpoint.dir, or that of the context. A folder of our own only on a
+    local master (tests), where executors see the driver's files."""
+    where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if where:
         return where.rstrip("/")
-    kept = spark.sparkContext.getCheckpointDir()
-    if kept:
-        return kept.rstrip("/")
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     where = tempfile.mkdtemp(prefix="deltaring-")
     spark.sparkContext.setCheckpointDir(where)
     return where
@@ -37,10 +38,10 @@ BATCH_ROWS = "1000"
 BATCH_SETTING = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage: write df as a Parquet table in the shared folder and read it again."""
+def written(df: DataFrame, name: str, within: str | None = None) -> DataFrame:
+    """Cut the lineage: write df as a Parquet table in the shared folder (or a folder in it) and read it again."""
     spark = df.sparkSession
-    path, before = scratch(spark, name), spark.conf.get(BATCH_SETTING)
+    path, before = (f"{within}/{name}-{uuid.uuid4().hex[:12]}" if within else scratch(spark, name)), spark.conf.get(BATCH_SETTING)
     spark.conf.set(BATCH_SETTING, BATCH_ROWS)
     try:
         df.write.parquet(path)
@@ -55,6 +56,20 @@ def removed(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+class Working:
+    """Working tables of one run in a folder of their own. What the result still reads is written outside it; the folder
+    goes when the run is over."""
+
+    def __init__(self, spark: SparkSession, name: str):
+        self.spark, self.path = spark, scratch(spark, name)
+
+    def written(self, df: DataFrame, name: str) -> DataFrame:
+        return written(df, name, self.path)
+
+    def done(self) -> None:
+        removed(self.spark, self.path)
+
+
 def fresh(df: DataFrame, name: str) -> str:
     """A column name that df does not have yet; names clash without regard to case."""
     taken = {c.lower() for c in df.columns}

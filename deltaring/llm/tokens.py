@@ -72,8 +72,9 @@ class _Words(dict):
 class WordIds:
     """Ids of whole texts as little-endian unsigned 32-bit bytes.
 
-    For tokenizers that never join characters across white space: a text's ids are then the ids of its
-    ASCII-space-parted words in order, so each distinct word is encoded once and looked up afterwards.
+    The word tokenizer never joins characters across white space and knows no capitals: a text's ids are the ids of
+    its ASCII-space-parted words in order, so each distinct word is encoded once and looked up afterwards.
+    Any other file's tokenizer encodes whole texts.
     """
 
     def __init__(self, path: str):
@@ -89,7 +90,7 @@ class WordIds:
 
     def _learn(self, word: bytes) -> bytes:
         ids = self.old.get(word)
-        if ids is None and self.piece:
+        if ids is None:
             ids = self._plain(word)
         if ids is None:
             ids = array("I", self.tokenizer.encode(word.decode("utf-8"), add_special_tokens=False).ids).tobytes()
@@ -110,6 +111,8 @@ class WordIds:
         return array("I", ids + self.piece(m[2].encode()) if m[2] else ids).tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
+        if self.piece is None:
+            return [array("I", self.tokenizer.encode(t, add_special_tokens=False).ids).tobytes() if t else b"" for t in texts]
         claim(f"ids of {self.path}", self._forget)
         out = []
         for t in texts:

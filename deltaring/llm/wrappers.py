@@ -44,6 +44,7 @@ FOREIGN = frozenset("svg math".split())
 UNFIT = frozenset("svg math select".split())  # a block inside shows that their end tag is missing
 CLOSES_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul".split())
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "thead": {"tr", "td", "th"}, "tbody": {"thead", "tbody", "tr", "td", "th"}, "tfoot": {"tbody", "tr", "td", "th"}}
+LEFT = frozenset("p svg math select li dt dd tr td th option thead tbody".split())
 SCOPES = frozenset("ul ol dl table div article section main aside nav body html form td th menu foreignobject template object".split())
 APART = frozenset("nav aside footer header form button dialog menu fieldset input head".split())
 #: Words of class, id and role values that mark what is not content, and what is.
@@ -181,34 +182,41 @@ class _Open:
 
     def __init__(self, root: Node):
         self.stack, self.all = [root], Counter()
-        self.scopes, self.blocks = [Counter()], [Counter()]
+        self.scopes, self.blocks = [Counter()], [None]
 
     def push(self, node: Node) -> None:
+        tag = node.tag
         self.stack.append(node)
-        self.all[node.tag] += 1
-        self.scopes[-1][node.tag] += 1
-        self.blocks[-1][node.tag] += 1
-        if node.tag in SCOPES:
+        if tag in INLINE:
+            if self.blocks[-1] is None:
+                self.blocks[-1] = Counter()
+            self.blocks[-1][tag] += 1
+            return
+        self.all[tag] += 1
+        self.blocks.append(None)
+        if tag in LEFT:
+            self.scopes[-1][tag] += 1
+        if tag in SCOPES:
             self.scopes.append(Counter())
-        if node.tag not in INLINE:
-            self.blocks.append(Counter())
 
     def cut(self, at: int) -> None:
         while len(self.stack) > at:
             tag = self.stack.pop().tag
+            if tag in INLINE:
+                self.blocks[-1][tag] -= 1
+                continue
+            self.all[tag] -= 1
+            self.blocks.pop()
             if tag in SCOPES:
                 self.scopes.pop()
-            if tag not in INLINE:
-                self.blocks.pop()
-            for c in (self.all, self.scopes[-1], self.blocks[-1]):
-                c[tag] -= 1
+            if tag in LEFT:
+                self.scopes[-1][tag] -= 1
 
     def leave(self, tags: set[str] | frozenset[str]) -> bool:
         """Close the last element of these names up to the last scope."""
         here = self.scopes[-1]
-        if not any(here[t] > 0 for t in tags):
-            if len(self.scopes) < 2 or not (tags & SCOPES):
-                return False
+        if not (tags & SCOPES) and not any(here.get(t) for t in tags):
+            return False
         for at in range(len(self.stack) - 1, 0, -1):
             if self.stack[at].tag in tags:
                 self.cut(at)
@@ -219,7 +227,10 @@ class _Open:
 
     def close(self, tag: str) -> None:
         """An end tag; that of inline markup closes nothing beyond the block it stands in."""
-        if (self.blocks[-1] if tag in INLINE else self.all)[tag] <= 0:
+        if self.stack[-1].tag == tag and len(self.stack) > 1:
+            self.cut(len(self.stack) - 1)
+            return
+        if not ((self.blocks[-1] or {}) if tag in INLINE else self.all).get(tag):
             return
         for at in range(len(self.stack) - 1, 0, -1):
             if self.stack[at].tag == tag:
