@@ -12,22 +12,19 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import bucket_bits, written
+from .common import HASH_BITS, bucket_bits, hash60, written
 
-#: Slots of the map that tells which digests occur more than once; its size is fixed, a false hit only sends a text more.
-SLOTS = 1 << 20
+#: Most bits of the map that tells which digests occur more than once (16 MB sent to each executor).
+MOST_BITS = 1 << 27
 
 
 def canonical(text: str | None) -> bytes:
-    """NFKC and case folding until both hold, runs of white space as one space, none at the ends; null is empty."""
+    """NFKC and case folding until both hold, runs of Unicode white space as one space, none at the ends; null is empty."""
     if not text:
         return b""
-    if text.isascii():
-        return b" ".join(text.lower().encode().split())
-    for _ in range(3):
-        folded = unicodedata.normalize("NFKC", text).casefold()
-        if folded == text:
-            break
+    if text.isascii():  # NFKC leaves ASCII alone, case folding is lower()
+        return " ".join(text.lower().split()).encode()
+    while (folded := unicodedata.normalize("NFKC", text).casefold()) != text:
         text = folded
     return " ".join(text.split()).encode("utf-8", "surrogatepass")
 
@@ -36,10 +33,6 @@ def digest(form: bytes) -> str:
     return xxhash.xxh3_128_hexdigest(form)
 
 
-def _slot(d: str) -> int:
-    return int(d[:8], 16) % SLOTS
-
-
 def bucket_of(key: Column, splits: list[int]) -> Column:
     """Number of splits at or below key, by halving; null goes before all."""
     if not splits:
@@ -59,20 +52,23 @@ def with_next(docs: DataFrame) -> DataFrame:
     """doc_id, text, next_text: each row's text and that of the next row by doc_id, after the last the first.
 
     Rows go to ranges of doc_id, once; each range also gets the first row of the next one. Rows with
-    equal doc_id follow each other by text. Null ids come first, null texts are empty.
+    equal doc_id follow each other by text. Null ids come first, by a hash of their texts and in ranges of it; null
+    texts are empty.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     n = 1 << bucket_bits(docs.sparkSession, 2)
     found = rows.agg(F.percentile_approx("doc_id", [i / n for i in range(1, n)], 20 * n)).first()[0] or []
-    rows = rows.withColumn("range", bucket_of(F.col("doc_id"), sorted(set(found))))
-    low = rows.groupBy("range").agg(F.min("doc_id").alias("low"))
-    firsts = rows.join(F.broadcast(low), "range").where(F.col("doc_id").eqNullSafe(F.col("low")) | (F.col("doc_id").isNull() & F.col("low").isNotNull()))  # one per range: at most the number of ranges
-    firsts = firsts.groupBy("range").agg(F.min(F.struct("doc_id", "text")).alias("first"))
+    bits = bucket_bits(docs.sparkSession)
+    lost = F.when(F.col("doc_id").isNull(), hash60("text"))
+    rows = rows.withColumn("lost", lost).withColumn("range", F.when(F.col("doc_id").isNull(), F.shiftright("lost", HASH_BITS - bits).cast("int") - F.lit(1 << bits)).otherwise(bucket_of(F.col("doc_id"), sorted(set(found)))))
+    low = rows.groupBy("range").agg(F.min(F.struct("doc_id", "lost")).alias("low"))
+    firsts = rows.join(F.broadcast(low), "range").where(F.struct("doc_id", "lost") == F.col("low"))  # a row per range goes out: at most the number of ranges
+    firsts = firsts.groupBy("range").agg(F.min(F.struct("doc_id", "lost", "text")).alias("first"))
     order = Window.orderBy("range")
-    ends = firsts.select(F.coalesce(F.lag("range").over(order), F.lit(-1)).alias("range"), F.max("range").over(order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last"), F.col("first.doc_id").alias("doc_id"), F.col("first.text").alias("text"))
-    ends = ends.select("doc_id", "text", F.when(F.col("range") < 0, F.col("last")).otherwise(F.col("range")).cast("int").alias("range"), F.lit(True).alias("end"))
-    both = rows.select("doc_id", "text", F.col("range").cast("int"), F.lit(False).alias("end")).unionByName(ends)
-    ahead = F.lead("text").over(Window.partitionBy("range").orderBy("end", F.col("doc_id").asc_nulls_first(), "text"))
+    ends = firsts.select(F.lag("range").over(order).alias("range"), F.max("range").over(order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last"), F.col("first.doc_id").alias("doc_id"), F.col("first.lost").alias("lost"), F.col("first.text").alias("text"))
+    ends = ends.select("doc_id", "lost", "text", F.coalesce("range", "last").cast("int").alias("range"), F.lit(True).alias("end"))
+    both = rows.select("doc_id", "lost", "text", F.col("range").cast("int"), F.lit(False).alias("end")).unionByName(ends)
+    ahead = F.lead("text").over(Window.partitionBy("range").orderBy("end", F.col("doc_id").asc_nulls_first(), "lost", "text"))
     return both.withColumn("next_text", ahead).where("not end").select("doc_id", "text", "next_text")
 
 
@@ -100,24 +96,45 @@ def digests(df: DataFrame, texts: list[str], keep: list[str]) -> DataFrame:
     return df.select(*keep, *texts).mapInPandas(run, schema)
 
 
-def collided(docs: DataFrame, prints: DataFrame, make: Callable[[bytes], str] = digest) -> DataFrame:
+def marked_bits(many: DataFrame, bits: int) -> bytes:
+    """A map of so many bits with a 1 at the place of each digest; tasks pack pieces of 65,536 bits, so the driver gets
+    bytes and no digests."""
+
+    def pack(p: pd.DataFrame) -> pd.DataFrame:
+        piece = np.zeros(1 << 16, bool)
+        piece[p["at"].to_numpy() % (1 << 16)] = True
+        return pd.DataFrame({"piece": [int(p["piece"].iloc[0])], "packed": [np.packbits(piece).tobytes()]})
+
+    at = F.conv(F.substring("text_digest", 1, 8), 16, 10).cast("long") % bits
+    pieces = many.select(at.alias("at")).distinct().withColumn("piece", F.shiftright("at", 16)).groupBy("piece").applyInPandas(lambda p: pack(p), "piece long, packed binary")
+    out = bytearray(bits // 8)
+    for r in pieces.toLocalIterator():
+        out[r["piece"] << 13 : (r["piece"] + 1) << 13] = r["packed"]
+    return bytes(out)
+
+
+def collided(docs: DataFrame, prints: DataFrame, make: Callable[[bytes], str] = digest, most_bits: int = MOST_BITS) -> DataFrame:
     """digest: those that stand for different canonical bytes among documents (text), by comparing bytes.
 
-    prints has every digest, a row per document. Only texts whose digest occurs twice are compared; a
-    bucket folds to its least and greatest bytes in each task before anything is shuffled.
+    prints has every digest, a row per document. Only texts whose digest occurs twice are compared; a bucket folds
+    to its least and greatest bytes in each task before anything is shuffled. Which digests those are is told to
+    tasks by a map of eight bits or more for each, where a false hit only sends a text more, or, where that would be
+    too large a map, by a shuffled join.
     """
-    many = prints.groupBy("text_digest").count().where("count > 1").select((F.conv(F.substring("text_digest", 1, 8), 16, 10).cast("long") % SLOTS).alias("slot")).distinct()
-    marks = np.zeros(SLOTS, bool)
-    marks[[r[0] for r in many.collect()]] = True  # at most SLOTS rows
-    sent = docs.sparkSession.sparkContext.broadcast(np.packbits(marks))
+    many = prints.groupBy("text_digest").count().where("count > 1").select("text_digest")
+    n = many.count()
+    bits = max(1 << 16, 1 << (8 * n - 1).bit_length()) if n else 1 << 16
+    sent = docs.sparkSession.sparkContext.broadcast(marked_bits(many, bits)) if bits <= most_bits else None
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        bits = np.unpackbits(sent.value)
+        marks = np.unpackbits(np.frombuffer(sent.value, np.uint8)) if sent else None
         for b in batches:
-            rows = [(d, f) for f in map(canonical, b["text"]) if bits[_slot(d := make(f))]]
+            rows = [(d, f) for f in map(canonical, b["text"]) if (d := make(f)) and (marks is None or marks[int(d[:8], 16) % bits])]
             yield pd.DataFrame(rows, columns=["digest", "form"])
 
     forms = docs.select("text").mapInPandas(run, "digest string, form binary")
+    if sent is None:
+        forms = forms.join(many.withColumnRenamed("text_digest", "digest"), "digest", "left_semi")
     return forms.groupBy("digest").agg(F.min("form").alias("a"), F.max("form").alias("b")).where("a <> b").select("digest")
 
 
