@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import hash60, written
+from .common import Working, hash60, written
 from .wordhash import mixed, word_hashes
 
 SHINGLE = 5
@@ -23,8 +23,10 @@ class Matching:
 
     With 32 and 13, a pair of sets of likeness 0.75 is missed with a chance of about 1 in 100,000; links are
     confirmed on the sets, so none is false. percent: least likeness, in hundredths.
-    hub_rounds: rounds that test documents against one document per list before all other pairs are.
-    long_list: lists with more documents than this are compared in blocks, not as pairs of rows.
+    hub_rounds: rounds that test documents against one document per list before all other pairs are; up to
+    most_hub_rounds of them while long lists are open and still come together.
+    long_list: lists with more documents than this are compared in blocks, not as pairs of rows; what counts as a
+    candidate is the same in both.
     block_rows, block_bytes: what one side of such a block may hold.
     """
 
@@ -32,6 +34,7 @@ class Matching:
     matches: int = 13
     percent: int = 75
     hub_rounds: int = 2
+    most_hub_rounds: int = 8
     long_list: int = 64
     block_rows: int = 1024
     block_bytes: int = 8 << 20
@@ -92,7 +95,8 @@ def shared_postings(reps: DataFrame, m: Matching) -> DataFrame:
     """
     spread = reps.select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), F.posexplode("signature").alias("c", "v"))
     keyed = spread.select("id", "n", (F.shiftleft(F.col("c").cast("long"), 32) + F.col("v").cast("long").bitwiseAND(F.lit(0xFFFFFFFF))).alias("key"))
-    shared = keyed.withColumn("length", F.count("*").over(Window.partitionBy("key"))).where("length > 1")
+    lengths = keyed.groupBy("key").agg(F.count("*").alias("length")).where("length > 1")  # summed in each task first, a key may be hot
+    shared = keyed.join(lengths, "key")
     own = Window.partitionBy("id")
     prefix = m.coordinates - m.matches + 1
     ranked = shared.withColumn("place", F.row_number().over(own.orderBy("length", "key"))).withColumn("many", F.count("*").over(own)).withColumn("central", F.sum("length").over(own))
@@ -112,33 +116,33 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return counted.where(F.col("common") * 100 >= (F.col("n") - F.col("common")) * percent).select("a", "b")
 
 
-def components(edges: DataFrame) -> DataFrame:
+def components(edges: DataFrame, work: Working) -> DataFrame:
     """id, root over the ids in edges (a, b), root being the least id of the component.
 
     Each round takes the least root among the neighbours and then the root's root; it ends when nothing
     changes. Tables are written to shared storage between rounds.
     """
     both = edges.select("a", "b").where("a <> b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")).where("a <> b"))
-    near = written(both.distinct(), "edges")
-    roots = written(near.groupBy(F.col("a").alias("id")).agg(F.least(F.min("b"), F.col("a")).alias("root")), "roots")
+    near = work.written(both.distinct(), "edges")
+    roots = work.written(near.groupBy(F.col("a").alias("id")).agg(F.least(F.min("b"), F.col("a")).alias("root")), "roots")
     while True:
         seen = near.join(roots.select(F.col("id").alias("b"), "root"), "b").groupBy(F.col("a").alias("id")).agg(F.min("root").alias("found"))
         best = roots.join(seen, "id").select("id", F.col("root").alias("old"), F.least("root", "found").alias("root"))
         further = roots.select(F.col("id").alias("root"), F.col("root").alias("further"))
-        now = written(best.join(further, "root", "left").select("id", "old", F.least("root", F.coalesce("further", "root")).alias("root")), "roots")
+        now = work.written(best.join(further, "root", "left").select("id", "old", F.least("root", F.coalesce("further", "root")).alias("root")), "roots")
         roots = now.select("id", "root")
         if now.where("old <> root").isEmpty():
             return roots
 
 
-def merged(labels: DataFrame, edges: DataFrame) -> DataFrame:
-    """labels (id, comp) after joining the components that edges (a, b) connect."""
+def merged(labels: DataFrame, edges: DataFrame, work: Working) -> DataFrame:
+    """labels (id, comp) after joining the components that edges (a, b) connect; the same labels if they connect none."""
     ends = edges.join(labels.select(F.col("id").alias("a"), F.col("comp").alias("x")), "a").join(labels.select(F.col("id").alias("b"), F.col("comp").alias("y")), "b")
-    between = written(ends.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), "between")
+    between = work.written(ends.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), "between")
     if between.isEmpty():
         return labels
-    roots = components(between).select(F.col("id").alias("comp"), "root")
-    return written(labels.join(roots, "comp", "left").select("id", F.coalesce("root", "comp").alias("comp")), "labels")
+    roots = components(between, work).select(F.col("id").alias("comp"), "root")
+    return work.written(labels.join(roots, "comp", "left").select("id", F.coalesce("root", "comp").alias("comp")), "labels")
 
 
 def hub_pairs(postings: DataFrame, labels: DataFrame, m: Matching, turn: int, most: int = 2) -> DataFrame:
@@ -190,25 +194,40 @@ def common_counts(a: list[np.ndarray], b: list[np.ndarray], width: int = 2048) -
     return out
 
 
-def links_of_long_lists(lists: DataFrame, sets: DataFrame, m: Matching) -> DataFrame:
+def agreeing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """In how many coordinates each signature of a agrees with each of b."""
+    out = np.zeros((len(a), len(b)), np.int16)
+    for c in range(a.shape[1]):
+        out += a[:, c, None] == b[None, :, c]
+    return out
+
+
+def links_of_long_lists(lists: DataFrame, sets: DataFrame, reps: DataFrame, m: Matching) -> DataFrame:
     """a, b: links between different components in long lists, enough to join all that are linked there.
 
-    A list is cut into parts of bounded size, every two parts are compared whole as blocks on the full sets, and
-    a block gives a spanning forest of its links. Rows do not grow as the pairs do: each document is sent
-    once per part of its list.
+    A list is cut into parts of bounded size, every two parts are compared whole as blocks, first by their
+    signatures and, where enough coordinates agree, on the full sets; a block gives a spanning forest of its
+    links. Rows do not grow as the pairs do: each document is sent once per part of its list.
     """
-    with_sets = lists.select("key", "id", "comp").join(sets, "id")
+    with_sets = lists.select("key", "id", "comp").join(sets, "id").join(reps.select(F.col("doc_id").alias("id"), "signature"), "id")
     sizes = with_sets.groupBy("key").agg(F.count("*").alias("rows"), F.sum(F.size("shingles") * F.lit(8)).alias("bytes"))
     sizes = sizes.select("key", F.greatest(F.ceil(F.col("rows") / m.block_rows), F.ceil(F.col("bytes") / m.block_bytes)).cast("int").alias("parts"))
     parted = with_sets.join(sizes, "key").withColumn("part", (hash60(F.lit(9), F.col("id")) % F.col("parts")).cast("int"))
     other = parted.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    blocks = other.select("key", F.least("part", "other").alias("x"), F.greatest("part", "other").alias("y"), "part", "id", "comp", "shingles")
+    blocks = other.select("key", F.least("part", "other").alias("x"), F.greatest("part", "other").alias("y"), "part", "id", "comp", "shingles", "signature")
 
     def links(key: tuple, p: pd.DataFrame) -> pd.DataFrame:
         _, x, y = key
         a, b = p[p["part"] == x], p[p["part"] == y]
         if not len(a) or not len(b) or p["comp"].nunique() < 2:
             return pd.DataFrame({"a": [], "b": []}).astype("int64")
+        near = agreeing(np.stack(a["signature"].to_numpy()), np.stack(b["signature"].to_numpy())) >= m.matches
+        _, comp = np.unique(np.concatenate([a["comp"], b["comp"]]), return_inverse=True)
+        near &= comp[: len(a), None] != comp[None, len(a) :]
+        rows, columns = near.any(axis=1), near.any(axis=0)
+        if not rows.any():
+            return pd.DataFrame({"a": [], "b": []}).astype("int64")
+        a, b, near = a[rows], b[columns], near[np.ix_(rows, columns)]
         of = lambda q: [np.asarray(s, np.int64) for s in q["shingles"]]
         sa, sb = of(a), of(b)
         common = common_counts(sa, sb)
@@ -218,7 +237,7 @@ def links_of_long_lists(lists: DataFrame, sets: DataFrame, m: Matching) -> DataF
         ids_a, ids_b = a["id"].to_numpy(), b["id"].to_numpy()
         root, out = np.arange(comp.max() + 1), []
         for i in range(len(a)):  # row by row, so that memory follows the block and not its links
-            linked = np.flatnonzero((100 * common[i] >= m.percent * (na[i] + nb - common[i])) & (root[cb] != root[ca[i]]))
+            linked = np.flatnonzero(near[i] & (100 * common[i] >= m.percent * (na[i] + nb - common[i])) & (root[cb] != root[ca[i]]))
             if len(linked):
                 others, first = np.unique(root[cb[linked]], return_index=True)
                 for r, j in zip(others, linked[first]):
@@ -239,12 +258,14 @@ def near_duplicates(docs: DataFrame, m: Matching = Matching()) -> DataFrame:
     between different components is left out. A null or blank text has the empty set and is linked with nothing, so is a
     null doc_id (component_id null, kept); rows with one doc_id are one document. No rows give no rows.
     """
+    spark = docs.sparkSession
+    work = Working(spark, "near-duplicates")
     sketched = written(sketches(docs, m.coordinates), "sketches")
     some = sketched.where("digest is not null and doc_id is not null")
     groups = some.groupBy("digest").agg(F.min(F.struct("doc_id", "n_shingles", "signature")).alias("rep"), F.count("*").alias("copies"))
-    groups = written(groups.select("digest", "copies", "rep.*"), "groups")
-    postings = written(shared_postings(groups, m), "postings")
-    ids = written(postings.select("id").distinct(), "candidates")
+    groups = work.written(groups.select("digest", "copies", "rep.*"), "groups")
+    postings = work.written(shared_postings(groups, m), "postings")
+    ids = work.written(postings.select("id").distinct(), "candidates")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
@@ -253,20 +274,29 @@ def near_duplicates(docs: DataFrame, m: Matching = Matching()) -> DataFrame:
                 yield pd.DataFrame({"id": part["doc_id"], "shingles": [shingle_set(t).view(np.int64) for t in part["text"]]})
 
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
-    sets = written(texts.mapInPandas(run, "id long, shingles array<long>"), "sets")
-    labels = written(ids.select("id", F.col("id").alias("comp")), "labels")
-    for turn in range(m.hub_rounds):
-        labels = merged(labels, written(confirmed(hub_pairs(postings, labels, m, turn), sets, m.percent), "links"))
-    lists = written(open_lists(postings, labels), "open-lists")
+    sets = work.written(texts.mapInPandas(run, "id long, shingles array<long>"), "sets")
+    labels = work.written(ids.select("id", F.col("id").alias("comp")), "labels")
+    for turn in range(m.most_hub_rounds):
+        if turn >= m.hub_rounds and open_lists(postings, labels).where(F.col("length") > m.long_list).isEmpty():
+            break
+        before, labels = labels, merged(labels, work.written(confirmed(hub_pairs(postings, labels, m, turn), sets, m.percent), "links"), work)
+        if turn >= m.hub_rounds and labels is before:
+            break
+    lists = work.written(open_lists(postings, labels), "open-lists")
     short = confirmed(pairs_of_short_lists(lists.where(F.col("length") <= m.long_list), groups, m), sets, m.percent)
-    long = links_of_long_lists(lists.where(F.col("length") > m.long_list), sets, m)
-    labels = merged(labels, written(short.unionByName(long), "links"))
-    # Only groups of copies and linked documents can have another component than themselves. A group may be
-    # of any size, so its row is dealt to each of some parts of its documents.
-    parts = 16
+    long = links_of_long_lists(lists.where(F.col("length") > m.long_list), sets, groups, m)
+    labels = merged(labels, work.written(short.unionByName(long), "links"), work)
+    # Only groups of copies and linked documents can have another component than themselves. Groups with a
+    # 256th of all documents or more, at most 256 of them, are sent to all tasks; the others are joined, blank texts
+    # going anywhere.
+    total = sketched.count()
     known = groups.join(labels.select(F.col("id").alias("doc_id"), "comp"), "doc_id", "left").select("digest", F.coalesce("comp", "doc_id").alias("comp"), "copies", "doc_id")
-    known = known.where("copies > 1 or comp <> doc_id").select("digest", "comp", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"))
-    dealt = sketched.select("doc_id", "n_shingles", "digest").withColumn("part", (hash60(F.col("doc_id")) % parts).cast("int"))
-    found = dealt.join(known, ["digest", "part"], "left")
-    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id"))
+    known = written(known.where("copies > 1 or comp <> doc_id").select("digest", "comp", "copies"), "components")
+    work.done()
+    hot = known.where(F.col("copies") * 256 >= total)
+    found = sketched.select("doc_id", "n_shingles", "digest").join(F.broadcast(hot.select("digest", F.col("comp").alias("hot_comp"))), "digest", "left")
+    place = F.when(F.col("digest").isNull() | F.col("hot_comp").isNotNull(), F.concat(F.lit("-"), F.coalesce(F.col("doc_id"), F.lit(0)).cast("string")).cast("binary")).otherwise(F.col("digest"))
+    rest = known.where(F.col("copies") * 256 < total).select(F.col("digest").alias("place"), "comp")
+    found = found.withColumn("place", place).join(rest, "place", "left")
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("hot_comp", "comp", "doc_id"))
     return found.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))

@@ -1,9 +1,11 @@
+import os
 import re
 
 import numpy as np
 import pytest
 
 from deltaring.llm import neardup as nd
+from deltaring.llm.common import Working
 
 WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 LOWER = str.maketrans({chr(c): chr(c + 32) for c in range(65, 91)})
@@ -84,4 +86,42 @@ def test_common_counts():
 
 def test_components(spark):
     edges = spark.createDataFrame([(5, 4), (4, 3), (3, 2), (9, 8), (8, 7), (2, 1), (7, 7)], "a long, b long")
-    assert {r.id: r.root for r in nd.components(edges).collect()} == {1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 7: 7, 8: 7, 9: 7}
+    assert {r.id: r.root for r in nd.components(edges, Working(spark, "t")).collect()} == {1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 7: 7, 8: 7, 9: 7}
+
+
+def test_no_pair_near_the_limit_is_missed(spark):
+    """300 pairs of likeness 0.75 to 0.8, in lists short and long alike, and as many just below it."""
+    rows, want = [], []
+    for i in range(300):
+        n = 200 + i
+        a = [f"w{i}x{j}" for j in range(n)]
+        common = -(-3 * (2 * (n - 4)) // 7)  # shingles of both, so that common / (2 n - common) is 0.75 or a little more
+        keep = common + 4 + i % 5 - (8 if i >= 150 else 0)
+        b = a[:keep] + [f"v{i}x{j}" for j in range(n - keep)]
+        rows += [(2 * i, " ".join(a)), (2 * i + 1, " ".join(b))]
+        both = keep - 4
+        want.append(100 * both >= 75 * (2 * (n - 4) - both))
+    assert 140 < sum(want) < 160
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for m in (nd.Matching(), nd.Matching(long_list=1, block_rows=8)):
+        got = {r.doc_id: r.component_id for r in nd.near_duplicates(df, m).collect()}
+        assert [got[2 * i + 1] == 2 * i for i in range(300)] == want
+
+
+def test_long_lists_and_hot_groups(spark):
+    """A list above 150 members, a group of copies of a third of all rows, and many blank texts."""
+    base = [f"b{j}" for j in range(120)]
+    rows = [(i, " ".join([*base[: 100 + i % 7], *[f"z{i}y{j}" for j in range(8)]])) for i in range(200)]
+    rows += [(1000 + i, "the very same words again and again") for i in range(200)] + [(2000 + i, " " * i) for i in range(100)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(8)
+    want = brute(rows)
+    for m in (nd.Matching(), nd.Matching(long_list=16, block_rows=32, hub_rounds=1, most_hub_rounds=1)):
+        assert {x.doc_id: (x.n_shingles, x.component_id) for x in nd.near_duplicates(df, m).collect()} == want
+
+
+def test_working_tables_go(spark):
+    df = spark.createDataFrame([(1, "a b c d e f g"), (2, "a b c d e f g"), (3, "a b c d e f g h")], "doc_id long, text string")
+    out = nd.near_duplicates(df)
+    folder = spark.conf.get("spark.checkpoint.dir").replace("file://", "") + "/deltaring"
+    assert not [x for x in os.listdir(folder) if x.startswith("near-duplicates-")]
+    assert out.count() == 3
