@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import hashlib
+import hmac
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import fresh
+
 ROUNDS = 8
 DIGITS, LOWER, UPPER, HEX = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789abcdef"
 #: Days from 1900-01-01 to the first and the last day of four-digit years.
@@ -32,11 +37,28 @@ def bound(value: Column, use) -> Column:
     return F.transform(F.array(value), use)[0]
 
 
-def feistel(cells: Column, key: str, tweak: Column) -> Column:
+def secret_key(spark: SparkSession, key: str) -> Column:
+    """The key as a scalar subquery over one row, derived from the given one: plans, their displays and event logs show
+    neither. It is evaluated once on the driver."""
+    derived = hmac.new(key.encode(), b"deltaring pseudonyms", hashlib.sha256).hexdigest()
+    return spark.createDataFrame([(derived,)], "pseudonym_key string").scalar()
+
+
+def keyed_numbers(key: Column, text: Column, n: Column) -> Column:
+    """n numbers of 32 bits from a keyed hash of a text: SHA-256 of the key and the SHA-256 of key and text, and a count
+    of blocks; each number has eight hexadecimal digits of its own."""
+    sha = lambda *c: F.sha2(F.concat_ws("|", *c).cast("binary"), 256)
+    block = lambda inner, i: sha(F.lit("out"), key, inner, i.cast("string"))
+    blocks = lambda inner: F.array_join(F.transform(F.sequence(F.lit(0), F.shiftright(n - 1, 3)), lambda i: block(inner, i)), "")
+    digits = bound(sha(F.lit("in"), key, text), blocks)
+    return bound(digits, lambda d: F.transform(F.sequence(F.lit(0), n - 1), lambda i: F.conv(F.substring(d, i * 8 + 1, F.lit(8)), 16, 10).cast("long")))
+
+
+def feistel(cells: Column, key: Column, tweak: Column) -> Column:
     """Permute an array of struct(v, r), 0 <= v < r, among the arrays with the same r in the same places.
 
     The cells are dealt to two halves by turns; in each round one half is shifted, cell by cell modulo r, by
-    a keyed SHA-256 of the other half. Every round can be undone, so different arrays stay different.
+    keyed numbers from the other half. Every round can be undone, so different arrays stay different.
     Cells with r = 1 keep their 0.
     """
 
@@ -45,13 +67,10 @@ def feistel(cells: Column, key: str, tweak: Column) -> Column:
 
     def turn(s: Column, i: Column) -> Column:
         seen = F.concat_ws(",", F.transform(s["b"], lambda x: x["v"].cast("string")))
-        text = F.concat_ws("|", F.lit(key), tweak, i.cast("string"), F.size(s["a"]).cast("string"), seen)
-
-        def shifted(h: Column) -> Column:
-            by = lambda n: F.conv(F.substring(h, F.lit(1) + n % 15 * 4, F.lit(8)), 16, 10).cast("long")
-            return F.transform(s["a"], lambda x, n: F.struct(((x["v"] + by(n)) % x["r"]).cast("long").alias("v"), x["r"].alias("r")))
-
-        return F.struct(s["b"].alias("a"), bound(F.sha2(text.cast("binary"), 256), shifted).alias("b"))
+        text = F.concat_ws("|", tweak, i.cast("string"), F.size(s["a"]).cast("string"), seen)
+        shifted = lambda by: F.zip_with(s["a"], by, lambda x, y: F.struct(((x["v"] + y) % x["r"]).cast("long").alias("v"), x["r"].alias("r")))
+        none = F.filter(s["a"], lambda x: F.lit(False))
+        return F.struct(s["b"].alias("a"), F.when(F.size(s["a"]) == 0, none).otherwise(bound(keyed_numbers(key, text, F.size(s["a"])), shifted)).alias("b"))
 
     start = F.struct(half(0).alias("a"), half(1).alias("b"))
     done = F.aggregate(F.sequence(F.lit(1), F.lit(ROUNDS)), start, turn)
@@ -62,7 +81,7 @@ def cell(v: Column, r: Column | int) -> Column:
     return F.struct(v.cast("long").alias("v"), (F.lit(r) if isinstance(r, int) else r).cast("long").alias("r"))
 
 
-def characters(m: Column, key: str, kind: str, fixed_from: Column | None = None, alphabets: tuple[str, ...] = (DIGITS, LOWER, UPPER)) -> Column:
+def characters(m: Column, key: Column, kind: str, fixed_from: Column | None = None, alphabets: tuple[str, ...] = (DIGITS, LOWER, UPPER)) -> Column:
     """m with each character permuted in its alphabet; those from fixed_from on and all others stay."""
 
     def alphabet(c: Column, i: Column) -> Column:
@@ -99,7 +118,7 @@ def set_in(m: Column, digits: Column) -> Column:
     return F.array_join(F.transform(F.filter(F.split(m, ""), lambda x: x != ""), lambda c, i: F.when(c.rlike("[0-9]"), F.substring(digits, nth(i), F.lit(1))).otherwise(c)), "")
 
 
-def card(m: Column, key: str) -> Column:
+def card(m: Column, key: Column) -> Column:
     """Numbers that pass the Luhn test, permuted up to their check digit, which is set anew; others stay.
 
     Only the digits count, so a number has one pseudonym whether it is written in groups or not.
@@ -113,7 +132,7 @@ def card(m: Column, key: str) -> Column:
     return bound(F.regexp_replace(m, "[^0-9]", ""), moved)
 
 
-def phone(m: Column, key: str) -> Column:
+def phone(m: Column, key: Column) -> Column:
     """The digits after the country code, or else the last ten, permuted, written as they were."""
 
     def moved(d: Column) -> Column:
@@ -123,7 +142,7 @@ def phone(m: Column, key: str) -> Column:
     return bound(F.regexp_replace(m, "[^0-9]", ""), moved)
 
 
-def address(m: Column, key: str) -> Column:
+def address(m: Column, key: Column) -> Column:
     """Four octets below 256 without leading zeros, permuted as numbers; others stay."""
     parts = F.split(m, r"\.")
     good = F.forall(parts, lambda x: (x.cast("int") < 256) & (F.length(x) == F.length(x.cast("int").cast("string"))))
@@ -131,7 +150,7 @@ def address(m: Column, key: str) -> Column:
     return F.when(good, F.array_join(F.transform(new, lambda v: v.cast("string")), ".")).otherwise(m)
 
 
-def social(m: Column, key: str) -> Column:
+def social(m: Column, key: Column) -> Column:
     """Numbers of the form area-group-serial with values in use, permuted among those; others stay."""
     part = lambda i, n: F.substring(m, i, n).cast("int")
     area, group, serial = part(1, 3), part(5, 2), part(8, 4)
@@ -142,7 +161,7 @@ def social(m: Column, key: str) -> Column:
     return F.when(good, bound(new, out)).otherwise(m)
 
 
-def day(m: Column, key: str, iso: bool) -> Column:
+def day(m: Column, key: Column, iso: bool) -> Column:
     """Dates of the calendar from year 1 to 9999, permuted among the 65,536 days of their window from 1900-01-01 (the
     first and the last window end with the years). Others stay.
 
@@ -189,7 +208,7 @@ def day(m: Column, key: str, iso: bool) -> Column:
     return out.otherwise(m)
 
 
-def secret(m: Column, key: str) -> Column:
+def secret(m: Column, key: Column) -> Column:
     """A hexadecimal run, permuted as in small letters; where capitals and small letters are mixed, capitals stand
     where they stood."""
     use = lambda x: characters(x, key, "secret", alphabets=(HEX,))
@@ -203,7 +222,7 @@ def in_either_case(m: Column, use) -> Column:
     return F.when((m == F.upper(m)) & m.rlike("[A-Z]"), F.upper(use(F.lower(m)))).otherwise(use(m))
 
 
-def pseudonym(m: Column, key: str) -> Column:
+def pseudonym(m: Column, key: Column) -> Column:
     """The pseudonym of one match of ANY: the first pattern that the whole match fits decides how."""
     whole = lambda kind: m.rlike(f"^(?:{PATTERNS[kind]})$")
     return (
@@ -230,10 +249,12 @@ def pseudonymised(df: DataFrame, key: str, column: str = "text") -> DataFrame:
     and ten digits alone; national numbers in other groups stay in clear, and so do dates with month names or
     years of two digits. All other characters stay as they are; a null text stays null with 0.
     """
-    text = F.col(column)
+    text, held = F.col(column), fresh(df, "pseudonym_key")
+    found_as = fresh(df, "pseudonym_new")
+    df, columns = df.withColumn(held, secret_key(df.sparkSession, key)), df.columns
 
     def replaced(hits: Column) -> Column:
-        new = F.transform(hits, lambda m: pseudonym(m, key))
+        new = F.transform(hits, lambda m: pseudonym(m, F.col(held)))
 
         def joined(v: Column) -> Column:
             pieces = F.transform(F.split(text, ANY, -1), lambda x, i: F.concat(x, F.coalesce(F.get(v, i), F.lit(""))))
@@ -244,5 +265,5 @@ def pseudonymised(df: DataFrame, key: str, column: str = "text") -> DataFrame:
 
     found = F.when(text.rlike("[0-9@]") | text.rlike("[A-Fa-f]{32}"), F.regexp_extract_all(text, F.lit(ANY), 0))
     result = F.transform(F.array(found), lambda h: F.when(F.coalesce(F.size(h) > 0, F.lit(False)), replaced(h)))[0]
-    rows = df.withColumn("__new", result)
-    return rows.select(*[F.coalesce("__new.text", F.col(c)).alias(c) if c == column else F.col(c) for c in df.columns], F.coalesce("__new.n", F.lit(0)).cast("long").alias("n_pseudonyms"))
+    rows, new = df.withColumn(found_as, result), F.col(found_as)
+    return rows.select(*[F.coalesce(new["text"], F.col(c)).alias(c) if c == column else F.col(c) for c in columns], F.coalesce(new["n"], F.lit(0)).cast("long").alias("n_pseudonyms"))

@@ -1,3 +1,5 @@
+import hashlib
+import hmac
 import re
 from datetime import date, timedelta
 
@@ -71,7 +73,7 @@ def test_plan_has_no_python(small):
 
 def test_feistel_is_a_bijection(spark):
     cells = F.array(ps.cell(F.floor(F.col("id") / 10) % 10, 10), ps.cell(F.col("id") % 10, 10), ps.cell(F.lit(0), 1), ps.cell(F.floor(F.col("id") / 100), 3))
-    rows = spark.range(300).select(ps.feistel(cells, "k", F.lit("t")).alias("v"))
+    rows = spark.range(300).select(ps.feistel(cells, F.lit("k"), F.lit("t")).alias("v"))
     got = {tuple(r.v) for r in rows.collect()}
     assert len(got) == 300 and all(a < 10 and b < 10 and c == 0 and d < 3 for a, b, c, d in got)
 
@@ -93,3 +95,76 @@ def test_valid_values_do_not_stay(spark):
     for first in (date(1, 1, 1), date(9975, 1, 1)):
         days = [(first + timedelta(i)).isoformat() for i in range(2000)]
         assert len({date.fromisoformat(t) for t, _ in run(spark, days)}) == 2000
+
+
+# A version of the permutation in plain Python, to hold the expressions against.
+
+
+def numbers(key, text, n):
+    inner = hashlib.sha256(f"in|{key}|{text}".encode()).hexdigest()
+    digits = "".join(hashlib.sha256(f"out|{key}|{inner}|{i}".encode()).hexdigest() for i in range((n + 7) // 8))
+    return [int(digits[8 * i : 8 * i + 8], 16) for i in range(n)]
+
+
+def permuted(cells, key, tweak):
+    """cells: (value, range) in order; the values after the rounds."""
+    a, b = cells[::2], cells[1::2]
+    for i in range(1, ps.ROUNDS + 1):
+        text = f"{tweak}|{i}|{len(a)}|{','.join(str(v) for v, _ in b)}"
+        a, b = b, [((v + y) % r, r) for (v, r), y in zip(a, numbers(key, text, len(a)))]
+    return [(a if i % 2 == 0 else b)[i // 2][0] for i in range(len(cells))]
+
+
+def moved(text, key, kind, alphabets=(ps.DIGITS, ps.LOWER, ps.UPPER), fixed_from=None):
+    sets = [next((x for x in alphabets if c in x), "") if fixed_from is None or i < fixed_from else "" for i, c in enumerate(text)]
+    new = permuted([(s.index(c), len(s)) if s else (0, 1) for c, s in zip(text, sets)], key, kind)
+    return "".join(s[v] if s else c for c, s, v in zip(text, sets, new))
+
+
+def by_hand(text, key):
+    key = hmac.new(key.encode(), b"deltaring pseudonyms", hashlib.sha256).hexdigest()
+    digits = re.sub(r"\D", "", text)
+    fill = lambda new: re.sub(r"\d", lambda m, d=iter(new): next(d), text)
+    if re.fullmatch("[0-9a-f]{32,}", text):
+        return moved(text, key, "secret", (ps.HEX,))
+    if "@" in text:
+        return moved(text, key, "email", fixed_from=text.index("@"))
+    if re.fullmatch(r"\d+\.\d+\.\d+\.\d+", text):
+        return ".".join(map(str, permuted([(int(x), 256) for x in text.split(".")], key, "ip")))
+    if re.fullmatch(r"\d{4}-\d\d-\d\d", text):
+        at = (date.fromisoformat(text) - date(1900, 1, 1)).days
+        low = at // 65536 * 65536
+        assert -65536 <= low <= 65536 * 43
+        v = permuted([((at - low) // 256, 256), ((at - low) % 256, 256)], key, "day")
+        return (date(1900, 1, 1) + timedelta(low + v[0] * 256 + v[1])).isoformat()
+    if re.fullmatch(r"\d{3}-\d\d-\d{4}", text):
+        a, g, n = map(int, text.split("-"))
+        v = permuted([(a - 1 - (a > 666), 898), (g - 1, 99), (n - 1, 9999)], key, "ssn")
+        return f"{v[0] + 1 + (v[0] >= 665):03d}-{v[1] + 1:02d}-{v[2] + 1:04d}"
+    if text.startswith("+1"):
+        return fill("1" + moved(digits[1:], key, "phone", (ps.DIGITS,)))
+    body = moved(digits[:-1], key, "card", (ps.DIGITS,))
+    return fill(body + next(c for c in ps.DIGITS if luhn(body + c)))
+
+
+def test_against_plain_python(spark):
+    texts = ["4845168114407329", "4845 1681 1440 7329", "371449635398431", "6011000990139424", "+1 (017) 555-7713", "the.72@mail3.example.com", "a-very.long_local-part.with.many.cells42@x.org", "129.38.82.176", "0.0.0.0", "2024-02-29", "1999-12-31", "1800-01-01", "078-05-1120", "665-01-0001", "667-99-9999", "908038b7daaf91e730d2f64001c52934d43d9336", "0" * 64, "f" * 129]
+    for key in ("k", "another key"):
+        assert [t for t, _ in run(spark, texts, key)] == [by_hand(t, key) for t in texts]
+
+
+def test_key_is_in_no_plan(spark):
+    key = "a-key-nobody-may-see"
+    derived = hmac.new(key.encode(), b"deltaring pseudonyms", hashlib.sha256).hexdigest()
+    out = ps.pseudonymised(spark.createDataFrame([(1, "2024-02-29")], "i int, text string"), key)
+    out.collect()
+    q = out._jdf.queryExecution()
+    for plan in (q.logical(), q.analyzed(), q.optimizedPlan(), q.sparkPlan(), q.executedPlan()):
+        assert key not in plan.toString() and derived not in plan.toString() and derived not in plan.treeString()
+    assert derived not in q.toString() and derived not in q.explainString(spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("extended"))
+
+
+def test_columns_with_clashing_names(spark):
+    df = spark.createDataFrame([("2024-02-29", "mine", "yours")], "text string, pseudonym_key string, Pseudonym_New string")
+    row = ps.pseudonymised(df, "k").first()
+    assert row[1:] == ("mine", "yours", 1) and row[0] != "2024-02-29"
