@@ -34,7 +34,7 @@ class Matching:
     matches: int = 13
     percent: int = 75
     hub_rounds: int = 2
-    most_hub_rounds: int = 8
+    most_hub_rounds: int = 2
     long_list: int = 64
     block_rows: int = 1024
     block_bytes: int = 8 << 20
