@@ -5,7 +5,7 @@ import numpy as np
 import pytest
 
 from deltaring.llm import neardup as nd
-from deltaring.llm.common import Working
+from deltaring.llm.common import Working, scratch
 
 WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 LOWER = str.maketrans({chr(c): chr(c + 32) for c in range(65, 91)})
@@ -125,3 +125,14 @@ def test_working_tables_go(spark):
     folder = spark.conf.get("spark.checkpoint.dir").replace("file://", "") + "/deltaring"
     assert not [x for x in os.listdir(folder) if x.startswith("near-duplicates-")]
     assert out.count() == 3
+
+
+def test_working_tables_start_no_process_on_the_driver(spark, small):
+    """A marker in a table is a file that the driver makes itself, with a chmod process on local storage."""
+    def marked():
+        top = scratch(spark, "x").rsplit("/", 1)[0].removeprefix("file://")
+        return {os.path.join(at, n) for at, _, names in os.walk(top) for n in names if n == "_SUCCESS"}
+
+    before = marked()
+    assert nd.near_duplicates(small).count() == small.count()
+    assert marked() == before
